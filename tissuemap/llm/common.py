@@ -69,6 +69,11 @@ def words(text: Column) -> Column:
     return F.when(body == "", F.array().cast("array<string>")).otherwise(F.split(body, BLANK_RUN, -1))
 
 
+def count_words(text: Column) -> Column:
+    """Number of words: places where a word ends before a blank or the text's end."""
+    return F.regexp_count(F.coalesce(text, F.lit("")), F.lit(r"[^\x20\x09-\x0D](?=[\x20\x09-\x0D]|\z)")).cast("long")
+
+
 def text_bytes(column: pa.ChunkedArray | pa.Array) -> list[bytes]:
     """The UTF-8 bytes of a string column; null gives no bytes."""
     return [x or b"" for x in column.cast(pa.binary()).to_pylist()]

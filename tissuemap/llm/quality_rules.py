@@ -41,12 +41,12 @@ class Rule:
 
 #: Shares are per word, per character or per line as the metric's name says.
 RULES = (
-    Rule("too many symbols", "symbols_per_word", high=0.5),
+    Rule("too many symbols", "symbols_per_word", high=0.3),
     Rule("too much shouting", "shouts_per_word", high=0.3),
     Rule("mostly capitals", "capitals_per_char", high=0.5),
     Rule("words too short", "chars_per_word", low=2.0),
     Rule("words too long", "chars_per_word", high=20.0),
-    Rule("no function words", "stops_per_word", low=0.002),
+    Rule("no function words", "distinct_stops", low=1.0),
     Rule("lines repeat", "dup_lines_per_line", high=0.6),
 )
 
@@ -82,7 +82,7 @@ def measures(docs: DataFrame, text: str = "text") -> DataFrame:
         lambda a, x: F.struct((a["n"] + F.least(F.lit(3), x - a["last"])).alias("n"), x.alias("last")),
         lambda a: a["n"].cast("long"),
     )
-    chars = (F.length("_body") - F.length(F.translate("_body", BLANKS, "")) * 0).cast("long")
+    chars = F.length("_body").cast("long")
     out = out.withColumns(
         {
             "n_words": n,
@@ -100,7 +100,7 @@ def measures(docs: DataFrame, text: str = "text") -> DataFrame:
             "symbols_per_word": per(F.col("n_symbols"), n),
             "shouts_per_word": per(_count_of(F.col("_body"), SHOUT), n),
             "capitals_per_char": per(_count_of(F.col("_body"), "ABCDEFGHIJKLMNOPQRSTUVWXYZ"), chars),
-            "stops_per_word": per(F.size(F.filter(w, lambda x: F.array_contains(stops, F.lower(x)))), n),
+            "distinct_stops": F.size(F.array_intersect(w, stops)).cast("double"),
             "dup_lines_per_line": per(F.col("n_dup_lines"), F.size("_lines")),
         }
     )
