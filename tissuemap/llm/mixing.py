@@ -29,7 +29,7 @@ WEIGHTS = (3, 1, 2)
 SHARE = 1.5
 MOST = 2.0
 BINS = 256
-PASSES = 6
+PASSES = 4
 #: Source tables up to this many rows are broadcast; larger ones are joined.
 SMALL = 50_000
 
@@ -72,7 +72,7 @@ def targets(per_source: DataFrame, share: float = SHARE, weights=WEIGHTS, most:
     )
     t = t.withColumn("level", (F.col("budget") - F.col("full_before")) / F.col("open_weight"))
     t = t.withColumn("full", F.col("level") * F.col("weight") >= F.col("cap"))
-    t = t.withColumn("first_open", F.min(F.when(~F.col("full"), F.struct(F.col("cap") / F.col("weight"), F.col("level")))).over(all_))
+    t = t.withColumn("first_open", F.min(F.when(~F.col("full"), F.struct((F.col("cap") / F.col("weight")).alias("at"), F.col("_source").isNull().alias("none"), F.col("_source"), F.col("level")))).over(all_))
     level = F.col("first_open").getField("level")
     target = F.when(F.col("full") | level.isNull(), F.col("cap")).otherwise(F.least("cap", level * F.col("weight")))
     return t.select("_source", "source_size", "weight", target.alias("target"))
