@@ -213,16 +213,14 @@ def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at = run_starts(sig)
         length = np.diff(np.append(at, len(sig)))
         # a signature in one row only, and all of it in this batch, has no partner;
-        # a lone row may still repeat itself
+        # what a row repeats of itself was settled before the shuffle
         out: list[tuple[np.ndarray, ...]] = []
         payload = b.column("digests")
         for g, k in zip(at.tolist(), length.tolist(), strict=True):
             s = int(sig[g])
             if s != current:
                 current, seen = s, {}
-            elif not k:
-                continue
-            if k == 1 and n[g] == 1 and not seen and g + 1 < len(sig):
+            if k == 1 and not seen and g + 1 < len(sig):
                 continue
             rows = np.arange(g, g + k)
             whole = np.frombuffer(b"".join(payload[i].as_py() for i in rows.tolist()), np.uint64)
