@@ -152,9 +152,10 @@ def _scores(visits: DataFrame, queries: DataFrame, placed: DataFrame, k: int) ->
     vector block.
     """
     asked = visits.join(queries.select("vec_id", "v"), "vec_id").select("qblock", "block", "vec_id", "v")
-    wanted = visits.select("qblock", "block").distinct()
-    given = placed.select("block", "vec_id", "v").join(wanted, "block")
-    return asked.groupBy("qblock", "block").cogroup(given.groupBy("qblock", "block")).applyInPandas(_multiply(k), "query_id long, vec_id long, score long")
+    wanted = visits.select(F.col("qblock").alias("_q"), F.col("block").alias("_b")).distinct()
+    given = placed.select("block", "vec_id", "v").join(wanted, F.col("block") == F.col("_b")).select("_q", "_b", "vec_id", "v")
+    both = asked.groupBy("qblock", "block").cogroup(given.groupBy("_q", "_b"))
+    return both.applyInPandas(_multiply(k), "query_id long, vec_id long, score long")
 
 
 def search(vectors: DataFrame, queries: DataFrame, k: int = K, block: int = BLOCK, count: int = PIVOTS) -> DataFrame:

@@ -133,7 +133,7 @@ def apply_rules(urls: DataFrame, rules: DataFrame, blocks: int | None = None) ->
     heads = F.filter(heads, lambda x: x != F.col("prefix"))
     path_ends = interval_ends(stacks(pair.select("prefix"), heads), F.col("prefix"))
     points = under.select(F.encode(F.concat("over", cut, "path"), "utf-8").alias("key"), F.struct("_uid").alias("row"), F.col("_uid").alias("tie"))
-    hit = sweep(points, path_ends, blocks).filter(F.size("stack") > 0).select("row._uid", F.element_at("stack", -1).alias("prefix"))
+    hit = sweep(points, path_ends, blocks).filter(F.size("stack") > 0).select("row._uid", F.get("stack", F.size("stack") - 1).alias("prefix"))
     named = hit.join(pair, "prefix").select("_uid", F.struct(F.length("rule").alias("n"), F.length("rule_host").alias("h"), "rule", "verdict").alias("r"))
     best = named.groupBy("_uid").agg(F.max("r").alias("r"))
     out = base.join(best, "_uid", "left")
