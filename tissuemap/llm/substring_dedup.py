@@ -129,9 +129,13 @@ def _chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[_Chunk]:
 
 def _signatures(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for chunk in _chunks(batches):
-        doc, mark, start, signature, _ = chunk.windows()
-        new = _breaks(doc, mark, start, signature)
-        s = np.sort(signature[new])
+        doc, mark, start, signature, whole = chunk.windows()
+        new = np.zeros(len(doc), np.int64)
+        new[_breaks(doc, mark, start, signature)] = 1
+        # a run may repeat itself where the text has a short period
+        for step in range(1, min(WINDOW - GRAM + 1, len(whole))):
+            new[step:] += whole[step:] == whole[:-step]
+        s = np.sort(np.repeat(signature, new))
         at = run_starts(s)
         yield pa.record_batch([pa.array(s[at].view(np.int64)), pa.array(np.diff(np.append(at, len(s))).astype(np.int32))], ["sig", "n"])
 
