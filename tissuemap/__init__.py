@@ -1,0 +1 @@
+"""Tissue maps from fingerprint signals, as Spark plans."""
