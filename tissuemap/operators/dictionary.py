@@ -26,7 +26,7 @@ def param_grid(spark: SparkSession, t1_ranges=T1_RANGES, t2_ranges=T2_RANGES) ->
 
     def axis(ranges, name: str) -> DataFrame:
         steps = F.array(*[F.sequence(F.lit(a), F.lit(z), F.lit(s)) for a, z, s in ranges])
-        return spark.range(1).select(F.explode(F.array_distinct(F.flatten(steps))).cast("double").alias(name))
+        return spark.range(1).select(F.explode(F.array_distinct(F.flatten(steps)).cast("array<double>")).alias(name))
 
     pairs = axis(t1_ranges, "t1").crossJoin(F.broadcast(axis(t2_ranges, "t2"))).filter("t1 >= t2")
     # the grid is of fixed size (thousands of rows), so one ordered window is fine
