@@ -302,7 +302,7 @@ def conjugate_gradient(b: np.ndarray, enc: Encoder, iters: int = 30, tol: float
     return u, history
 
 
-def time_mix(b_cells: np.ndarray, enc: Encoder, eps: float = 1e-6) -> np.ndarray:
+def time_mix(b_cells: np.ndarray, enc: Encoder, eps: float = 1e-2) -> np.ndarray:
     """Per cell the least-squares component spectrum that explains its samples."""
     r = enc.basis.shape[1]
     k = (enc.kernel if enc.kernel is not None else enc._build()) * enc.scale
