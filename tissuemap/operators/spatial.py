@@ -6,17 +6,20 @@ the far border. Real images have im = 0.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-_ROW = Window.partitionBy("slice_id", "comp", "col").orderBy("row")
-_COL = Window.partitionBy("slice_id", "comp", "row").orderBy("col")
+
+def _lines() -> tuple:
+    """Windows down the columns and along the rows of an image."""
+    return Window.partitionBy("slice_id", "comp", "col").orderBy("row"), Window.partitionBy("slice_id", "comp", "row").orderBy("col")
 
 
 def grad(img: DataFrame) -> DataFrame:
     """Adds forward differences dre_r, dim_r (down) and dre_c, dim_c (right)."""
+    down, right = _lines()
     step = lambda c, w: F.coalesce(F.lead(c).over(w) - F.col(c), F.lit(0.0))
-    return img.withColumns({"dre_r": step("re", _ROW), "dim_r": step("im", _ROW)}).withColumns({"dre_c": step("re", _COL), "dim_c": step("im", _COL)})
+    return img.withColumns({"dre_r": step("re", down), "dim_r": step("im", down)}).withColumns({"dre_c": step("re", right), "dim_c": step("im", right)})
 
 
 def div(field: DataFrame) -> DataFrame:
@@ -25,11 +28,12 @@ def div(field: DataFrame) -> DataFrame:
     A border value of the field meets no difference, so it counts as zero.
     """
 
-    def part(c: str, w) -> F.Column:
+    def part(c: str, w) -> Column:
         own = F.when(F.lead(F.lit(1)).over(w).isNotNull(), F.col(c)).otherwise(F.lit(0.0))
         return own - F.coalesce(F.lag(c).over(w), F.lit(0.0))
 
-    out = field.withColumns({"_a": part("pr_r", _ROW), "_b": part("pi_r", _ROW)}).withColumns({"_c": part("pr_c", _COL), "_d": part("pi_c", _COL)})
+    down, right = _lines()
+    out = field.withColumns({"_a": part("pr_r", down), "_b": part("pi_r", down)}).withColumns({"_c": part("pr_c", right), "_d": part("pi_c", right)})
     return out.withColumns({"dre": F.col("_a") + F.col("_c"), "dim": F.col("_b") + F.col("_d")}).drop("_a", "_b", "_c", "_d")
 
 
