@@ -155,13 +155,12 @@ def ndft(img: DataFrame, points: DataFrame, n: int) -> DataFrame:
 
 
 def _bessel(beta: float, distance, width: int):
-    """Kaiser-Bessel window by the power series of I0, as a column."""
-    z = F.lit(beta) * F.sqrt(F.greatest(F.lit(0.0), 1 - (2 * distance / width) ** 2))
-    total, term = F.lit(1.0), F.lit(1.0)
-    for k in range(1, 26):
-        term = term * (z / (2.0 * k)) * (z / (2.0 * k))
-        total = total + term
-    return total
+    """Kaiser-Bessel window: the power series of I0 in nested form, as a column."""
+    y = F.greatest(F.lit(0.0), 1 - (2 * distance / width) ** 2) * (beta * beta / 4)
+    out = F.lit(1.0)
+    for k in range(25, 0, -1):
+        out = 1 + out * y / (k * k)
+    return out
 
 
 def _window_transform(x, beta: float, width: int, m: int):

@@ -421,7 +421,7 @@ def c8_pd_ratio(spark: SparkSession, sf_dir: str) -> DataFrame:
     return metrics.pd_ratio(_zero_fill(spark), phantom.digital(spark, fx.N), ["slice_id"]).select(*r6("pd_ratio"))
 
 
-_REF = f"{_ZERO}, {fx.sql_combine('twice', b='2.0')}, {_sql_grad('b', 'z1', 0.5)}, {fx.sql_match('z1', 'rf')}, ref AS (SELECT row, col, g.t1, g.t2 FROM rf_m JOIN grid g USING (atom_id))"
+_REF = f"{_ZERO}, b2 AS (SELECT * FROM b), {_sql_grad('b2', 'z1', 0.5)}, {fx.sql_match('z1', 'rf')}, ref AS (SELECT row, col, g.t1, g.t2 FROM rf_m JOIN grid g USING (atom_id))"
 
 
 @query(f"{_REF} SELECT {q6('avg(abs(m.t1 - r.t1) / r.t1)', 'diff_t1')}, {q6('avg(abs(m.t2 - r.t2) / r.t2)', 'diff_t2')} FROM maps m JOIN ref r USING (row, col)")
