@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import model
+from . import model, vectors
 
-MODULES = (model,)
+MODULES = (model, vectors)
 
 
 def queries() -> dict:
