@@ -132,4 +132,8 @@ def keep(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """The documents that pass, with the columns they came with."""
     row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")
     judged = judge(docs.select(row, F.col("text")), rules)
-    return judged.filter("kept").select("_row.*")
+    # a filter on ``kept`` would be pushed below the projections and so put the
+    # splitting of a text inside the functions that run for each of its words;
+    # a generator's output cannot be pushed below it
+    passed = judged.select(F.explode_outer(F.when(F.col("kept"), F.array("_row"))).alias("_kept"))
+    return passed.filter("_kept is not null").select("_kept.*")
