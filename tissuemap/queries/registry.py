@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import model, vectors
+from . import model, relational, vectors
 
-MODULES = (model, vectors)
+MODULES = (model, vectors, relational)
 
 
 def queries() -> dict:
