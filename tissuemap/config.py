@@ -43,3 +43,8 @@ VARIANTS = {
     "seq_cal_fixed": EngineConfig(calibrated=True),
     "par_bt": EngineConfig(algorithm="parallel", step="backtrack"),
 }
+#: Configurations beyond these: the other source of calibration, no matching.
+STUDIES = {
+    "seq_cal_lazy_raw": VARIANTS["seq_cal_lazy"].but(calibration="raw"),
+    "convex": EngineConfig(match="none", step="backtrack"),
+}

@@ -16,7 +16,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..config import VARIANTS, EngineConfig
+from ..config import STUDIES, VARIANTS, EngineConfig
 from . import baselines
 from .kernels import calibration, project, project_bins, reconstruct
 from .setup import Setup, simulate
@@ -100,7 +100,8 @@ def reduce_samples(samples: DataFrame, setups: list[Setup]) -> DataFrame:
 
 def run_method(name: str, cells: np.ndarray, power: float, s: Setup, base: EngineConfig):
     """One method on one slice: atom, rho, T1 and T2 maps, and history."""
-    cfg = VARIANTS[name].but(lam=base.lam, k_max=base.k_max, rank=base.rank, tv_iters=base.tv_iters, spatial=base.spatial) if name in VARIANTS else base
+    known = {**VARIANTS, **STUDIES}
+    cfg = known[name].but(lam=base.lam, k_max=base.k_max, rank=base.rank, tv_iters=base.tv_iters, spatial=base.spatial) if name in known else base
     full = cells.shape[-1]
     r = min({"base_proj_grad": full, "base_proj_grad_ratio": full, "base_proj_lp": full, "base_subspace": 8}.get(name, cfg.rank), full)
     if name == "base_subspace_10":
@@ -122,7 +123,7 @@ def run_method(name: str, cells: np.ndarray, power: float, s: Setup, base: Engin
             by_bin = {k: x.rotated(w) for k, x in s.bin_atoms(full).items()}
             match = lambda z: project_bins(z, by_bin, s.bins, cfg.score)
     match = match or (lambda z: project(z, d, cfg.score))
-    if name in VARIANTS:
+    if name in known:
         out = reconstruct(b, power, enc, d, cfg, match)
         return out.atom, out.rho * top, s.dictionary.t1[out.atom], s.dictionary.t2[out.atom], out.history
     atom, rho, history = baselines.run(name, part / top, b, power, enc, d, cfg, match)

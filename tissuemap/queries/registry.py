@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import model, relational, vectors
+from . import experiments, model, relational, streams, vectors
 
-MODULES = (model, vectors, relational)
+MODULES = (model, vectors, relational, streams, experiments)
 
 
 def queries() -> dict:
