@@ -47,8 +47,9 @@ def digest(docs: DataFrame) -> DataFrame:
 def place(weights: np.ndarray, bins: int) -> np.ndarray:
     """Shard of each item (rows of ``weights``: bytes, words, rows).
 
-    Capacities are the totals over ``bins``. Residuals may go below zero for the
-    last items, so the dot product keeps steering towards the emptiest shard.
+    Capacities are the totals over ``bins``. Of the shards that have room for the
+    item's bytes the one with the highest dot product takes it; where none has, as
+    for the last items, the one with the most bytes left does.
     """
     total = np.maximum(weights.sum(axis=0), 1.0)
     unit = weights * (bins / total)
@@ -58,7 +59,8 @@ def place(weights: np.ndarray, bins: int) -> np.ndarray:
     out = np.zeros(len(unit), np.int32)
     for i in order:
         v = unit[i]
-        best = int(np.argmax(left @ v))
+        room = left[:, 0] >= v[0]
+        best = int(np.argmax(np.where(room, left @ v, -np.inf) if room.any() else left[:, 0]))
         out[i] = best
         left[best] -= v
     return out
