@@ -50,6 +50,10 @@ RULES = (
     Rule("lines repeat", "dup_lines_per_line", high=0.6),
 )
 
+BASE = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
+METRICS = ("chars_per_word", "symbols_per_word", "shouts_per_word", "capitals_per_char", "distinct_stops", "dup_lines_per_line")
+COMPUTED = (*BASE, *METRICS, "broken", "base_failed", "kept")
+
 
 def _count_of(text: Column, chars: str) -> Column:
     return F.length(text) - F.length(F.translate(text, chars, ""))
@@ -125,15 +129,15 @@ def judge(docs: DataFrame, rules: tuple[Rule, ...] = RULES, text: str = "text")
     out = out.withColumn("broken", F.array_compact(F.array(*names)) if names else F.array().cast("array<string>"))
     out = out.withColumn("base_failed", base_failed(F.col("n_words"), F.col("n_repeat_words")))
     out = out.withColumn("kept", ~F.col("base_failed") & (F.size("broken") == 0))
-    return out.drop("_body", "_words", "_grams", "_twice", "_lines")
+    own = [c for c in docs.columns if c not in COMPUTED]
+    # a filter on the result would be pushed below the projections, and so put
+    # the splitting of a text inside the functions that run for each of its
+    # words; nothing is pushed below a generator that makes the columns
+    made = F.explode_outer(F.array(F.struct(*COMPUTED))).alias("_made")
+    return out.select(*[F.col(f"`{c}`") for c in own], made).select(*[F.col(f"`{c}`") for c in own], "_made.*")
 
 
 def keep(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """The documents that pass, with the columns they came with."""
     row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")
-    judged = judge(docs.select(row, F.col("text")), rules)
-    # a filter on ``kept`` would be pushed below the projections and so put the
-    # splitting of a text inside the functions that run for each of its words;
-    # a generator's output cannot be pushed below it
-    passed = judged.select(F.explode_outer(F.when(F.col("kept"), F.array("_row"))).alias("_kept"))
-    return passed.filter("_kept is not null").select("_kept.*")
+    return judge(docs.select(row, F.col("text")), rules).filter("kept").select("_row.*")
