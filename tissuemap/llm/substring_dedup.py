@@ -38,6 +38,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import materialise, run_starts, text_bytes
 
@@ -321,8 +322,8 @@ def dedup_rows(docs: DataFrame, least: int = 1) -> DataFrame:
     """
     row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")
     body = docs.select("doc_id", "text", row)
-    kind = body.schema["_row"].dataType.simpleString()
-    out = _joined(body, "_row").mapInArrow(_rewrite(True), f"_row {kind}, n_words long, n_removed long, kept_sha256 string, kept_text string")
+    shape = T.StructType([body.schema["_row"], *T.StructType.fromDDL("n_words long, n_removed long, kept_sha256 string, kept_text string")])
+    out = _joined(body, "_row").mapInArrow(_rewrite(True), shape)
     out = out.filter((F.col("n_removed") == 0) | (F.col("n_words") - F.col("n_removed") >= least))
     text = F.when(F.col("n_removed") > 0, F.col("kept_text")).otherwise(F.col("_row.text"))
     fixed = {"text": text} | ({"n_chars": F.when(F.col("n_removed") > 0, F.length("kept_text").cast("long")).otherwise(F.col("_row.n_chars"))} if "n_chars" in docs.columns else {})
