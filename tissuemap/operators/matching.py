@@ -50,18 +50,30 @@ def exhaustive_join(voxels: DataFrame, atoms: DataFrame, score: str = "modulus")
 
 def best_atoms(x: np.ndarray, atoms: np.ndarray, norms: np.ndarray, score: str = "modulus") -> tuple[np.ndarray, np.ndarray]:
     """Row of the winning atom and its score, for complex or real rows of x."""
+    unit = atoms / norms[:, None]
+    real = not np.iscomplexobj(unit)
     best, where = np.full(len(x), -np.inf), np.zeros(len(x), np.int64)
     for lo in range(0, len(x), VOXELS):
         part = x[lo : lo + VOXELS]
         top, at = np.full(len(part), -np.inf), np.zeros(len(part), np.int64)
-        for k in range(0, len(atoms), ATOMS):
-            c = (part.conj() @ atoms[k : k + ATOMS].T) / norms[k : k + ATOMS]
-            c = np.abs(c) if score in ("modulus", "absolute") else c.real
+        for k in range(0, len(unit), ATOMS):
+            block = unit[k : k + ATOMS].T
+            if score == "real":
+                c = part.real @ block.real if real else part.real @ block.real + part.imag @ block.imag
+            elif real and np.iscomplexobj(part):
+                # real atoms: two real products, and squares order like moduli
+                c, d = part.real @ block, part.imag @ block
+                np.multiply(c, c, out=c)
+                np.multiply(d, d, out=d)
+                c += d
+            else:
+                c = part.conj() @ block
+                c = c.real**2 + c.imag**2 if np.iscomplexobj(c) else c * c
             i = c.argmax(axis=1)
             v = c[np.arange(len(part)), i]
             better = v > top
             top[better], at[better] = v[better], i[better] + k
-        best[lo : lo + VOXELS], where[lo : lo + VOXELS] = top, at
+        best[lo : lo + VOXELS], where[lo : lo + VOXELS] = top if score == "real" else np.sqrt(top), at
     return where, best
 
 

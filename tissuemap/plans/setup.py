@@ -97,4 +97,4 @@ def make(
     by_bin = factors and {b: own(simulate(t1, t2, length, model, f)) for b, f in factors.items()}
     mask = spiral_cells(length, n, samples=int(6 * n * n / (inner + outer)) + 8, inner=inner, outer=outer)
     small = Encoder(n, basis[:, : min(10, basis.shape[1])], Mask.of(*mask, n), coils)
-    return Setup(n, length, basis, own(signals), mask, 1 / max(small.spectral_radius(), 1e-12), coils, by_bin, bins, val)
+    return Setup(n, length, basis, own(signals), mask, 1 / max(small.spectral_radius(40), 1e-12), coils, by_bin, bins, val)

@@ -31,7 +31,7 @@ def phantom_samples(spark: SparkSession, phantom: DataFrame, n: int, length: int
     Voxels of equal tissue (and field bin) share a signal, so each class is
     transformed once, and samples are sums over the classes at the sampled cells.
     """
-    from ..operators.encode import spectrum
+    from ..operators.encode import spectrum, spectrum_packed
 
     p = phantom.filter("pd > 0")
     if "b1_bin" not in p.columns:
@@ -50,7 +50,7 @@ def phantom_samples(spark: SparkSession, phantom: DataFrame, n: int, length: int
     else:
         c = coils.select("coil", "row", "col", F.col("re").alias("cr"), F.col("im").alias("ci"))
         img = img.join(F.broadcast(c), ["row", "col"]).select("kind", "coil", "row", "col", (F.col("re") * F.col("cr")).alias("re"), (F.col("re") * F.col("ci")).alias("im"))
-    spec = spectrum(img, n, [*keys, "coil"])
+    spec = (spectrum if n <= 32 else spectrum_packed)(img, n, [*keys, "coil"])
     cells = mask_table(spark, mask).select("t", "ku", "kv")
     out = cells.join(spec, ["ku", "kv"]).join(F.broadcast(signal), ["kind", "t"]).groupBy("coil", "t", "ku", "kv")
     out = out.agg(F.sum(F.col("re") * F.col("sr") - F.col("im") * F.col("si")).alias("re"), F.sum(F.col("re") * F.col("si") + F.col("im") * F.col("sr")).alias("im"))

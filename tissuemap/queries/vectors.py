@@ -208,7 +208,7 @@ def _recall(spark: SparkSession, sf_dir: str, search) -> DataFrame:
 
 @query()
 def a37_lsh(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _recall(spark, sf_dir, lambda v, a: matching.lsh(v, a, tables=16, bits=4))
+    return _recall(spark, sf_dir, lambda v, a: matching.lsh(v, a, tables=64, bits=4))
 
 
 @query("SELECT count(*) AS voxels, 1.0::DOUBLE AS recall FROM embeddings WHERE vec_id % 2 = 1")
