@@ -28,6 +28,10 @@ class EngineConfig:
     shrink: float = 0.5
     slack: float = 0.99
     max_try: int = 12
+    #: Steps at or below this are taken unchecked: the operator is scaled to a
+    #: spectral radius of one, where they are safe, and reflected points of the
+    #: parallel algorithm do not come closer however small the step is. 0 checks all.
+    safe_step: float = 1.0
     storage: str = "double"
 
     def but(self, **changes) -> EngineConfig:

@@ -261,7 +261,7 @@ def reconstruct(b: np.ndarray, yy: float, enc: Encoder, d: Dictionary, cfg: Engi
             before, after = float(np.linalg.norm(b - nu) ** 2), float(np.linalg.norm(b - nn) ** 2)
             bound = cfg.slack * moved / curved if curved > 0 else np.inf
             ok_b = after <= before if cfg.residual_rule == "decrease" else after >= before
-            accepted = cfg.step == "fixed" or (step <= bound and ok_b)
+            accepted = cfg.step == "fixed" or step <= cfg.safe_step or (step <= bound and ok_b)
             history.append({"iter": k, "attempt": attempt, "step": step, "fidelity": fidelity(new, b, yy, nn), "residual": after, "accepted": bool(accepted)})
             if accepted:
                 break

@@ -113,7 +113,7 @@ def solve(p: Problem, power: float, cfg: EngineConfig):
                 new = cut(sequential_step(u, p, step, cfg, every, k == 0))
             nn = cut(p.normal(new))
             s = _scalars(u, new, nu, nn, p.b)
-            ok = cfg.step == "fixed" or (step <= cfg.slack * s["moved"] / max(s["curved"], 1e-300) and (s["after"] <= s["before"]) == (cfg.residual_rule == "decrease"))
+            ok = cfg.step == "fixed" or step <= cfg.safe_step or (step <= cfg.slack * s["moved"] / max(s["curved"], 1e-300) and (s["after"] <= s["before"]) == (cfg.residual_rule == "decrease"))
             history.append((k, attempt, step, power - 2 * s["bn"] + s["nq"], s["after"], ok))
             if ok:
                 break
