@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import experiments, model, relational, streams, vectors
+from . import experiments, extras, model, relational, streams, vectors
 
-MODULES = (model, vectors, relational, streams, experiments)
+MODULES = (model, vectors, relational, streams, experiments, extras)
 
 
 def queries() -> dict:
