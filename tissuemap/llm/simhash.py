@@ -205,7 +205,10 @@ def _search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def links(distinct: DataFrame) -> DataFrame:
     """u, v: fingerprints of ``distinct`` (fp) that link, enough to connect all."""
-    keys = distinct.select("fp").mapInArrow(_emit_keys, "key int, fp long, probe boolean")
+    # a fingerprint gives some 90 rows, so the few files of fingerprints are dealt
+    # to all tasks first
+    spread = int(distinct.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    keys = distinct.select("fp").repartition(spread).mapInArrow(_emit_keys, "key int, fp long, probe boolean")
     parts = keys.repartition("key").sortWithinPartitions("key")
     return parts.mapInArrow(_search, "u long, v long").distinct()
 
