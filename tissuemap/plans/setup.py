@@ -43,6 +43,19 @@ def spiral_cells(length: int, n: int, samples: int, inner: float, outer: float)
     return t, cells // n, cells % n, length / met
 
 
+def gain_weights(t, ku, kv, n: int, basis: np.ndarray) -> np.ndarray:
+    """Weights under which every sampled cell has a gain of one: the inverse of
+    the largest eigenvalue of what its time points add up to in the basis.
+
+    Counting repetitions alone leaves cells whose few time points resemble each
+    other with several times the gain of others. The largest of them then fixes
+    the step, and the rest converge slowly.
+    """
+    plain = Encoder(n, basis, Mask.of(t, ku, kv, np.ones(len(t)), n))
+    top = np.linalg.eigvalsh(plain.kernel)[:, -1]
+    return 1 / np.maximum(top[np.asarray(ku) * n + np.asarray(kv)], 1e-12)
+
+
 @lru_cache(8)
 def grid_arrays(every: int = 1) -> tuple[np.ndarray, np.ndarray]:
     pairs = [(a, b) for a in values(T1_RANGES) for b in values(T2_RANGES) if a >= b][::every]
@@ -96,5 +109,6 @@ def make(
     own = lambda s: Dictionary(s @ basis, np.linalg.norm(s @ basis, axis=1), t1, t2)
     by_bin = factors and {b: own(simulate(t1, t2, length, model, f)) for b, f in factors.items()}
     mask = spiral_cells(length, n, samples=int(6 * n * n / (inner + outer)) + 8, inner=inner, outer=outer)
+    mask = (*mask[:3], gain_weights(*mask[:3], n, basis[:, : min(10, basis.shape[1])]))
     small = Encoder(n, basis[:, : min(10, basis.shape[1])], Mask.of(*mask, n), coils)
     return Setup(n, length, basis, own(signals), mask, 1 / max(small.spectral_radius(40), 1e-12), coils, by_bin, bins, val)
