@@ -246,10 +246,8 @@ _TEXT = """gr AS (SELECT {id} AS id, (('0x' || substr(md5(lower(substr(text, i,
 
 
 def _text_vectors(df: DataFrame, key: str) -> DataFrame:
-    """Unit vectors of hashed letter 3-grams, long: id, t, v. A fingerprint is of
-    fixed length, here of the first 400 characters."""
-    n = F.least(F.length("text"), F.lit(400))
-    grams = df.filter(F.length("text") >= 3).select(F.col(key).alias("id"), "text", F.explode(F.sequence(F.lit(1), n - 2)).alias("i"))
+    """Unit vectors of hashed letter 3-grams of the whole text, long: id, t, v."""
+    grams = df.filter(F.length("text") >= 3).select(F.col(key).alias("id"), "text", F.explode(F.sequence(F.lit(1), F.length("text") - 2)).alias("i"))
     code = F.conv(F.substring(F.md5(F.lower(F.substring(F.col("text"), F.col("i"), F.lit(3)))), 1, 4), 16, 10).cast("int") % 256
     count = grams.groupBy("id", code.alias("t")).agg(F.count("*").cast("double").alias("v"))
     norm = count.groupBy("id").agg(F.sqrt(F.sum(F.col("v") ** 2)).alias("n"))
