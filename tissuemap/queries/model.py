@@ -52,34 +52,30 @@ def a02_schedule(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sequence.pulse_schedule(spark, 300).select("t", *r6("tr_ms", "fa_deg"))
 
 
-def _small(spark: SparkSession) -> DataFrame:
-    return dictionary.param_grid(spark).filter(F.col("atom_id") % 25 == 0)
-
-
 _GRID_SMALL = f"{fx.sql_grid()}, few AS (SELECT * FROM grid WHERE atom_id % 25 = 0), {fx.sql_schedule()}"
 
 
 @query(f"WITH RECURSIVE {_GRID_SMALL}, {fx.sql_signal('few', 'atom_id', 'sig')} SELECT atom_id, t, {q6('v', 'v')} FROM sig")
 def a03_fold_signal(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = dictionary.simulate_fold(_small(spark), sequence.pulse_schedule(spark, fx.L))
+    out = dictionary.simulate_fold(dictionary.param_grid(spark), sequence.pulse_schedule(spark, fx.L))
     return out.select("atom_id", F.posexplode("sig").alias("t", "v")).select("atom_id", "t", *r6("v"))
 
 
 @query(f"WITH RECURSIVE {_GRID_SMALL}, {fx.sql_signal('few', 'atom_id', 'sig', 'spoiled')} SELECT atom_id, t, {q6('v', 'v')} FROM sig")
 def a03_spoiled_signal(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = dictionary.simulate_fold(_small(spark), sequence.pulse_schedule(spark, fx.L), "spoiled")
+    out = dictionary.simulate_fold(dictionary.param_grid(spark), sequence.pulse_schedule(spark, fx.L), "spoiled")
     return out.select("atom_id", F.posexplode("sig").alias("t", "v")).select("atom_id", "t", *r6("v"))
 
 
 @query()
 def a04_epg_signal(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = dictionary.build(_small(spark), sequence.pulse_schedule(spark, 60), "epg")
+    out = dictionary.build(dictionary.param_grid(spark), sequence.pulse_schedule(spark, 60), "epg")
     return out.select("atom_id", "t1", "t2", *r6("norm"))
 
 
 @query(f"WITH RECURSIVE {_GRID_SMALL}, {fx.sql_signal('few', 'atom_id', 'sig')} SELECT atom_id, {q6('sqrt(sum(v * v))', 'norm')} FROM sig GROUP BY atom_id")
 def a05_dict_norms(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return dictionary.build(_small(spark), sequence.pulse_schedule(spark, fx.L)).select("atom_id", *r6("norm"))
+    return dictionary.build(dictionary.param_grid(spark), sequence.pulse_schedule(spark, fx.L)).select("atom_id", *r6("norm"))
 
 
 _PART = "pp AS (SELECT p_partkey AS atom_id, p_retailprice AS t1, p_size::DOUBLE AS t2 FROM part WHERE p_retailprice >= p_size AND p_partkey % 20 = 0)"
@@ -87,7 +83,7 @@ _PART = "pp AS (SELECT p_partkey AS atom_id, p_retailprice AS t1, p_size::DOUBLE
 
 @query(f"WITH RECURSIVE {_PART}, {fx.sql_schedule()}, {fx.sql_signal('pp', 'atom_id', 'sig')} SELECT atom_id, {q6('sqrt(sum(v * v))', 'norm')} FROM sig GROUP BY atom_id")
 def a05_dict_norms_part(spark: SparkSession, sf_dir: str) -> DataFrame:
-    p = read(spark, sf_dir, "part").filter((F.col("p_retailprice") >= F.col("p_size")) & (F.col("p_partkey") % 20 == 0))
+    p = read(spark, sf_dir, "part").filter(F.col("p_retailprice") >= F.col("p_size"))
     params = p.select(F.col("p_partkey").alias("atom_id"), F.col("p_retailprice").alias("t1"), F.col("p_size").cast("double").alias("t2"))
     return dictionary.build(params, sequence.pulse_schedule(spark, fx.L)).select("atom_id", *r6("norm"))
 

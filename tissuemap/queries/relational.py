@@ -293,7 +293,7 @@ def f28_salted(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(f"SELECT event_id, {q6('sin(value) + cos(value) + atan2(value, 2)', 'trig')}, {q6('sqrt(abs(value)) + ln(1 + abs(value)) + exp(-abs(value))', 'growth')}, {q6('floor(value) + ceil(value) + sign(value)', 'steps')}, {q6('degrees(radians(value)) + power(value, 2)', 'angles')}, greatest(value, 3.0::DOUBLE) - least(value, 3.0::DOUBLE) AS spread FROM events WHERE event_id % 5 = 0")
 def g01_math(spark: SparkSession, sf_dir: str) -> DataFrame:
     v = F.col("value")
-    out = rd(spark, sf_dir, "events").filter("event_id % 5 = 0").select(
+    out = rd(spark, sf_dir, "events").select(
         "event_id", (F.sin(v) + F.cos(v) + F.atan2(v, F.lit(2.0))).alias("trig"), (F.sqrt(F.abs(v)) + F.log(1 + F.abs(v)) + F.exp(-F.abs(v))).alias("growth"),
         (F.floor(v) + F.ceil(v) + F.signum(v)).cast("double").alias("steps"), (F.degrees(F.radians(v)) + F.pow(v, F.lit(2))).alias("angles"), (F.greatest(v, F.lit(3.0)) - F.least(v, F.lit(3.0))).alias("spread"),
     )
@@ -382,5 +382,5 @@ def i06_table_function(spark: SparkSession, sf_dir: str) -> DataFrame:
     from ..functions.udtf import register
 
     register(spark)
-    rd(spark, sf_dir, "embeddings").filter("vec_id % 50 = 0").createOrReplaceTempView("tm_vectors")
+    rd(spark, sf_dir, "embeddings").createOrReplaceTempView("tm_vectors")
     return spark.sql("SELECT vec_id, t.rank, t.value FROM tm_vectors, LATERAL top_entries(embedding, 3) t")
