@@ -132,10 +132,14 @@ def _signatures(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for chunk in _chunks(batches):
         doc, mark, start, signature, whole = chunk.windows()
         new = np.zeros(len(doc), np.int64)
-        new[_breaks(doc, mark, start, signature)] = 1
-        # a run may repeat itself where the text has a short period
-        for step in range(1, min(WINDOW - GRAM + 1, len(whole))):
-            new[step:] += whole[step:] == whole[:-step]
+        at = _breaks(doc, mark, start, signature)
+        new[at] = 1
+        # a run may repeat itself, at any distance: all but the first of the
+        # equal windows of a run count as well
+        run = np.repeat(np.arange(len(at)), np.diff(np.append(at, len(doc))))
+        order = np.lexsort((whole, run))
+        r, w = run[order], whole[order]
+        new[order[1:][(r[1:] == r[:-1]) & (w[1:] == w[:-1])]] += 1
         s = np.sort(np.repeat(signature, new))
         at = run_starts(s)
         yield pa.record_batch([pa.array(s[at].view(np.int64)), pa.array(np.diff(np.append(at, len(s))).astype(np.int32))], ["sig", "n"])
