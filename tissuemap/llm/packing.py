@@ -50,23 +50,23 @@ def encoder(path: str) -> tiktoken.Encoding:
     """The vocabulary of a byte-level BPE file, in a fast engine.
 
     In such files bytes stand as printable characters; ids follow merge order, so
-    they double as ranks. Special tokens are left out and so are ordinary text.
+    they double as ranks. Special tokens keep their ids and are found in texts.
     """
     spec = json.load(open(path, encoding="utf-8"))
     plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
     chars = {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(b for b in range(256) if b not in plain)}
-    special = {t["content"] for t in spec.get("added_tokens", ())}
+    special = {t["content"]: t["id"] for t in spec.get("added_tokens", ())}
     ranks = {bytes(chars[c] for c in token): i for token, i in spec["model"]["vocab"].items() if token not in special}
-    return tiktoken.Encoding("byte_bpe", pat_str=PIECES, mergeable_ranks=ranks, special_tokens={})
+    return tiktoken.Encoding("byte_bpe", pat_str=PIECES, mergeable_ranks=ranks, special_tokens=special)
 
 
 def _pieces(path: str, size: int, end: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode = encoder(path).encode_ordinary
+        engine = encoder(path)
         for b in batches:
             source, piece, start, length, crc = [], [], [], [], []
             for i, text in enumerate(b.column("text").to_pylist()):
-                ids = encode(text) if text else []
+                ids = engine.encode(text, allowed_special="all") if text else []
                 ids.append(end)
                 raw = np.array(ids, "<u4").tobytes()
                 n = len(ids)
