@@ -33,6 +33,8 @@ SPACE = re.compile(r"\s+")
 RAW = frozenset("script style template noscript textarea title iframe xmp noembed noframes".split())
 #: Elements that hold no article text.
 VOID_TEXT = frozenset("nav footer aside form button select dialog menu svg canvas object audio video map head fieldset datalist".split()) | RAW
+#: Elements that may stand in a head; any other tag, and text, ends it.
+HEAD = frozenset("base basefont bgsound link meta noframes noscript script style template title".split())
 #: Elements without content.
 EMPTY = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 BLOCK = frozenset(
@@ -95,11 +97,18 @@ class _Blocks:
         self.at_article = self.articles > 0
 
     def _text(self, raw: str) -> None:
+        if raw and not raw.isspace():
+            self._end_head()
         if not self.dropped and raw:
             self.parts.append(raw)
             if self.links:
                 self.linked += len(raw)
 
+    def _end_head(self) -> None:
+        """Close a head whose end tag is omitted."""
+        if self.stack and self.stack[-1][0] == "head":
+            self._pop()
+
     def _pop(self) -> None:
         tag, drop = self.stack.pop()
         self.dropped -= drop
@@ -143,6 +152,8 @@ class _Blocks:
             if m[2]:
                 self._close(tag)
                 continue
+            if tag not in HEAD:
+                self._end_head()
             if tag in RAW:
                 end = re.compile(rf"</{tag}\s*>", re.I).search(page, at)
                 at = end.end() if end else len(page)
