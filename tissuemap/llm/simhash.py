@@ -68,13 +68,13 @@ def fingerprint(text: bytes, k: int = SHINGLE) -> int:
 def _fingerprints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
         out = np.array([fingerprint(t) for t in text_bytes(b.column("text"))], dtype=np.uint64).view(np.int64)
-        yield pa.record_batch([b.column("doc_id"), pa.array(out)], ["doc_id", "fp"])
+        yield pa.record_batch([b.column("doc_id"), b.column("mark"), pa.array(out)], ["doc_id", "mark", "fp"])
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
-    """doc_id and fingerprint (as a signed long) of each document."""
+    """doc_id, hash of the text and fingerprint (a signed long) of each document."""
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(_fingerprints, f"doc_id {kind}, fp long")
+    return docs.select("doc_id", "text", F.xxhash64("text").alias("mark")).mapInArrow(_fingerprints, f"doc_id {kind}, mark long, fp long")
 
 
 def _remainders(x: np.ndarray) -> np.ndarray:
@@ -213,16 +213,42 @@ def links(distinct: DataFrame) -> DataFrame:
     return parts.mapInArrow(_search, "u long, v long").distinct()
 
 
-def near_duplicates(docs: DataFrame) -> DataFrame:
-    """doc_id, fp, component_id (smallest doc_id of the component) of each row."""
+def _labelled(docs: DataFrame) -> DataFrame:
+    """doc_id, mark, fp, root, component_id of each row."""
     prints = materialise(fingerprints(docs), "prints")
     classes = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("first")), "classes")
     roots = components(links(classes))
     joined = classes.join(roots, classes.fp == roots.node, "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
     joined = materialise(joined, "joined")
     ids = materialise(joined.groupBy("root").agg(F.min("first").alias("component_id")), "ids")
-    labels = materialise(joined.join(ids, "root").select("fp", "component_id"), "labels")
-    return prints.join(labels, "fp").select("doc_id", "fp", "component_id")
+    labels = materialise(joined.join(ids, "root").select("fp", "root", "component_id"), "labels")
+    return prints.join(labels, "fp")
+
+
+def near_duplicates(docs: DataFrame) -> DataFrame:
+    """doc_id, fp, component_id (smallest doc_id of the component) of each row."""
+    return _labelled(docs).select("doc_id", "fp", "component_id")
+
+
+def first_of(rows: DataFrame, key: str) -> DataFrame:
+    """key, doc_id, mark of the first row of each key: ids in order, null after
+    all others, then the hash of the text."""
+    best = rows.groupBy(key).agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "mark")).alias("b"))
+    return best.select(key, "b.doc_id", "b.mark")
+
+
+def pick(docs: DataFrame, chosen: DataFrame) -> DataFrame:
+    """One row of ``docs`` for each doc_id and mark of ``chosen``, with all its
+    columns. A text belongs to one component, so these two tell rows apart."""
+    from pyspark.sql import Window
+
+    few = chosen.select(F.col("doc_id").alias("_id"), F.col("mark").alias("_of"))
+    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")
+    body = docs.select("doc_id", F.xxhash64("text").alias("_mark"), row)
+    kept = body.join(few, body.doc_id.eqNullSafe(few._id) & (body._mark == few._of), "left_semi")
+    # rows of one id and text are copies of one document
+    rank = F.row_number().over(Window.partitionBy("doc_id", "_mark").orderBy("_mark"))
+    return kept.withColumn("_rank", rank).filter("_rank = 1").select("_row.*")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
@@ -231,13 +257,4 @@ def keep_one(docs: DataFrame) -> DataFrame:
     Of rows that repeat this id the first by text stays; rows without an id stay
     only if nothing else of their component does, and then one of them.
     """
-    from pyspark.sql import Window
-
-    near = near_duplicates(docs).filter(F.col("doc_id").eqNullSafe(F.col("component_id")))
-    chosen = near.select(F.col("doc_id").alias("_id")).distinct()
-    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")
-    body = docs.select("doc_id", "text", row)
-    kept = body.join(chosen, body.doc_id.eqNullSafe(chosen._id), "left_semi")
-    # ids are unique in a sound table, so this ranks groups of one
-    rank = F.row_number().over(Window.partitionBy("doc_id").orderBy(F.xxhash64("text")))
-    return kept.withColumn("_rank", rank).filter("_rank = 1").select("_row.*")
+    return pick(docs, materialise(first_of(_labelled(docs), "root"), "first"))
