@@ -381,9 +381,9 @@ def test_token_ids_equal_the_public_tokenizer():
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(PATH)
-    t.encode_special_tokens = True
     texts = [r[1] or "" for r in corpus()] + ["<|endoftext|> plain", "tabs\t\tand\r\n lines  ", "日本語 emoji 🙂 'll it's", "a" * 3000]
-    assert [packing.encoder(PATH).encode_ordinary(x) for x in texts] == [e.ids for e in t.encode_batch(texts, add_special_tokens=False)]
+    texts += [" " * 1_500_000, "x" + "\n" * 1_200_000 + " y", "ab cd " * 300_000]
+    assert [packing.token_ids(x, PATH) for x in texts] == [e.ids for e in t.encode_batch(texts, add_special_tokens=False)]
 
 
 def test_packing_places_every_token_once(spark, docs):
@@ -391,7 +391,7 @@ def test_packing_places_every_token_once(spark, docs):
     got = packing.pack(docs, PATH, size).collect()
     texts, at = {r[0]: r[1] for r in corpus()}, {}
     for r in got:
-        ids = [*packing.encoder(PATH).encode_ordinary(texts[r["doc_id"]] or ""), 2]
+        ids = [*packing.token_ids(texts[r["doc_id"]], PATH), 2]
         part = ids[r["start"] : r["start"] + r["length"]]
         assert len(part) == r["length"] <= size and zlib.crc32(np.array(part, "<u4").tobytes()) == r["ids_crc32"]
         assert r["piece"] == 0 or r["length"] == size
@@ -406,31 +406,39 @@ def test_packing_places_every_token_once(spark, docs):
     assert len(at) <= packing.lower_bound(counts, size) + 1
 
 
-@pytest.mark.parametrize("seed", range(6))
-def test_solver_is_near_the_optimum(seed):
+@pytest.mark.parametrize("seed", range(40))
+def test_solver_finds_the_optimum(seed):
     r = random.Random(seed)
-    counts = np.zeros(41, np.int64)
-    for _ in range(9):
-        counts[r.randint(3, 38)] += 1
-    items = sorted((i for i, c in enumerate(counts) for _ in range(c)), reverse=True)
-
-    def fits(k, left):
-        if k == len(items):
-            return True
-        tried = set()
-        for b in range(len(left)):
-            if left[b] >= items[k] and left[b] not in tried:
-                tried.add(left[b])
-                left[b] -= items[k]
-                if fits(k + 1, left):
-                    return True
-                left[b] += items[k]
-        return False
-
-    best = next(n for n in range(1, 10) if fits(0, [40] * n))
-    plan = packing.solve(counts, 40)
-    assert Counter(v for p, t in plan for v in p * t) == Counter(items)
-    assert packing.lower_bound(counts, 40) <= best <= sum(t for _, t in plan) <= best + 1
+    size = r.choice([10, 20, 40])
+    items = [r.randint(1, size) if seed % 2 else r.randint(max(1, size // 6), size * 2 // 3) for _ in range(r.randint(1, 11))]
+    # fewest sequences, and least in the last of them, of every subset of the pieces
+    fewest = [(1, 0)] + [(99, 0)] * ((1 << len(items)) - 1)
+    for m in range(1, len(fewest)):
+        for i, v in enumerate(items):
+            if m >> i & 1:
+                n, used = fewest[m ^ 1 << i]
+                fewest[m] = min(fewest[m], (n, used + v) if used + v <= size else (n + 1, v))
+    counts = np.bincount(items, minlength=size + 1)
+    found = packing.solve(counts, size)
+    assert Counter(v for p, t in found.plan for v in p * t) == Counter(items) and all(sum(p) <= size for p, _ in found.plan)
+    assert found.proven and packing.lower_bound(counts, size) <= found.sequences == fewest[-1][0]
+
+
+def test_solver_says_when_its_steps_run_out():
+    r = np.random.default_rng(3)
+    counts = np.bincount(r.integers(90, 400, 300), minlength=1025)
+    short, long = packing.solve(counts, 1024, 40), packing.solve(counts, 1024, 20_000)
+    assert not short.proven and short.steps == 40 and long.sequences <= short.sequences
+    for found in (short, long):
+        assert (np.bincount([v for p, t in found.plan for v in p * t], minlength=1025) == counts).all()
+
+
+def test_dominated_fillings_are_left_out():
+    left = np.bincount([300, 150, 80, 70, 70, 70, 4], minlength=525)
+    found = list(packing.fillings(left, 524, 30, packing._Steps(10_000)))
+    assert (300, 150, 70, 4) in found and not any(f[:3] == (300, 80, 70) for f in found)
+    whole = [f for f in found if packing.dominated(f, left, 524)]
+    assert not whole and [sum(f) for f in found] == sorted((sum(f) for f in found), reverse=True)
 
 
 # --- top-k -----------------------------------------------------------------------------
