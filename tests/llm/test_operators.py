@@ -258,7 +258,10 @@ def test_dedup_over_small_chunks(spark, docs, monkeypatch):
 def test_rolling_minimum_and_digest():
     rng = np.random.default_rng(1)
     x = rng.integers(0, 1 << 63, 100).astype(np.uint64)
-    assert substring_dedup._least_of(x, 13).tolist() == [int(x[i : i + 13].min()) for i in range(88)]
+    x[40:60] = x[35]  # ties: the leftmost place
+    least, at = substring_dedup._least_of(x, 13)
+    assert least.tolist() == [int(x[i : i + 13].min()) for i in range(88)] and at.tolist() == [i + int(x[i : i + 13].argmin()) for i in range(88)]
+    x = rng.integers(0, 1 << 63, 100).astype(np.uint64)
     y = np.concatenate([x, x])
     d = substring_dedup._rolling(y, 20)
     assert d[3] == d[103] and len(set(d[:100].tolist())) == 100

@@ -1,30 +1,35 @@
-"""Substring deduplication over prefix-partitioned suffix groups.
-
-Every word position with at least ``WINDOW`` words after it starts a suffix; two
-suffixes whose first ``WINDOW`` words agree meet in a node of a suffix tree at
-that depth, and all but the earliest of them are repeats. The tree is never built
-as a whole. Suffixes are split into groups by a signature of their prefix, the
-least hash among the 8-word grams in the first 20 words; equal prefixes have
-equal signatures, so a group holds whole subtrees, and neighbouring suffixes
-mostly share one, so that a run of them travels as one row. Within a group the
-branches are told apart by a 64-bit digest of the 20 words.
-
-Steps
-1. Signatures are counted; one that occurs once can hold no repeat. The others
-   go into a bit filter of fixed size (false hits only cost time, and a full
-   filter only lets everything pass).
-2. Runs with a passing signature are emitted. Before that each task settles what
-   it can: of equal prefixes in a chunk only the earliest is sent on, the rest
-   are repeats at once. A passage that a third of all documents hold thus reaches
-   the shuffle once per chunk, not once per document.
-3. Groups are read in sorted order as a stream; later members of a node become
-   spans to remove.
-4. Spans join the texts by document and the kept words are put together.
+"""Substring deduplication over prefix-partitioned suffix trees of words.
+
+Two suffixes whose first ``WINDOW`` words agree pass through one node of a suffix
+tree at that depth; all but the earliest suffix below a node are repeats. Merged,
+the repeated windows are the maximal repeats.
+
+Which suffixes stand in the tree. Of the 13 word 8-grams in a window the one with
+the least hash, the leftmost of equals, is its anchor. Equal windows have their
+anchors at the same place, so a tree of the suffixes that begin at anchors, one in
+seven, decides all windows: a window that begins ``o`` words before its anchor
+repeats if two anchored suffixes agree in 20 - o words to the right and o words to
+the left. The windows of one anchor travel as one row with their words.
+
+Partition. Anchored suffixes are grouped by a prefix of eight words. Prefixes are
+counted first. One that occurs once has a leaf below it and no node, and is left
+out. One that occurs more often than a group may hold is lengthened to the depth
+that decides, where each group is a single node, and a node needs no task of its
+own: its earliest suffix is a minimum, added up on the map side.
+
+In a group, suffixes are sorted by the words to the right of the anchor, and the
+words shared with the neighbour give the nodes at every depth; the same is done to
+the left. Words are compared themselves, not only their hashes.
+
+Of equal windows in one chunk of documents only the earliest is sent on, the rest
+are repeats at once. A passage that a third of all documents hold thus reaches the
+shuffle once per chunk, not once per document.
 
 Defined results: a null or blank text has no words; a text below 20 words keeps
 all; equal rows (same id and text) count as one document, each keeping what the
 document keeps; a null id comes after all others; documents that share an id are
-ordered by a hash of the text; an empty table gives an empty result.
+ordered by a hash of the text, and ids that are not whole numbers by their hash;
+an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -35,6 +40,7 @@ from hashlib import sha256
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -44,10 +50,18 @@ from .common import materialise, run_starts, text_bytes
 
 WINDOW = 20
 GRAM = 8
+#: Words that a window may hold before its anchor.
+LEAD = WINDOW - GRAM
 #: Words handled at once in a task.
 CHUNK = 600_000
-#: Bits of the signature filter: 16 MB, whatever the input.
-FILTER_BITS = 1 << 27
+#: Rows that a group may hold: this many, or a ``HOT``-th of all rows if that is
+#: more, so that no more than HOT prefixes are lengthened.
+GROUP, HOT = 4096, 2_000_000
+#: Rows of whole groups that are solved together.
+BATCH = 20_000
+#: Bits of the filter of prefixes that occur twice: sixteen for each of them, up to
+#: the second figure (32 MB). A filter that holds more only lets more pass.
+FILTER_BITS = (1 << 20, 1 << 28)
 BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
 LAST = (1 << 63) - 1
 
@@ -75,42 +89,75 @@ def _rolling(h: np.ndarray, width: int) -> np.ndarray:
     return _mix((total[width:] - total[:-width]) * down[: len(h) - width + 1])
 
 
-def _least_of(x: np.ndarray, width: int) -> np.ndarray:
-    """Minimum of each run of ``width`` neighbours."""
-    step, out = 1, x
-    while step * 2 <= width:
-        out = np.minimum(out[:-step], out[step:])
-        step *= 2
-    return np.minimum(out[: len(out) - (width - step)], out[width - step :]) if step < width else out
+def _least_of(x: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
+    """Minimum of each run of ``width`` neighbours, and its leftmost place."""
+    least, at, have = x, np.arange(len(x)), 1
+    while have < width:
+        step = min(have, width - have)
+        right = least[step:] < least[:-step]
+        at = np.where(right, at[step:], at[:-step])
+        least, have = np.minimum(least[:-step], least[step:]), have + step
+    return least, at
 
 
 class _Chunk:
     """Words of some documents end to end, and their windows."""
 
     def __init__(self) -> None:
-        self.hashes: list[bytes] = []
+        self.words: list[bytes] = []
         self.docs: list[tuple[int, int, int]] = []
-        self.words = 0
 
     def add(self, doc: int, mark: int, words: list[bytes]) -> None:
-        digest = xxhash.xxh64_digest
-        self.hashes.append(b"".join([digest(w) for w in words]))
         self.docs.append((doc, mark, len(words)))
-        self.words += len(words)
+        self.words += words
 
-    def windows(self) -> tuple[np.ndarray, ...]:
-        """doc, mark, start, signature, digest of every window, in reading order."""
-        h = np.frombuffer(b"".join(self.hashes), np.uint64)
+    def windows(self) -> _Windows:
+        digest = xxhash.xxh64_digest
+        h = np.frombuffer(b"".join([digest(w) for w in self.words]), np.uint64)
         n = np.array([d[2] for d in self.docs])
-        first = np.concatenate(([0], np.cumsum(n)[:-1]))
-        at = np.arange(len(h)) - np.repeat(first, n)
-        good = at[: len(h) - WINDOW + 1] + WINDOW <= np.repeat(n, n)[: len(h) - WINDOW + 1]
-        signature = _least_of(_rolling(h, GRAM), WINDOW - GRAM + 1)[good]
-        whole = _rolling(h, WINDOW)[good]
-        who = np.repeat(np.arange(len(n)), n)[: len(good)][good]
-        doc = np.array([d[0] for d in self.docs], np.int64)[who]
-        mark = np.array([d[1] for d in self.docs], np.int64)[who]
-        return doc, mark, at[: len(good)][good].astype(np.int32), signature, whole
+        at = np.arange(len(h)) - np.repeat(np.cumsum(n) - n, n)
+        good = np.flatnonzero(at[: len(h) - WINDOW + 1] + WINDOW <= np.repeat(n, n)[: len(h) - WINDOW + 1])
+        prefix, anchor = _least_of(_rolling(h, GRAM), LEAD + 1)
+        who = np.repeat(np.arange(len(n)), n)[good]
+        doc, mark = (np.array([d[i] for d in self.docs], np.int64)[who] for i in (0, 1))
+        return _Windows(h, good, doc, mark, at[good].astype(np.int32), prefix[good], anchor[good], _rolling(h, WINDOW)[good])
+
+
+class _Windows:
+    """Parallel arrays over the windows of a chunk, in reading order: place in the
+    chunk, document, start in it, hash of the prefix at the anchor, the anchor's
+    place, digest of the window; and the hashes of all words."""
+
+    def __init__(self, h, place, doc, mark, start, prefix, anchor, digest) -> None:
+        self.h = h
+        self.columns = (place, doc, mark, start, prefix, anchor, digest)
+        self.place, self.doc, self.mark, self.start, self.prefix, self.anchor, self.digest = self.columns
+
+    def take(self, which: np.ndarray) -> _Windows:
+        return _Windows(self.h, *(c[which] for c in self.columns))
+
+    def runs(self) -> np.ndarray:
+        """Where a new run begins: another anchor, or a gap."""
+        if not len(self.place):
+            return np.zeros(0, np.int64)
+        same = (self.anchor[1:] == self.anchor[:-1]) & (self.place[1:] == self.place[:-1] + 1)
+        return np.concatenate(([0], np.flatnonzero(~same) + 1))
+
+    def first_and_later(self) -> tuple[_Windows, _Windows]:
+        """Of equal windows the earliest, and the others; windows of equal rows
+        (same document and start) are one, a copy is in neither."""
+        order = np.lexsort((self.start, self.mark, self.doc, self.digest, self.prefix))
+        s = self.take(order)
+        new = np.ones(len(order), bool)
+        new[1:] = (s.prefix[1:] != s.prefix[:-1]) | (s.digest[1:] != s.digest[:-1])
+        head = np.maximum.accumulate(np.where(new, np.arange(len(order)), 0))
+        rest = np.flatnonzero(~new)
+        words = np.lib.stride_tricks.sliding_window_view(self.h, WINDOW)
+        for lo in range(0, len(rest), 50_000):  # equal digests of unequal words
+            part = rest[lo : lo + 50_000]
+            new[part] = (words[s.place[part]] != words[s.place[head[part]]]).any(axis=1)
+        same = (s.doc == s.doc[head]) & (s.mark == s.mark[head]) & (s.start == s.start[head])
+        return self.take(np.sort(order[new])), self.take(order[~new & ~same])
 
 
 def _chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[_Chunk]:
@@ -121,157 +168,213 @@ def _chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[_Chunk]:
             words = text.split()
             if len(words) >= WINDOW:
                 chunk.add(doc, mark, words)
-                if chunk.words >= CHUNK:
+                if len(chunk.words) >= CHUNK:
                     yield chunk
                     chunk = _Chunk()
     if chunk.words:
         yield chunk
 
 
-def _signatures(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _prefixes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """How often each prefix begins an anchored suffix. Equal windows have places
+    of their own, so their anchors have too, and count one by one."""
     for chunk in _chunks(batches):
-        doc, mark, start, signature, whole = chunk.windows()
-        new = np.zeros(len(doc), np.int64)
-        at = _breaks(doc, mark, start, signature)
-        new[at] = 1
-        # a run may repeat itself, at any distance: all but the first of the
-        # equal windows of a run count as well
-        run = np.repeat(np.arange(len(at)), np.diff(np.append(at, len(doc))))
-        order = np.lexsort((whole, run))
-        r, w = run[order], whole[order]
-        new[order[1:][(r[1:] == r[:-1]) & (w[1:] == w[:-1])]] += 1
-        s = np.sort(np.repeat(signature, new))
-        at = run_starts(s)
-        yield pa.record_batch([pa.array(s[at].view(np.int64)), pa.array(np.diff(np.append(at, len(s))).astype(np.int32))], ["sig", "n"])
-
-
-def _breaks(doc: np.ndarray, mark: np.ndarray, start: np.ndarray, signature: np.ndarray) -> np.ndarray:
-    """Where a new run begins: other document, other signature, or a gap."""
-    same = (doc[1:] == doc[:-1]) & (mark[1:] == mark[:-1]) & (signature[1:] == signature[:-1]) & (start[1:] == start[:-1] + 1)
-    return np.concatenate(([0], np.flatnonzero(~same) + 1)) if len(doc) else np.zeros(0, np.int64)
-
-
-def _slots(signature: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    m = np.uint64(FILTER_BITS - 1)
-    return (signature & m).astype(np.int64), ((signature >> np.uint64(32)) & m).astype(np.int64)
-
-
-def _first_of(doc, mark, start, signature, whole) -> tuple[np.ndarray, np.ndarray]:
-    """Of windows with equal prefix: which come first, which later. Windows of
-    equal rows (same document, mark and start) are one: a copy is in neither."""
-    order = np.lexsort((start, mark, doc, whole, signature))
-    s, w, d, m, p = signature[order], whole[order], doc[order], mark[order], start[order]
-    new = np.ones(len(order), bool)
-    new[1:] = (s[1:] != s[:-1]) | (w[1:] != w[:-1])
-    head = np.maximum.accumulate(np.where(new, np.arange(len(order)), 0))
-    same = (d == d[head]) & (m == m[head]) & (p == p[head])
-    return order[new], order[~new & ~same]
+        w = chunk.windows()
+        p = np.sort(w.prefix[w.runs()])
+        at = run_starts(p)
+        yield pa.record_batch([pa.array(p[at].view(np.int64)), pa.array(np.diff(np.append(at, len(p))).astype(np.int32))], ["prefix", "n"])
+
+
+def _slots(prefix: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray]:
+    m = np.uint64(bits - 1)
+    return (prefix & m).astype(np.int64), ((prefix >> np.uint64(32)) & m).astype(np.int64)
 
 
 def _spans(doc, mark, start) -> list[pa.Array]:
     """Windows to remove as runs: doc, mark, start, count."""
     order = np.lexsort((start, mark, doc))
     doc, mark, start = doc[order], mark[order], start[order]
-    at = _breaks(doc, mark, start, np.zeros(len(doc)))
+    new = np.ones(len(doc), bool)
+    new[1:] = (doc[1:] != doc[:-1]) | (mark[1:] != mark[:-1]) | (start[1:] != start[:-1] + 1)
+    at = np.flatnonzero(new)
     return [pa.array(doc[at]), pa.array(mark[at]), pa.array(start[at]), pa.array(np.diff(np.append(at, len(doc))).astype(np.int32))]
 
 
-ROW = "sig long, doc long, mark long, start int, n int, digests binary"
+SUFFIX = "prefix long, doc long, mark long, start int, n int, at int, words binary"
+NODE = "words binary, doc long, mark long, start int, n int"
 
 
-def _runs(bits) -> object:
-    """Rows for the groups (digests set) and spans that are settled (sig null)."""
+def _suffixes(bits, hot):
+    """Anchored suffixes for the groups, and spans that are settled: these have no
+    words and a prefix made of the document, which deals them out."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = np.frombuffer(bits.value, np.uint8)
-        names = ["sig", "doc", "mark", "start", "n", "digests"]
-
-        def passes(signature: np.ndarray) -> np.ndarray:
-            a, b = _slots(signature)
-            return (held[a >> 3] >> (a & 7) & held[b >> 3] >> (b & 7) & 1).astype(bool)
-
+        held, often = np.frombuffer(bits.value, np.uint8), np.frombuffer(hot.value, np.uint64)
+        names = [c.split()[0] for c in SUFFIX.split(", ")]
         for chunk in _chunks(batches):
-            doc, mark, start, signature, whole = chunk.windows()
-            del chunk
-            live = passes(signature)
-            doc, mark, start, signature, whole = (x[live] for x in (doc, mark, start, signature, whole))
-            if not len(doc):
+            w = chunk.windows()
+            a, b = _slots(w.prefix, len(held) * 8)
+            live = (held[a >> 3] >> (a & 7) & held[b >> 3] >> (b & 7) & 1).astype(bool)
+            live[live] = ~np.isin(w.prefix[live], often)
+            if not live.any():
                 continue
-            first, later = _first_of(doc, mark, start, signature, whole)
-            if len(later):
-                spans = _spans(doc[later], mark[later], start[later])
+            first, later = w.take(live).first_and_later()
+            if len(later.place):
+                spans = _spans(later.doc, later.mark, later.start)
+                dealt = spans[0].to_numpy().view(np.uint64) * BASE
                 k = len(spans[0])
-                yield pa.record_batch([pa.nulls(k, pa.int64()), *spans, pa.nulls(k, pa.binary())], names)
-            first.sort()
-            doc, mark, start, signature, whole = (x[first] for x in (doc, mark, start, signature, whole))
-            at = _breaks(doc, mark, start, signature)
-            ends = np.append(at, len(doc))
-            digests = pa.Array.from_buffers(pa.binary(), len(at), [None, pa.py_buffer((ends * 8).astype(np.int32)), pa.py_buffer(np.ascontiguousarray(whole))])
-            yield pa.record_batch([pa.array(signature[at].view(np.int64)), pa.array(doc[at]), pa.array(mark[at]), pa.array(start[at]), pa.array(np.diff(ends).astype(np.int32)), digests], names)
+                yield pa.record_batch([pa.array(dealt.view(np.int64)), *spans, pa.nulls(k, pa.int32()), pa.nulls(k, pa.binary())], names)
+            at = first.runs()
+            n = np.diff(np.append(at, len(first.place)))
+            place = first.place[at]
+            text = [b" ".join(chunk.words[x : x + y]) for x, y in zip(place.tolist(), (n + WINDOW - 1).tolist(), strict=True)]
+            columns = [first.prefix[at].view(np.int64), first.doc[at], first.mark[at], first.start[at], n.astype(np.int32), (first.anchor[at] - place).astype(np.int32)]
+            yield pa.record_batch([*map(pa.array, columns), pa.array(text, pa.binary())], names)
 
     return run
 
 
-def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Spans of later members, group by group; rows are sorted by signature,
-    document, mark and start."""
-    seen: dict[int, tuple[int, int, int]] = {}
-    current = None
+def _long_prefixes(hot):
+    """Windows whose prefix is lengthened, with all their words; spans that are
+    settled have no words."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        often = np.frombuffer(hot.value, np.uint64)
+        names = [c.split()[0] for c in NODE.split(", ")]
+        for chunk in _chunks(batches):
+            w = chunk.windows()
+            first, later = w.take(np.isin(w.prefix, often)).first_and_later()
+            spans = _spans(later.doc, later.mark, later.start)
+            yield pa.record_batch([pa.nulls(len(spans[0]), pa.binary()), *spans], names)
+            text = [b" ".join(chunk.words[x : x + WINDOW]) for x in first.place.tolist()]
+            yield pa.record_batch([pa.array(text, pa.binary()), pa.array(first.doc), pa.array(first.mark), pa.array(first.start), pa.array(np.ones(len(text), np.int32))], names)
+
+    return run
+
+
+def _nodes(key: np.ndarray, words: np.ndarray) -> list[np.ndarray]:
+    """Node of each row at depth 0, 1, ... of the tree of ``words`` below ``key``:
+    sorted neighbours share a node as far as their words agree."""
+    depth = words.shape[1]
+    order = np.lexsort((*words.T[::-1], key))
+    equal = np.ones((len(key), depth + 1), bool)
+    equal[1:, 0] = key[order][1:] == key[order][:-1]
+    equal[1:, 1:] = words[order][1:] == words[order][:-1]
+    shared = np.where(equal.all(axis=1), depth + 1, equal.argmin(axis=1))
+    shared[0] = 0
+    out = []
+    for d in range(depth + 1):
+        node = np.empty(len(key), np.int64)
+        node[order] = np.cumsum(shared <= d)
+        out.append(node)
+    return out
+
+
+def repeated(prefix, doc, mark, start, n, at, lines: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """doc, mark and start of all windows that repeat an earlier one, in whole
+    groups of anchored suffixes."""
+    anchor = start + at
+    order = np.lexsort((anchor, mark, doc))  # the order of windows at any one lead
+    prefix, doc, mark, start, n, at, anchor = (x[order] for x in (prefix, doc, mark, start, n, at, anchor))
+    ids: dict[bytes, int] = {}
+    flat = np.array([ids.setdefault(w, len(ids)) for i in order.tolist() for w in lines[i].split(b" ")], np.int32)
+    size = n + WINDOW - 1
+    place = np.cumsum(size) - size + at
+    key = np.unique(prefix, return_inverse=True)[1]
+    right = np.stack([np.where(at + j < size, flat[np.minimum(place + j, len(flat) - 1)], -1) for j in range(WINDOW)], axis=1)
+    left = np.stack([np.where(at >= j, flat[np.maximum(place - j, 0)], -1) for j in range(1, LEAD + 1)], axis=1)
+    after, before = _nodes(key, right), _nodes(key, left)
+    out = []
+    for lead in range(LEAD + 1):
+        mine = np.flatnonzero((at >= lead) & (at - lead < n))
+        node = after[WINDOW - lead][mine] * (len(key) + 1) + before[lead][mine]
+        sort = np.argsort(node, kind="stable")
+        mine, node = mine[sort], node[sort]
+        new = np.ones(len(mine), bool)
+        new[1:] = node[1:] != node[:-1]
+        head = mine[np.maximum.accumulate(np.where(new, np.arange(len(mine)), 0))]
+        copy = (doc[mine] == doc[head]) & (mark[mine] == mark[head]) & (anchor[mine] == anchor[head])
+        later = mine[~copy]
+        out.append((doc[later], mark[later], anchor[later] - lead))
+    return tuple(np.concatenate(x) for x in zip(*out, strict=True))
+
+
+def _solve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Spans of the repeats of each group; rows are sorted by prefix."""
+    names = ["doc", "mark", "start", "n"]
+    held: list[pa.RecordBatch] = []
+    rows, need = 0, BATCH
+
+    def solved(group: pa.Table) -> pa.RecordBatch:
+        c = {x: group.column(x).to_numpy() for x in ("prefix", "doc", "mark", "start", "n", "at")}
+        return pa.record_batch(_spans(*repeated(**c, lines=group.column("words").to_pylist())), names)
+
     for b in batches:
-        sig, doc, mark, start, n = (b.column(c).to_numpy() for c in ("sig", "doc", "mark", "start", "n"))
-        at = run_starts(sig)
-        length = np.diff(np.append(at, len(sig)))
-        # a signature in one row only, and all of it in this batch, has no partner;
-        # what a row repeats of itself was settled before the shuffle
-        out: list[tuple[np.ndarray, ...]] = []
-        payload = b.column("digests")
-        for g, k in zip(at.tolist(), length.tolist(), strict=True):
-            s = int(sig[g])
-            if s != current:
-                current, seen = s, {}
-            if k == 1 and not seen and g + 1 < len(sig):
-                continue
-            rows = np.arange(g, g + k)
-            whole = np.frombuffer(b"".join(payload[i].as_py() for i in rows.tolist()), np.uint64)
-            d, m = np.repeat(doc[rows], n[rows]), np.repeat(mark[rows], n[rows])
-            p = (np.repeat(start[rows] - np.concatenate(([0], np.cumsum(n[rows])[:-1])), n[rows]) + np.arange(len(whole))).astype(np.int32)
-            later = np.zeros(len(whole), bool)
-            for i, (w, x) in enumerate(zip(whole.tolist(), zip(d.tolist(), m.tolist(), p.tolist(), strict=True), strict=True)):
-                first = seen.setdefault(w, x)
-                later[i] = first < x
-            if later.any():
-                out.append((d[later], m[later], p[later]))
-        if out:
-            yield pa.record_batch(_spans(*(np.concatenate(x) for x in zip(*out, strict=True))), ["doc", "mark", "start", "n"])
-
-
-def _filter_of(shared: DataFrame) -> bytes:
-    """Bit filter of the signatures in ``shared`` (sig): 16 MB at any size."""
-    slot = F.explode(F.array(F.col("sig").bitwiseAND(F.lit(FILTER_BITS - 1)), F.shiftrightunsigned("sig", 32).bitwiseAND(F.lit(FILTER_BITS - 1))))
+        settled = b.column("words").is_null()
+        yield b.filter(settled).select(names)
+        b = b.filter(pc.invert(settled))
+        held.append(b)
+        rows += b.num_rows
+        if rows >= need:
+            t = pa.Table.from_batches(held)
+            prefix = t.column("prefix").to_numpy()
+            last = int(np.searchsorted(prefix, prefix[-1]))
+            if last:
+                yield solved(t.slice(0, last))
+            held, rows = t.slice(last).to_batches(), len(prefix) - last
+            need = max(BATCH, 2 * rows)
+    if rows:
+        yield solved(pa.Table.from_batches(held))
+
+
+def _filter_of(shared: DataFrame, bits: int) -> bytes:
+    """Bit filter of the prefixes in ``shared``."""
+    slot = F.explode(F.array(F.col("prefix").bitwiseAND(F.lit(bits - 1)), F.shiftrightunsigned("prefix", 32).bitwiseAND(F.lit(bits - 1))))
     words = shared.select(slot.alias("slot")).groupBy(F.shiftright("slot", 6).alias("at"))
     rows = words.agg(F.bit_or(F.expr("shiftleft(1L, cast(slot & 63 as int))")).alias("bits")).toArrow()
-    out = np.zeros(FILTER_BITS // 64, np.int64)
+    out = np.zeros(bits // 64, np.int64)
     out[rows.column("at").to_numpy()] = rows.column("bits").to_numpy()
     return out.tobytes()
 
 
-def repeats(docs: DataFrame) -> DataFrame:
+def _lengthened(body: DataFrame, hot) -> DataFrame:
+    """Spans below prefixes that are lengthened: a group is one node, all its
+    suffixes but the earliest are repeats."""
+    rows = materialise(body.mapInArrow(_long_prefixes(hot), NODE), "longprefixes")
+    here = F.struct("doc", "mark", "start")
+    nodes = rows.filter("words is not null")
+    first = materialise(nodes.groupBy("words").agg(F.min(here).alias("first")), "nodes")
+    later = nodes.join(first, "words").filter(F.col("first") < here)
+    return later.select("doc", "mark", "start", "n").unionByName(rows.filter("words is null").drop("words"))
+
+
+def repeats(docs: DataFrame, group: int = GROUP) -> DataFrame:
     """doc, mark, spans: the windows to remove of each document that has any."""
-    spark = docs.sparkSession
+    context = docs.sparkSession.sparkContext
     body = _marked(docs).select("doc", "mark", "text")
-    counted = body.mapInArrow(_signatures, "sig long, n int").groupBy("sig").agg(F.sum("n").alias("n"))
-    bits = spark.sparkContext.broadcast(_filter_of(counted.filter("n > 1")))
-    rows = materialise(body.mapInArrow(_runs(bits), ROW), "suffixruns")
-    groups = rows.filter("sig is not null").repartition("sig").sortWithinPartitions("sig", "doc", "mark", "start")
-    spans = groups.mapInArrow(_settle, "doc long, mark long, start int, n int")
-    spans = spans.unionByName(rows.filter("sig is null").select("doc", "mark", "start", "n"))
+    counted = body.mapInArrow(_prefixes, "prefix long, n int").groupBy("prefix").agg(F.sum("n").alias("n"))
+    shared = materialise(counted.filter("n > 1"), "prefixes")
+    count, rows = shared.agg(F.count("*"), F.coalesce(F.sum("n"), F.lit(0))).first()
+    # at most HOT prefixes exceed the bound
+    often = shared.filter(F.col("n") > max(group, rows // HOT)).select("prefix").toArrow().column("prefix").to_numpy()
+    hot = context.broadcast(np.sort(often.view(np.uint64)).tobytes())
+    bits = min(max(FILTER_BITS[0], 1 << (16 * count).bit_length()), FILTER_BITS[1])
+    held = context.broadcast(_filter_of(shared, bits))
+    suffixes = body.mapInArrow(_suffixes(held, hot), SUFFIX).repartition("prefix").sortWithinPartitions("prefix")
+    spans = suffixes.mapInArrow(_solve, "doc long, mark long, start int, n int")
+    if len(often):
+        spans = spans.unionByName(_lengthened(body, hot))
     return spans.groupBy("doc", "mark").agg(F.collect_set(F.struct("start", "n")).alias("spans"))
 
 
 def _marked(docs: DataFrame) -> DataFrame:
-    return docs.withColumns(
-        {"doc": F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)), "mark": F.xxhash64(F.coalesce("text", F.lit("")))}
-    )
+    """doc and mark, by which documents are ordered and told apart: the id, and a
+    hash of the text that is larger for rows without an id."""
+    whole = isinstance(docs.schema["doc_id"].dataType, T.IntegralType)
+    number = F.col("doc_id").cast("long") if whole else F.when(F.col("doc_id").isNotNull(), F.xxhash64("doc_id"))
+    none = F.when(F.col("doc_id").isNull(), F.lit(1 << 62)).otherwise(F.lit(0))
+    mark = F.shiftrightunsigned(F.xxhash64(F.coalesce("text", F.lit(""))), 2)
+    return docs.withColumns({"doc": F.coalesce(number, F.lit(LAST)), "mark": mark.bitwiseOR(none)})
 
 
 def _rewrite(with_text: bool):
@@ -303,21 +406,21 @@ def _rewrite(with_text: bool):
     return run
 
 
-def _joined(docs: DataFrame, *more: str) -> DataFrame:
-    spans = materialise(repeats(docs), "spans").select(F.col("doc").alias("_d"), F.col("mark").alias("_m"), F.col("spans.start").alias("starts"), F.col("spans.n").alias("counts"))
+def _joined(docs: DataFrame, group: int, *more: str) -> DataFrame:
+    spans = materialise(repeats(docs, group), "spans").select(F.col("doc").alias("_d"), F.col("mark").alias("_m"), F.col("spans.start").alias("starts"), F.col("spans.n").alias("counts"))
     body = _marked(docs)
     out = body.join(spans, (F.col("doc") == F.col("_d")) & (F.col("mark") == F.col("_m")), "left")
     return out.select("text", "starts", "counts", *more)
 
 
-def dedup(docs: DataFrame) -> DataFrame:
+def dedup(docs: DataFrame, group: int = GROUP) -> DataFrame:
     """doc_id, n_words, n_removed, kept_sha256 of every document."""
     kind = docs.schema["doc_id"].dataType.simpleString()
-    out = _joined(docs.select("doc_id", "text"), "doc_id")
+    out = _joined(docs.select("doc_id", "text"), group, "doc_id")
     return out.mapInArrow(_rewrite(False), f"doc_id {kind}, n_words long, n_removed long, kept_sha256 string")
 
 
-def dedup_rows(docs: DataFrame, least: int = 1) -> DataFrame:
+def dedup_rows(docs: DataFrame, least: int = 1, group: int = GROUP) -> DataFrame:
     """The documents with repeated passages cut out, columns unchanged.
 
     A text that loses nothing stays as it is, white space included; a text that
@@ -327,7 +430,7 @@ def dedup_rows(docs: DataFrame, least: int = 1) -> DataFrame:
     row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")
     body = docs.select("doc_id", "text", row)
     shape = T.StructType([body.schema["_row"], *T.StructType.fromDDL("n_words long, n_removed long, kept_sha256 string, kept_text string")])
-    out = _joined(body, "_row").mapInArrow(_rewrite(True), shape)
+    out = _joined(body, group, "_row").mapInArrow(_rewrite(True), shape)
     out = out.filter((F.col("n_removed") == 0) | (F.col("n_words") - F.col("n_removed") >= least))
     text = F.when(F.col("n_removed") > 0, F.col("kept_text")).otherwise(F.col("_row.text"))
     fixed = {"text": text} | ({"n_chars": F.when(F.col("n_removed") > 0, F.length("kept_text").cast("long")).otherwise(F.col("_row.n_chars"))} if "n_chars" in docs.columns else {})
