@@ -9,8 +9,8 @@ Text lengths of the blocks are summed over a sliding window. Where the sums rise
 above a threshold the text surges, where they return to zero it dives; the blocks
 between a surge and the next dive make a stretch, and the stretch with the most
 text is the article, joined by others that are not much smaller. Link text counts
-as nothing in the sums. Within an ``article`` or ``main`` element, which says
-itself where the text is, the curve need not be cut: all its blocks are kept.
+as nothing in the sums. An ``article`` or ``main`` element weighs in: its letters
+count ``WEIGHT`` times, links included, and its edges are dives.
 
 Defined results: null or empty pages give an empty text; a page without markup is
 one block; unclosed and stray tags are tolerated; ties go to the first stretch;
@@ -21,12 +21,13 @@ from __future__ import annotations
 
 import html
 import re
+from collections import Counter
 from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[(.*?)(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][\w:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)", re.S)
+TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[(.*?)(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][\w:-]*)((?:=\s*\"[^\"]*\"|=\s*'[^']*'|[^>])*)(?:>|\Z)", re.S)
 ATTRIBUTE = re.compile(r"([\w:-]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.S)
 SPACE = re.compile(r"\s+")
 #: Elements whose content is text for a machine, closed only by their own tag.
@@ -49,30 +50,55 @@ MARKED = frozenset(
     "notification alert popup modal overlay newsletter subscribe subscription signup login share sharing social related recommended "
     "comment comments commentlist disqus replies reply respond discussion pagination pager tags toolbar skip hidden".split()
 )
+#: Words that say nothing on their own: a compound name of a marked word and these
+#: is marked (``comment-list``), one with any other word is not (``share-price``).
+PLAIN = frozenset(
+    "list item items wrap wrapper container box block area section bar content inner outer link links button buttons form slot unit "
+    "post posts article articles story stories entry top bottom left right main site page group panel text body title heading "
+    "primary secondary global module region holder row col column js the and by of".split()
+)
+#: With one of these a header belongs to the text.
+TITLED = frozenset("article entry post story content title heading".split())
+REMARKS = frozenset("comment comments reply replies".split())
+NAME_PART = re.compile(r"[-_:]+|(?<=[a-z])(?=[A-Z])")
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert alertdialog menu menubar toolbar".split())
 WIDTH = 3
 #: Letters of text in ``WIDTH`` blocks at which the text surges.
 SURGE = 80
+#: How often a letter within article or main counts.
+WEIGHT = 20
 #: Another stretch belongs to the article if it has this share of the largest.
 SHARE = 0.25
 
 
+def _marked(name: str, inside_article: bool) -> bool:
+    """Whether one class or id says that its element is not article text."""
+    parts = [x.lower() for x in NAME_PART.split(name) if x]
+    marks = {x for x in (name.lower(), *parts) if x in MARKED}
+    if TITLED.intersection(parts) or inside_article and not {"site", "page", "global", "top"}.intersection(parts):
+        marks -= {"header"}
+    if not marks:
+        return False
+    return name.lower() in marks or all(x in MARKED or x in PLAIN or x.replace("x", "").isdigit() for x in parts)
+
+
 def _boilerplate(tag: str, attributes: str, inside_article: bool) -> bool:
     if tag in VOID_TEXT or tag == "header" and not inside_article:
         return True
-    if not attributes or tag in ("html", "body", "article", "main"):
+    if not attributes or tag in ("html", "body"):
         return False
     for name, *values in ATTRIBUTE.findall(attributes):
         name = name.lower()
-        if name in ("class", "id", "role", "aria-label"):
-            value = next((v for v in values if v), "").lower()
-            if name == "role" and value in ROLES:
+        value = next((v for v in values if v), "")
+        if tag in ("article", "main"):
+            # such an element is text, unless it is a reader's remark
+            if name in ("class", "id") and any(x.lower() in REMARKS for part in value.split() for x in (part, *NAME_PART.split(part))):
                 return True
-            if name in ("class", "id") and any(w in MARKED for part in value.split() for w in (part, *re.split(r"[-_:]+", part))):
-                return True
-        elif name == "aria-hidden" and "true" in values:
+        elif name == "role" and value.lower() in ROLES or name == "aria-hidden" and "true" in values:
+            return True
+        elif name in ("class", "id") and any(_marked(x, inside_article) for x in value.split()):
             return True
-    return bool(re.search(r"(?:^|\s)hidden(?:\s|$|=)|display\s*:\s*none", attributes))
+    return tag not in ("article", "main") and bool(re.search(r"(?:^|\s)hidden(?:\s|$|=)|display\s*:\s*none", attributes))
 
 
 class _Blocks:
@@ -82,7 +108,9 @@ class _Blocks:
         self.done: list[tuple[str, int, bool]] = []
         self.parts: list[str] = []
         self.linked = 0
-        self.stack: list[tuple[str, bool]] = []  # tag, whether it starts a dropped element
+        # tag, whether it starts a dropped element, whether it starts an article
+        self.stack: list[tuple[str, bool, bool]] = []
+        self.open: Counter[str] = Counter()  # tags on the stack
         self.dropped = self.articles = self.links = 0
         self.at_article = False
         self._read(page)
@@ -110,24 +138,26 @@ class _Blocks:
             self._pop()
 
     def _pop(self) -> None:
-        tag, drop = self.stack.pop()
+        tag, drop, article = self.stack.pop()
+        self.open[tag] -= 1
         self.dropped -= drop
-        self.articles -= tag in ("article", "main")
+        self.articles -= article
         self.links -= tag == "a"
         if tag in BLOCK:
             self._break()
 
     def _close(self, tag: str) -> None:
-        if any(t == tag for t, _ in self.stack):
+        if self.open[tag]:
             # a stray inline tag must not close the blocks around it
             if tag not in BLOCK:
                 for i in range(len(self.stack) - 1, -1, -1):
                     if self.stack[i][0] == tag:
-                        if not any(t in BLOCK for t, _ in self.stack[i + 1 :]):
+                        if not any(t in BLOCK for t, _, _ in self.stack[i + 1 :]):
                             while len(self.stack) > i:
                                 self._pop()
                         else:
-                            t, drop = self.stack.pop(i)
+                            t, drop, _ = self.stack.pop(i)
+                            self.open[t] -= 1
                             self.dropped -= drop
                             self.links -= t == "a"
                         return
@@ -161,7 +191,7 @@ class _Blocks:
             if tag in BLOCK:
                 if self.stack and tag in IMPLIED.get(self.stack[-1][0], ()):
                     self._pop()
-                elif tag == "p" and any(t == "p" for t, _ in self.stack) and not any(t in BLOCK and t != "p" for t, _ in self.stack[[t for t, _ in self.stack].index("p") :]):
+                elif tag == "p" and self.open["p"] and not any(t in BLOCK and t != "p" for t, _, _ in self.stack[[t for t, _, _ in self.stack].index("p") :]):
                     while self.stack and self.stack[-1][0] != "p":
                         self._pop()
                     self._pop()
@@ -171,14 +201,13 @@ class _Blocks:
             if tag in EMPTY or m[4].endswith("/"):
                 continue
             drop = _boilerplate(tag, m[4], self.articles > 0)
-            self.stack.append((tag, drop))
             self.dropped += drop
+            article = tag in ("article", "main") and not self.dropped
+            self.stack.append((tag, drop, article))
+            self.open[tag] += 1
             self.links += tag == "a"
-            if tag in ("article", "main") and not self.dropped:
-                self.articles += 1
-                self.at_article = True
-            elif tag in ("article", "main"):
-                self.stack[-1] = ("section", drop)  # within something dropped
+            self.articles += article
+            self.at_article |= article
         self._text(page[at:])
 
 
@@ -198,23 +227,36 @@ def stretches(lengths: list[int], width: int = WIDTH, surge: int = SURGE) -> lis
     return out
 
 
+def curve(blocks: list[tuple[str, int, bool]]) -> tuple[list[int], list[int]]:
+    """Letters that each point of the curve counts, and the block it stands for;
+    -1 marks the points of silence at the edges of an article."""
+    lengths, owner, before = [], [], False
+    for i, (text, linked, own) in enumerate(blocks):
+        if own != before:
+            lengths += [0] * WIDTH
+            owner += [-1] * WIDTH
+        free = len(text) - linked if linked < len(text) / 2 else 0
+        lengths.append(WEIGHT * len(text) if own else max(0, free))
+        owner.append(i)
+        before = own
+    return lengths, owner
+
+
 def extract(page: str | None) -> str:
     """The main text of one page, blocks separated by empty lines."""
     if not page:
         return ""
     blocks = _Blocks(page).done
-    inside = [t for t, _, own in blocks if own]
-    if inside:
-        return "\n\n".join(inside)
-    lengths = [max(0, len(t) - linked) if linked < len(t) / 2 else 0 for t, linked, _ in blocks]
+    lengths, owner = curve(blocks)
     found = stretches(lengths)
-    if not found:
-        return "\n\n".join(t for (t, _, _), n in zip(blocks, lengths, strict=True) if n)
     mass = [sum(lengths[a:z]) for a, z in found]
     keep = [x for x, m in zip(found, mass, strict=True) if m >= SHARE * max(mass)]
-    first, last = keep[0][0], keep[-1][1]
-    # a heading right before the surge belongs to the text
-    return "\n\n".join(t for (t, _, _), n in zip(blocks[first:last], lengths[first:last], strict=True) if n)
+    if not any(own for _, _, own in blocks):
+        # without edges of an article, what lies between its parts belongs to it
+        keep = [(keep[0][0], keep[-1][1])] if keep else [(0, len(lengths))]
+    elif not keep:
+        keep = [(i, i + 1) for i, at in enumerate(owner) if at >= 0 and blocks[at][2]]
+    return "\n\n".join(blocks[owner[i]][0] for a, z in keep for i in range(a, z) if lengths[i])
 
 
 def _extract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
