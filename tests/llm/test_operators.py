@@ -160,6 +160,49 @@ def test_a_hot_group_is_dealt(spark):
     assert max(size) < 1.08 * min(size)
 
 
+def test_a_group_that_fits_is_not_split(spark):
+    rows = [(i, "x" * 9946 + " same") for i in range(20)] + [(1000 + i, f"doc {i} " + "word " * 200) for i in range(3000)]
+    got = sharding.shard(spark.createDataFrame(rows, "doc_id long, text string"), 8).collect()
+    assert len({r["shard"] for r in got if r["doc_id"] < 20}) == 1
+    load = [sum(r["size"] for r in got if r["shard"] == s) for s in range(8)]
+    assert max(load) < 1.02 * min(load)
+
+
+def slow_place(weights, bins):
+    """The rule, one item and one shard at a time."""
+    left, out = [[1.0] * 3 for _ in range(bins)], {}
+    for i in sorted(range(len(weights)), key=lambda i: (-weights[i][0], -sum(weights[i]), i)):
+        v = weights[i]
+        fit = [b for b in range(bins) if all(x >= y for x, y in zip(left[b], v))] or [b for b in range(bins) if left[b][0] >= v[0]]
+        if fit:
+            at = max(fit, key=lambda b: (round(sum(x * y for x, y in zip(left[b], v)), 12), -b))
+        else:
+            at = max(range(bins), key=lambda b: (left[b][0], -b))
+            if left[at][0] + 1 / sharding.SPLIT < v[0]:
+                out[i] = -1
+                continue
+        out[i] = at
+        left[at] = [x - y for x, y in zip(left[at], v)]
+    return [out[i] for i in range(len(weights))]
+
+
+@pytest.mark.parametrize("seed", range(8))
+def test_placement_follows_the_dot_product(seed):
+    r = np.random.default_rng(seed)
+    bins = 3 + seed % 4
+    w = r.integers(1, 40, (60, 3)) * (r.random((60, 1)) < 0.9) + r.integers(0, 400, (60, 3)) * (r.random((60, 1)) < 0.1) + 1.0
+    unit = w * (bins / w.sum(axis=0))
+    left = np.ones((bins, 3))
+    got = sharding.place(unit, left)
+    assert got.tolist() == slow_place(unit.tolist(), bins)
+    whole = np.flatnonzero(got >= 0)
+    spread = lambda x: float((x**2 * sharding.WEIGHTS).sum())
+    before, at = spread(left), got[whole].copy()
+    sharding.level(unit[whole], at, left)
+    load = np.array([unit[whole][at == b].sum(axis=0) for b in range(bins)])
+    assert spread(left) <= before and np.allclose(left, 1 - load)
+
+
 # --- mixing ----------------------------------------------------------------------------
 
 
@@ -197,6 +240,28 @@ def test_targets_and_taken_words(spark, docs):
     assert sorted(r["taken"] for r in mixing.mix(docs.repartition(3)).collect()) == sorted(r["taken"] for r in got)
 
 
+def test_certain_documents_and_their_rest(spark):
+    r = random.Random(8)
+    rows = [(i, "w " * (4000 if i < 3 else r.randint(1, 40)), "a" if i % 5 else "b") for i in range(400)]
+    got = mixing.mix(spark.createDataFrame(rows, "doc_id long, text string, source string"), share=0.6, weights=(2, 1)).collect()
+    for source in "ab":
+        mine = [x for x in got if x["source"] == source]
+        target = mine[0]["target"]
+        assert mine[0]["source_size"] > target > 0
+        # inclusion, solved by bisection: its expected words are the target
+        low, high = 0.0, 1.0
+        for _ in range(200):
+            c = (low + high) / 2
+            low, high = (c, high) if sum(min(1, c * x["size"]) * x["size"] for x in mine) < target else (low, c)
+        assert all(x["taken"] == x["size"] for x in mine if c * x["size"] > 1 + 1e-9)
+        odds = lambda x: (int(hashlib.md5(str(x["doc_id"]).encode()).hexdigest()[:13], 16) + 0.5) / 2**52
+        rank = lambda x: -1 if c * x["size"] >= 1 else odds(x) / (1 - odds(x)) * (1 - c * x["size"]) / (c * x["size"])
+        cut = max(rank(x) for x in mine if x["taken"])
+        assert all((rank(x) <= cut) == bool(x["taken"]) for x in mine)
+        last = max((x for x in mine if x["taken"]), key=rank)["size"]
+        assert abs(sum(x["taken"] for x in mine) - target) <= max(last, 40) and any(c * x["size"] > 1 for x in mine)
+
+
 def test_mixed_rows_repeat_documents(spark, docs):
     n = Counter(r["doc_id"] for r in mixing.mixed_rows(docs).collect())
     want = {r["doc_id"]: r["copies"] for r in mixing.mix(docs).collect() if r["copies"]}
@@ -471,6 +536,47 @@ def test_topk_is_exact(spark, block):
     assert all([x[0] for x in sorted(g)] == list(range(1, 11)) for g in got.values())
 
 
+def test_topk_leaves_far_rings_out(spark):
+    rng = np.random.default_rng(5)
+    centres = rng.normal(size=(24, 8)) * 6
+    vectors = [(i, [float(x) for x in centres[i % 24] + rng.normal(size=8) * 0.05]) for i in range(6000)]
+    v = topk.integer_vectors(spark.createDataFrame(vectors, "vec_id long, embedding array<float>"))
+    report, got = {}, {}
+    for r in topk.search(v, v.filter("vec_id % 100 = 0"), report=report).collect():
+        got.setdefault(r["query_id"], []).append((r["rank"], r["vec_id"], r["score"]))
+    assert {q: [x[1:] for x in sorted(g)] for q, g in got.items()} == slow_topk(vectors)
+    assert report["pairs"] == 60 * 6000 and report["visited"] < 0.3 * report["pairs"]
+
+
+@pytest.mark.parametrize("size", [2.0**17, 2.0**20, 2.0**30])
+def test_topk_is_exact_beyond_doubles(spark, size):
+    r = random.Random(int(size))
+    vectors = [(i, [r.uniform(-size, size) for _ in range(5)]) for i in range(120)]
+    vectors += [(200 + i, [x + i / 512 for x in vectors[7][1]]) for i in range(30)]
+    v = topk.integer_vectors(spark.createDataFrame(vectors, "vec_id long, embedding array<double>"))
+    whole = {i: [int(np.floor(1024 * x)) for x in e] for i, e in vectors}
+    top = (1 << 63) - 1
+    got = {}
+    for x in topk.search(v, v.filter("vec_id % 20 = 0"), k=4).collect():
+        got.setdefault(x["query_id"], []).append((x["rank"], x["vec_id"], x["score"]))
+    for q, found in got.items():
+        score = {i: max(-top, min(top, sum(a * b for a, b in zip(whole[q], w)))) for i, w in whole.items() if i != q}
+        want = sorted(score.items(), key=lambda x: (-x[1], x[0]))[:4]
+        assert [(i, s) for _, i, s in sorted(found)] == want
+    assert len(got) == 8
+
+
+def test_topk_cases(spark):
+    """Null ids, repeated ids, vectors of unequal length, queries from elsewhere."""
+    rows = [(None, [1.0, 1.0]), (1, [1.0]), (1, [0.5, 0.5]), (2, [1.0, 2.0, 3.0]), (3, []), (4, [1.0, None])]
+    v = topk.integer_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<float>"))
+    q = topk.integer_vectors(spark.createDataFrame([(1, [1.0, 0.0, 0.0, 9.0])], "vec_id long, embedding array<float>"))
+    got = sorted((r["rank"], r["vec_id"], r["score"]) for r in topk.search(v, q).collect())
+    assert got == [(1, 2, 1 << 20), (2, 3, 0)]
+    got = [(r["query_id"], r["rank"], r["vec_id"], r["score"]) for r in topk.search(v, v.filter("vec_id = 1")).collect()]
+    assert sorted(got) == sorted([(1, 1, 2, 1 << 20), (1, 2, 3, 0), (1, 1, 2, 3 << 19), (1, 2, 3, 0)])
+
+
 def test_topk_with_few_vectors(spark):
     df = spark.createDataFrame([(0, [1.0]), (1, [0.5]), (2, [2.0])], "vec_id long, embedding array<float>")
     v = topk.integer_vectors(df)

@@ -3,14 +3,16 @@
 Each source gets a target number of words. What a source's documents give as
 whole copies is allocated first; for the rest each document draws a random
 number u from its id, and is ranked by the odds of u over the odds of its
-inclusion probability (proportional to its words). Documents are taken in that
-order until the rest is reached: an unequal-probability sample of fixed size,
-the size being counted in words.
+inclusion probability. That is proportional to its words; documents for which it
+would exceed one are certain, and the others' is solved anew, so that the expected
+words are the rest. Documents are taken in the order of the ranks until the rest is
+reached: an unequal-probability sample of fixed size, the size counted in words.
 
 The order is never sorted as a whole. A source's cut point is found by repeated
 histograms of the rank value, 256 bins each, that close in on the bin in which
-the running total of words reaches the rest; every pass is one aggregation with
-map-side sums. The sample is then a projection: rank value below the cut.
+the running total of words reaches the rest, until that bin holds one document;
+every pass is one aggregation with map-side sums. The sample is then a projection:
+rank value below the cut.
 
 Defined results: a null text has no words and is never taken; documents of equal
 rank (repeated rows) are taken or left together; the null source is a source of
@@ -29,7 +31,10 @@ WEIGHTS = (3, 1, 2)
 SHARE = 1.5
 MOST = 2.0
 BINS = 256
-PASSES = 4
+#: After so many passes a bin is finer than the numbers themselves.
+PASSES = 7
+#: Rank value of documents that are certain, below all others.
+CERTAIN = -1000.0
 #: Source tables up to this many rows are broadcast; larger ones are joined.
 SMALL = 50_000
 
@@ -95,8 +100,8 @@ def _mixed(numbers: DataFrame, share: float, weights, most: float) -> DataFrame:
 
 def _rank_value() -> Column:
     """Logarithm of the odds of u over the odds of inclusion."""
-    p = F.least(F.col("rest") * F.col("size") / F.col("squares"), F.lit(1.0 - 1e-12))
-    return F.log(F.col("_u") / (1.0 - F.col("_u"))) - F.log(p / (1.0 - p))
+    p = F.col("slope") * F.col("size")
+    return F.when(p >= 1.0, F.lit(CERTAIN)).otherwise(F.log(F.col("_u") / (1.0 - F.col("_u"))) - F.log(p / (1.0 - p)))
 
 
 def _copies() -> Column:
@@ -104,35 +109,58 @@ def _copies() -> Column:
     return (F.when(F.col("size") > 0, F.col("whole")).otherwise(F.lit(0)) + extra).cast("long")
 
 
+def slopes(by_size: DataFrame, s: DataFrame, count: int) -> DataFrame:
+    """_source, slope, certain: inclusion per word, and the words of the documents
+    that are certain.
+
+    From the largest size down, the first at which the slope, were it and all smaller
+    sizes open, includes it with a probability of at most one. ``by_size`` has a row
+    per size of a source.
+    """
+    rest = s.select(F.col("_s"), "rest")
+    falling = Window.partitionBy("_source").orderBy(F.desc("size"))
+    t = by_size.withColumns(
+        {
+            "larger": F.coalesce(F.sum(F.col("n") * F.col("size")).over(falling.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)),
+            "squares": F.sum(F.col("n").cast("decimal(38,0)") * F.col("size") * F.col("size")).over(falling.rowsBetween(0, Window.unboundedFollowing)),
+        }
+    )
+    t = t.join(_known(rest, count), F.col("_source").eqNullSafe(F.col("_s"))).filter("rest > 0")
+    t = t.withColumn("slope", (F.col("rest") - F.col("larger")) / F.col("squares").cast("double")).filter(F.col("slope") * F.col("size") <= 1)
+    best = F.max(F.struct("size", "slope", "larger"))
+    return t.groupBy("_source").agg(best.alias("b")).select("_source", "b.slope", F.col("b.larger").alias("certain"))
+
+
 def cut_points(numbers: DataFrame, share: float = SHARE, weights=WEIGHTS, most: float = MOST) -> tuple[DataFrame, int]:
     """Per source: whole copies, rest and the rank value below which a document
     is taken once more; and the number of sources."""
-    per = numbers.groupBy("_source").agg(
-        F.sum("size").alias("source_size"), F.sum(F.col("size").cast("decimal(38,0)") * F.col("size")).cast("double").alias("squares")
-    )
-    per = materialise(per, "sources")
+    by_size = materialise(numbers.groupBy("_source", "size").agg(F.count("*").alias("n")), "bysize")
+    per = materialise(by_size.groupBy("_source").agg(F.sum(F.col("size") * F.col("n")).alias("source_size")), "sources")
     count = per.count()
-    t = targets(per.select("_source", "source_size"), share, weights, most).withColumnRenamed("_source", "_s")
-    s = t.join(_known(per.select("_source", "squares"), count), F.col("_s").eqNullSafe(F.col("_source"))).drop("_source")
+    s = targets(per, share, weights, most).withColumnRenamed("_source", "_s")
     ratio = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     s = s.withColumn("whole", F.floor(ratio + 1e-9))
     s = s.withColumn("rest", F.greatest(F.col("target") - F.col("whole") * F.col("source_size"), F.lit(0.0)))
-    s = s.withColumns({"low": F.lit(-100.0), "high": F.lit(100.0), "under": F.lit(0).cast("long")})
     s = materialise(s, "targets")
+    open_ = slopes(by_size.filter("size > 0"), s, count)
+    s = s.join(_known(open_, count), F.col("_s").eqNullSafe(F.col("_source")), "left").drop("_source")
+    s = s.withColumns({"low": F.lit(-100.0), "high": F.lit(100.0), "under": F.coalesce("certain", F.lit(0)).cast("long")})
+    s = materialise(s.drop("certain"), "slopes")
     ranked = with_odds(numbers.filter("size > 0"))
     for _ in range(PASSES):
         step = (F.col("high") - F.col("low")) / BINS
         inside = ranked.join(_known(s, count), F.col("_source").eqNullSafe(F.col("_s"))).filter("rest > 0")
         inside = inside.withColumn("v", _rank_value()).filter((F.col("v") >= F.col("low")) & (F.col("v") < F.col("high")))
         sums = inside.withColumn("bin", F.least(F.floor((F.col("v") - F.col("low")) / step), F.lit(BINS - 1)).cast("int"))
-        sums = sums.groupBy("_source", "bin").agg(F.sum("size").alias("n"))
+        sums = sums.groupBy("_source", "bin").agg(F.sum("size").alias("n"), F.count("*").alias("docs"))
         run = Window.partitionBy("_source").orderBy("bin").rowsBetween(Window.unboundedPreceding, 0)
         sums = sums.withColumn("upto", F.sum("n").over(run))
         s2 = sums.join(_known(s.select("_s", "under", "rest"), count), F.col("_source").eqNullSafe(F.col("_s")))
         # bins that fit as a whole are below the cut; the first that does not holds it
         fit = s2.filter(F.col("under") + F.col("upto") <= F.col("rest")).groupBy("_source").agg(F.max("bin").alias("b"), F.max("upto").alias("below"))
         s = s.join(_known(fit, count), F.col("_source").eqNullSafe(F.col("_s")), "left").drop("_source")
-        first = s2.filter(F.col("under") + F.col("upto") > F.col("rest")).groupBy("_source").agg(F.min("bin").alias("over"))
+        first = s2.filter(F.col("under") + F.col("upto") > F.col("rest")).groupBy("_source").agg(F.min(F.struct("bin", "docs")).alias("first"))
+        first = first.select("_source", F.col("first.bin").alias("over"), "first.docs")
         s = s.join(_known(first, count), F.col("_source").eqNullSafe(F.col("_s")), "left").drop("_source")
         step = (F.col("high") - F.col("low")) / BINS
         s = s.withColumns(
@@ -144,6 +172,9 @@ def cut_points(numbers: DataFrame, share: float = SHARE, weights=WEIGHTS, most:
             }
         ).drop("below", "b", "over", "low", "high")
         s = materialise(s.withColumnRenamed("low2", "low").withColumnRenamed("high2", "high"), "cuts")
+        if (s.agg(F.max("docs")).first()[0] or 0) <= 1:
+            break
+        s = s.drop("docs")
     # the bin is now a sliver with the document that crosses the target: take it
     # if that comes nearer
     last = ranked.join(_known(s, count), F.col("_source").eqNullSafe(F.col("_s"))).filter("rest > 0")
@@ -152,7 +183,7 @@ def cut_points(numbers: DataFrame, share: float = SHARE, weights=WEIGHTS, most:
     s = s.join(_known(last, count), F.col("_source").eqNullSafe(F.col("_s")), "left").drop("_source")
     nearer = F.col("under") + F.col("more") - F.col("rest") < F.col("rest") - F.col("under")
     s = s.withColumn("cut", F.when(nearer, F.col("high")).otherwise(F.col("low")))
-    return materialise(s.select("_s", "source_size", "target", "whole", "rest", "squares", "cut"), "cut"), count
+    return materialise(s.select("_s", "source_size", "target", "whole", "rest", "slope", "cut"), "cut"), count
 
 
 def mixed_rows(docs: DataFrame, share: float = SHARE, weights=WEIGHTS, most: float = MOST) -> DataFrame:

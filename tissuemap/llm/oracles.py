@@ -11,7 +11,7 @@ ORACLES: dict[str, str] = {}
 
 ORACLES["op3_pareto_mixing"] = rf"""
 WITH d AS (SELECT doc_id, source, len({_WORDS})::BIGINT AS size FROM documents),
-per AS (SELECT source, sum(size)::BIGINT AS source_size, sum(size::HUGEINT * size)::DOUBLE AS squares FROM d GROUP BY source),
+per AS (SELECT source, sum(size)::BIGINT AS source_size FROM d GROUP BY source),
 w AS (SELECT *, CASE (row_number() OVER (ORDER BY encode(source) NULLS LAST) - 1) % 3 WHEN 0 THEN 3.0 WHEN 1 THEN 1.0 ELSE 2.0 END::DOUBLE AS weight,
              source_size * 2.0::DOUBLE AS cap FROM per),
 o AS (SELECT *, sum(source_size) OVER ()::DOUBLE * 1.5 AS budget,
@@ -22,10 +22,15 @@ f AS (SELECT *, level * weight >= cap AS is_full FROM l),
 t AS (SELECT *, CASE WHEN is_full THEN cap ELSE least(cap, weight * (SELECT arg_min(level, cap / weight) FROM f WHERE NOT is_full)) END::DOUBLE AS target FROM f),
 s AS (SELECT *, CASE WHEN source_size > 0 THEN floor(target / source_size + 1e-9) ELSE 0 END AS whole FROM t),
 r AS (SELECT *, greatest(target - whole * source_size, 0) AS rest FROM s),
-u AS (SELECT d.*, r.source_size, r.target, r.whole, r.rest, least(r.rest * d.size / r.squares, 1.0 - 1e-12) AS p,
+z AS (SELECT source, size, count(*) AS n FROM d WHERE size > 0 GROUP BY source, size),
+y AS (SELECT z.source, z.size, (r.rest - coalesce(sum(z.n * z.size) OVER (PARTITION BY z.source ORDER BY z.size DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))
+             / (sum(z.n::HUGEINT * z.size * z.size) OVER (PARTITION BY z.source ORDER BY z.size DESC ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING))::DOUBLE AS slope
+      FROM z JOIN r ON z.source IS NOT DISTINCT FROM r.source),
+k AS (SELECT source, arg_max(slope, size) AS slope FROM y WHERE slope * size <= 1 GROUP BY source),
+u AS (SELECT d.*, r.source_size, r.target, r.whole, r.rest, k.slope * d.size AS p,
              (('0x' || substr(md5(coalesce(doc_id::VARCHAR, 'null')), 1, 13))::BIGINT + 0.5::DOUBLE) / 4503599627370496.0 AS u
-      FROM d JOIN r ON d.source IS NOT DISTINCT FROM r.source),
-v AS (SELECT *, CASE WHEN size > 0 AND rest > 0 THEN ln(u / (1 - u)) - ln(p / (1 - p)) END AS v FROM u),
+      FROM d JOIN r ON d.source IS NOT DISTINCT FROM r.source LEFT JOIN k ON d.source IS NOT DISTINCT FROM k.source),
+v AS (SELECT *, CASE WHEN size > 0 AND rest > 0 THEN CASE WHEN p >= 1 THEN -1000 ELSE ln(u / (1 - u)) - ln(p / (1 - p)) END END AS v FROM u),
 c AS (SELECT *, sum(size) OVER (PARTITION BY source ORDER BY v NULLS LAST RANGE UNBOUNDED PRECEDING) AS upto FROM v),
 g AS (SELECT *, upto - size AS before FROM c)
 SELECT doc_id, size, source_size, target, source,
