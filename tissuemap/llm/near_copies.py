@@ -1,16 +1,23 @@
-"""Near copies by five-word shingles with an exact similarity check.
+"""Near copies: SimHash with Golay keys over five-word shingles, decided exactly.
 
 Two texts link when the Jaccard similarity of their sets of word 5-shingles is at
-least 4/5. Candidates come from min-wise hashes: ``BANDS`` keys of ``ROWS`` minima
-each, of which two texts at similarity s share at least one with probability
-1 - (1 - s^4)^20, or 0.99997 at s = 0.8. Every candidate is then decided by the
-sets themselves, so no link is false.
+least 4/5. Candidates come from the operator of :mod:`simhash` with a wider reach.
+At 4/5 about one bit in seven of a fingerprint differs, far beyond three of 64, so
+segments are decoded by their votes and not only by their bits: a segment is the
+sums of votes of 23 hash bits, and its keys are the ``NEAREST`` Golay codewords that
+agree with them best. Bits with narrow votes, the ones that differ between near
+copies, weigh little there. Of three segments two must share a codeword, by which
+two texts at 4/5 meet with a probability of 0.993, at 9/10 of 0.9997 (measured on
+votes of that correlation). Candidates whose other 64 bits differ in more than
+``FAR`` places are left out (a pair at 4/5 is, once in 5000), and every other one is
+decided by the sets themselves, so no link is false.
 
-Scale: equal sets are one class first. A bucket of up to ``SMALL`` classes gives
-all its pairs of fitting size, decided by a join. A larger one takes the sets of
-its members along and yields a spanning forest of its links, found by searching
-outwards from one member at a time, which is all that components need. Nothing is
-capped.
+Scale: equal sets are one class first. A bucket of up to ``SMALL`` classes gives all
+its candidates, decided by a join. Of a larger one each member is first compared
+with the least member, which joins most of a group of copies; only where a bucket
+then still holds candidates from different components do these take their sets
+along, and a spanning forest of their links is found by searching outwards from one
+member at a time. Nothing is capped.
 
 Defined results: texts without words have the empty set and are one class; texts
 of fewer than five words have one shingle; ASCII letters count without case; see
@@ -20,6 +27,8 @@ of fewer than five words have one shingle; ASCII letters count without case; see
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import cache
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
@@ -29,106 +38,177 @@ from pyspark.sql import functions as F
 
 from .common import materialise, run_starts, text_bytes
 from .components import components
-from .simhash import first_of, pick
+from .simhash import codewords, first_of, pick
 
 SHINGLE = 5
 #: Least similarity of a link, as a fraction.
 LEAST = (4, 5)
-BANDS, ROWS = 20, 4
-#: Buckets with more classes than this take the sets along.
+#: Bits of a segment, number of segments, codewords that each gives.
+WIDTH, SEGMENTS, NEAREST = 23, 3, 6
+#: Most differing bits, of the 64 beside the segments, of a candidate.
+FAR = 20
+#: Buckets with more classes than this are searched from their least member.
 SMALL = 64
-_FACTORS, _SHIFTS = np.random.default_rng(11).integers(0, 1 << 64, (2, BANDS * ROWS), np.uint64) | np.uint64(1)
 
 
-def shingle_set(text: bytes, k: int = SHINGLE) -> np.ndarray:
-    """Sorted distinct hashes of the word shingles of one text."""
+def shingle_hashes(text: bytes, k: int = SHINGLE) -> np.ndarray:
+    """128-bit hashes of the distinct word shingles of one text, as rows of bytes in
+    order of their first half."""
     words = text.lower().split()  # ASCII letters and ASCII white space only
     if not words:
-        return np.zeros(0, np.uint64)
+        return np.zeros((0, 16), np.uint8)
     joined = b" ".join(words)
+    digest = xxhash.xxh3_128_digest
     if len(words) <= k:
-        return np.array([xxhash.xxh64_intdigest(joined)], np.uint64)
-    ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
-    starts = np.concatenate(([0], ends[:-1])).tolist()
-    digest = xxhash.xxh64_intdigest
-    return np.unique(np.array([digest(joined[a:b]) for a, b in zip(starts, (ends[k - 1 :] - 1).tolist(), strict=False)], np.uint64))
+        raw = digest(joined)
+    else:
+        ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
+        starts = np.concatenate(([0], ends[:-1])).tolist()
+        raw = b"".join([digest(joined[a:b]) for a, b in zip(starts, (ends[k - 1 :] - 1).tolist(), strict=False)])
+    rows = np.frombuffer(raw, np.uint8).reshape(-1, 16)
+    return rows[np.unique(_halves(rows), return_index=True)[1]]
 
 
-def band_keys(shingles: np.ndarray) -> list[int]:
-    """One key a band; equal sets have equal keys, and the empty set has none."""
-    if not len(shingles):
-        return []
-    least = np.full(BANDS * ROWS, ~np.uint64(0))
-    for lo in range(0, len(shingles), 4096):
-        least = np.minimum(least, (shingles[lo : lo + 4096, None] * _FACTORS + _SHIFTS).min(axis=0))
-    rows = least.reshape(BANDS, ROWS)
-    return [xxhash.xxh64_intdigest(r.tobytes(), i) - (1 << 63) for i, r in enumerate(rows)]
+def _halves(rows: np.ndarray) -> np.ndarray:
+    return np.ascontiguousarray(rows).view(np.uint64)[:, 0]
+
+
+def votes(rows: np.ndarray) -> np.ndarray:
+    """Per bit: hashes that set it less those that do not."""
+    out = np.zeros(128, np.int64)
+    for lo in range(0, len(rows), 1 << 16):
+        out += np.unpackbits(rows[lo : lo + (1 << 16)], axis=1).sum(axis=0, dtype=np.int64)
+    return 2 * out - len(rows)
+
+
+@cache
+def _signs() -> np.ndarray:
+    return ((codewords()[None, :] >> np.arange(WIDTH)[:, None] & 1) * 2 - 1).astype(np.float32)
+
+
+def segment_codes(v: np.ndarray) -> np.ndarray:
+    """Indices of the best codewords: texts x SEGMENTS x NEAREST, ascending."""
+    out = np.zeros((len(v), SEGMENTS, NEAREST), np.int16)
+    tie = 0.4 * np.cos(np.arange(WIDTH * SEGMENTS))  # equal sums are told apart alike in all texts
+    x = (v[:, : WIDTH * SEGMENTS] + tie).astype(np.float32)
+    for lo in range(0, len(v), 512):
+        for s in range(SEGMENTS):
+            score = x[lo : lo + 512, s * WIDTH : (s + 1) * WIDTH] @ _signs()
+            out[lo : lo + 512, s] = np.sort(np.argpartition(-score, NEAREST, axis=1)[:, :NEAREST], axis=1)
+    return out
 
 
 def _prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
-        fp, size, keys = [], [], []
-        for text in text_bytes(b.column("text")):
-            s = shingle_set(text)
-            fp.append(xxhash.xxh64_intdigest(s.tobytes()) - (1 << 63))
-            size.append(len(s))
-            keys.append(band_keys(s))
-        yield pa.record_batch([b.column("doc_id"), b.column("mark"), pa.array(fp, pa.int64()), pa.array(size, pa.int64()), pa.array(keys, pa.list_(pa.int64()))], ["doc_id", "mark", "fp", "size", "keys"])
+        fp, v = [], np.zeros((b.num_rows, 128), np.int64)
+        for i, text in enumerate(text_bytes(b.column("text"))):
+            rows = shingle_hashes(text)
+            fp.append(xxhash.xxh64_intdigest(_halves(rows).tobytes()) - (1 << 63))
+            v[i] = votes(rows)
+        bits = np.packbits(v[:, 64:] > 0, axis=1).view(np.int64)[:, 0] if b.num_rows else np.zeros(0, np.int64)
+        codes = [x.tobytes() for x in segment_codes(v)]
+        yield pa.record_batch([b.column("doc_id"), b.column("mark"), pa.array(fp, pa.int64()), pa.array(bits), pa.array(codes, pa.binary())], ["doc_id", "mark", "fp", "bits", "codes"])
+
+
+def _keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    pairs = list(combinations(range(SEGMENTS), 2))
+    for b in batches:
+        if not b.num_rows:
+            continue
+        codes = np.frombuffer(b"".join(b.column("codes").to_pylist()), np.int16).reshape(-1, SEGMENTS, NEAREST).astype(np.int32)
+        key = np.stack([p << 24 | codes[:, i, :, None] << 12 | codes[:, j, None, :] for p, (i, j) in enumerate(pairs)], axis=1).reshape(len(codes), -1)
+        fp, bits = (np.repeat(b.column(c).to_numpy(), key.shape[1]) for c in ("fp", "bits"))
+        yield pa.record_batch([pa.array(key.ravel()), pa.array(fp), pa.array(bits)], ["key", "fp", "bits"])
 
 
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
-        s = [shingle_set(t) for t in text_bytes(b.column("text"))]
+        s = [_halves(shingle_hashes(t)) for t in text_bytes(b.column("text"))]
         fp = [xxhash.xxh64_intdigest(x.tobytes()) - (1 << 63) for x in s]
         yield pa.record_batch([pa.array(fp, pa.int64()), pa.array([x.view(np.int64) for x in s], pa.list_(pa.int64()))], ["fp", "shingles"])
 
 
-def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[list[pa.RecordBatch]]:
-    """Rows of each bucket; they are sorted by key."""
+def _whole_buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    """The rows, sorted by key, in tables that do not part a bucket."""
     held: list[pa.RecordBatch] = []
-    last = None
     for b in batches:
-        key = b.column("key").to_numpy()
-        at = np.append(run_starts(key), len(key)).tolist()
-        for lo, hi in zip(at, at[1:], strict=False):
-            if held and last != key[lo]:
-                yield held
-                held = []
-            last = key[lo]
-            held.append(b.slice(lo, hi - lo))
+        if not b.num_rows:
+            continue
+        held.append(b)
+        if held[0].column("key")[0] == b.column("key")[-1]:
+            continue  # one bucket so far
+        t = pa.Table.from_batches(held)
+        key = t.column("key").to_numpy()
+        last = int(np.searchsorted(key, key[-1]))
+        yield t.slice(0, last)
+        held = t.slice(last).to_batches()
     if held:
-        yield held
+        yield pa.Table.from_batches(held)
+
+
+def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    """The rows of each bucket."""
+    for t in _whole_buckets(batches):
+        at = run_starts(t.column("key").to_numpy())
+        for lo, hi in zip(at, np.append(at[1:], t.num_rows), strict=True):
+            yield t.slice(lo, hi - lo)
+
+
+def _near(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    return np.bitwise_count((a ^ b).view(np.uint64)) <= FAR
 
 
 def _candidates(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """u, v, key: pairs of small buckets (key null), members of large ones (v null)."""
-    us, vs, keys = [], [], []
+    """u, v: candidates, u < v. From large buckets those of the least member, and
+    key, u, bits of all members (v null)."""
+    for t in _whole_buckets(batches):
+        key, fp, bits = (t.column(c).to_numpy() for c in ("key", "fp", "bits"))
+        starts = run_starts(key)
+        length = np.diff(np.append(starts, len(key)))
+        bucket = np.repeat(np.arange(len(starts)), length)
+        least = np.minimum.reduceat(fp, starts)
+        us, vs = [], []
+        few = np.flatnonzero((length > 1)[bucket] & (length <= SMALL)[bucket])
+        for lo in range(0, len(few), 1 << 16):
+            mine = few[lo : lo + (1 << 16)]
+            span = length[bucket[mine]]
+            other = np.repeat(starts[bucket[mine]] - (np.cumsum(span) - span), span) + np.arange(span.sum())
+            at = np.repeat(mine, span)
+            good = (fp[at] < fp[other]) & _near(bits[at], bits[other])
+            us.append(fp[at][good])
+            vs.append(fp[other][good])
+        many = np.flatnonzero((length > SMALL)[bucket])
+        if len(many):
+            centre = np.flatnonzero(fp == least[bucket])
+            of = np.zeros(len(starts), np.int64)
+            of[bucket[centre]] = bits[centre]
+            good = many[(fp[many] > least[bucket[many]]) & _near(bits[many], of[bucket[many]])]
+            us.append(least[bucket[good]])
+            vs.append(fp[good])
+        pairs = np.unique(np.column_stack([np.concatenate(us), np.concatenate(vs)]), axis=0) if us else np.zeros((0, 2), np.int64)
+        n, k = len(pairs), len(many)
+        columns = [
+            pa.concat_arrays([pa.nulls(n, pa.int32()), pa.array(key[many], pa.int32())]),
+            pa.array(np.concatenate([pairs[:, 0], fp[many]])),
+            pa.concat_arrays([pa.array(pairs[:, 1]), pa.nulls(k, pa.int64())]),
+            pa.concat_arrays([pa.nulls(n, pa.int64()), pa.array(bits[many])]),
+        ]
+        yield pa.record_batch(columns, ["key", "u", "v", "bits"])
 
-    def out() -> pa.RecordBatch:
-        return pa.record_batch([pa.array(us, pa.int64()), pa.array(vs, pa.int64()), pa.array(keys, pa.int64())], ["u", "v", "key"])
 
-    for held in _buckets(batches):
-        n = sum(map(len, held))
-        if n < 2:
+def _mixed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """key, fp of the members of a bucket that have a candidate in another component."""
+    for t in _buckets(batches):
+        root = np.unique(t.column("root").to_numpy(), return_inverse=True)[1]
+        if root.max(initial=0) == 0:
             continue
-        fp = np.concatenate([x.column("fp").to_numpy() for x in held])
-        if n > SMALL:
-            us += fp.tolist()
-            vs += [None] * n
-            keys += [held[0].column("key")[0].as_py()] * n
-        else:
-            size = np.concatenate([x.column("size").to_numpy() for x in held])
-            order = np.argsort(fp)
-            fp, size = fp[order], size[order]
-            a, b = np.triu_indices(n, 1)
-            fit = LEAST[1] * np.minimum(size[a], size[b]) >= LEAST[0] * np.maximum(size[a], size[b])
-            us += fp[a[fit]].tolist()
-            vs += fp[b[fit]].tolist()
-            keys += [None] * int(fit.sum())
-        if len(us) > 50_000:
-            yield out()
-            us, vs, keys = [], [], []
-    yield out()
+        bits, open_ = t.column("bits").to_numpy(), np.zeros(len(root), bool)
+        for i in np.flatnonzero(root != np.bincount(root).argmax()):
+            hit = _near(bits, bits[i]) & (root != root[i])
+            open_ |= hit
+            open_[i] |= hit.any()
+        if open_.any():
+            yield pa.record_batch([t.column(c).combine_chunks().filter(pa.array(open_)) for c in ("key", "fp")], ["key", "fp"])
 
 
 def _forest(fp: np.ndarray, flat: np.ndarray, size: np.ndarray) -> list[tuple[int, int]]:
@@ -157,19 +237,21 @@ def _forest(fp: np.ndarray, flat: np.ndarray, size: np.ndarray) -> list[tuple[in
 
 
 def _forests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for held in _buckets(batches):
-        fp = np.concatenate([x.column("fp").to_numpy() for x in held])
-        lists = [x.column("shingles") for x in held]
-        links = _forest(fp, np.concatenate([x.flatten().to_numpy() for x in lists]), np.concatenate([x.value_lengths().to_numpy() for x in lists]).astype(np.int64))
+    for t in _buckets(batches):
+        lists = t.column("shingles").combine_chunks()
+        links = _forest(t.column("fp").to_numpy(), lists.flatten().to_numpy(), lists.value_lengths().to_numpy().astype(np.int64))
         yield pa.record_batch([pa.array([a for a, _ in links], pa.int64()), pa.array([b for _, b in links], pa.int64())], ["u", "v"])
 
 
 def links(prints: DataFrame, docs: DataFrame) -> DataFrame:
     """u, v: classes whose sets are similar, enough to connect all."""
-    keys = prints.select("fp", "size", F.explode("keys").alias("key")).distinct()
-    found = materialise(keys.repartition("key").sortWithinPartitions("key").mapInArrow(_candidates, "u long, v long, key long"), "candidates")
+    spread = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    classes = materialise(prints.groupBy("fp").agg(F.first("bits").alias("bits"), F.first("codes").alias("codes")), "classes")
+    keys = classes.repartition(spread).mapInArrow(_keys, "key int, fp long, bits long")
+    found = keys.repartition("key").sortWithinPartitions("key").mapInArrow(_candidates, "key int, u long, v long, bits long")
+    found = materialise(found, "candidates")
     pairs = materialise(found.filter("v is not null").select("u", "v").distinct(), "pairs")
-    large = found.filter("v is null").select("key", F.col("u").alias("fp"))
+    large = found.filter("v is null").select("key", F.col("u").alias("fp"), "bits")
     need = pairs.select(F.explode(F.array("u", "v")).alias("fp")).unionByName(large.select("fp")).distinct()
     texts = pick(docs.select("doc_id", "text"), first_of(prints.join(need, "fp", "left_semi"), "fp"))
     sets = materialise(texts.mapInArrow(_sets, "fp long, shingles array<long>"), "sets")
@@ -177,7 +259,12 @@ def links(prints: DataFrame, docs: DataFrame) -> DataFrame:
     b = sets.select(F.col("fp").alias("v"), F.col("shingles").alias("b"))
     both = F.size(F.array_intersect("a", "b"))
     near = pairs.join(a, "u").join(b, "v").filter(LEAST[1] * both >= LEAST[0] * (F.size("a") + F.size("b") - both)).select("u", "v")
-    dense = large.join(sets, "fp").select("key", "fp", "shingles").repartition("key").sortWithinPartitions("key")
+    near = materialise(near, "links")
+    if large.isEmpty():
+        return near
+    rooted = large.join(components(near), F.col("fp") == F.col("node"), "left").select("key", "fp", "bits", F.coalesce("root", "fp").alias("root"))
+    mixed = rooted.repartition("key").sortWithinPartitions("key").mapInArrow(_mixed, "key int, fp long")
+    dense = mixed.join(sets, "fp").select("key", "fp", "shingles").repartition("key").sortWithinPartitions("key")
     return near.unionByName(dense.mapInArrow(_forests, "u long, v long")).distinct()
 
 
@@ -185,7 +272,7 @@ def keep_one(docs: DataFrame) -> DataFrame:
     """One document of each component of similar texts, with all its columns."""
     kind = docs.schema["doc_id"].dataType.simpleString()
     marked = docs.select("doc_id", "text", F.xxhash64("text").alias("mark"))
-    prints = materialise(marked.mapInArrow(_prints, f"doc_id {kind}, mark long, fp long, size long, keys array<long>"), "prints")
+    prints = materialise(marked.mapInArrow(_prints, f"doc_id {kind}, mark long, fp long, bits long, codes binary"), "prints")
     roots = components(links(prints, docs))
     rows = prints.select("doc_id", "mark", "fp").join(roots, F.col("fp") == F.col("node"), "left").select("doc_id", "mark", F.coalesce("root", "fp").alias("root"))
     return pick(docs, materialise(first_of(rows, "root"), "first"))

@@ -85,6 +85,13 @@ def _remainders(x: np.ndarray) -> np.ndarray:
     return x
 
 
+@cache
+def codewords() -> np.ndarray:
+    """All codewords, by their index: the index in the upper bits, the check below."""
+    index = np.arange(4096) << 11
+    return index | _remainders(index)
+
+
 @cache
 def _tables() -> tuple[np.ndarray, np.ndarray]:
     """By remainder: the error pattern of weight at most three, and up to five of
