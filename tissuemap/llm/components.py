@@ -34,7 +34,7 @@ def components(edges: DataFrame) -> DataFrame:
     while (now := _signature(e)) != before:
         before = now
         # large star: neighbours above a node move to the least node around it
-        both = materialise(e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v"))), "both")
+        both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         m = _least(both)
         big = both.join(m, "u").filter("v > u").select(F.col("v").alias("u"), F.least("m", "u").alias("v")).distinct()
         big = materialise(big, "large")
@@ -43,7 +43,7 @@ def components(edges: DataFrame) -> DataFrame:
         small = big.join(m2, "u").select(F.explode(F.array(F.struct(F.col("v").alias("u"), F.col("m").alias("v")), F.struct(F.col("u"), F.col("m").alias("v")))).alias("x")).select("x.*")
         small = small.filter("u <> v").distinct()
         new = materialise(small, "small")
-        for old in (e, both, m, big, m2):
+        for old in (e, m, big, m2):
             discard(old)
         e = new
     roots = e.select(F.col("u").alias("node"), F.col("v").alias("root"))

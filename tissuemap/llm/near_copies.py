@@ -243,8 +243,8 @@ def _forests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.record_batch([pa.array([a for a, _ in links], pa.int64()), pa.array([b for _, b in links], pa.int64())], ["u", "v"])
 
 
-def links(prints: DataFrame, docs: DataFrame) -> DataFrame:
-    """u, v: classes whose sets are similar, enough to connect all."""
+def roots(prints: DataFrame, docs: DataFrame) -> DataFrame:
+    """node, root: components of the classes whose sets are similar."""
     spread = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     classes = materialise(prints.groupBy("fp").agg(F.first("bits").alias("bits"), F.first("codes").alias("codes")), "classes")
     keys = classes.repartition(spread).mapInArrow(_keys, "key int, fp long, bits long")
@@ -260,12 +260,16 @@ def links(prints: DataFrame, docs: DataFrame) -> DataFrame:
     both = F.size(F.array_intersect("a", "b"))
     near = pairs.join(a, "u").join(b, "v").filter(LEAST[1] * both >= LEAST[0] * (F.size("a") + F.size("b") - both)).select("u", "v")
     near = materialise(near, "links")
+    found = components(near)
     if large.isEmpty():
-        return near
-    rooted = large.join(components(near), F.col("fp") == F.col("node"), "left").select("key", "fp", "bits", F.coalesce("root", "fp").alias("root"))
+        return found
+    rooted = large.join(found, F.col("fp") == F.col("node"), "left").select("key", "fp", "bits", F.coalesce("root", "fp").alias("root"))
     mixed = rooted.repartition("key").sortWithinPartitions("key").mapInArrow(_mixed, "key int, fp long")
     dense = mixed.join(sets, "fp").select("key", "fp", "shingles").repartition("key").sortWithinPartitions("key")
-    return near.unionByName(dense.mapInArrow(_forests, "u long, v long")).distinct()
+    more = materialise(dense.mapInArrow(_forests, "u long, v long").distinct(), "more")
+    if more.isEmpty():
+        return found
+    return components(more.unionByName(found.select(F.col("node").alias("u"), F.col("root").alias("v"))))
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
@@ -273,6 +277,5 @@ def keep_one(docs: DataFrame) -> DataFrame:
     kind = docs.schema["doc_id"].dataType.simpleString()
     marked = docs.select("doc_id", "text", F.xxhash64("text").alias("mark"))
     prints = materialise(marked.mapInArrow(_prints, f"doc_id {kind}, mark long, fp long, bits long, codes binary"), "prints")
-    roots = components(links(prints, docs))
-    rows = prints.select("doc_id", "mark", "fp").join(roots, F.col("fp") == F.col("node"), "left").select("doc_id", "mark", F.coalesce("root", "fp").alias("root"))
+    rows = prints.select("doc_id", "mark", "fp").join(roots(prints, docs), F.col("fp") == F.col("node"), "left").select("doc_id", "mark", F.coalesce("root", "fp").alias("root"))
     return pick(docs, materialise(first_of(rows, "root"), "first"))
