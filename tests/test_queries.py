@@ -138,7 +138,7 @@ def test_recalls(spark):
 def test_rank_projection_error_is_the_tail(spark):
     from tissuemap.operators import subspace
 
-    x = registry.queries()["a26_rank_project"](spark, SF).first()["tail"]
+    x = registry.queries()["a26_rank_tail"](spark, SF).first()["tail"]
     from tissuemap.queries.vectors import _supplier
 
     g, _ = subspace.gram_matrix(subspace.gram(_supplier(spark, SF)))

@@ -28,11 +28,8 @@ class EngineConfig:
     shrink: float = 0.5
     slack: float = 0.99
     max_try: int = 12
-    #: Steps at or below this are taken unchecked: the operator is scaled to a
-    #: spectral radius of one, where they are safe, and reflected points of the
-    #: parallel algorithm do not come closer however small the step is. 0 checks all.
-    safe_step: float = 1.0
-    storage: str = "double"
+    #: Steps at or below this are taken unchecked. 0, as published, checks all.
+    safe_step: float = 0.0
 
     def but(self, **changes) -> EngineConfig:
         return replace(self, **changes)
@@ -47,8 +44,12 @@ VARIANTS = {
     "seq_cal_fixed": EngineConfig(calibrated=True),
     "par_bt": EngineConfig(algorithm="parallel", step="backtrack"),
 }
-#: Configurations beyond these: the other source of calibration, no matching.
+#: Configurations beyond these: the other source of calibration, no matching, and
+#: backtracking that takes steps of at most one unchecked (the operator is scaled to
+#: a spectral radius of one).
 STUDIES = {
+    "seq_bt_safe": VARIANTS["seq_bt"].but(safe_step=1.0),
+    "par_bt_safe": VARIANTS["par_bt"].but(safe_step=1.0),
     "seq_cal_lazy_raw": VARIANTS["seq_cal_lazy"].but(calibration="raw"),
     "convex": EngineConfig(match="none", step="backtrack"),
 }

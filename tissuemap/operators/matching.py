@@ -7,7 +7,10 @@ that one matrix product serves both.
 
 from __future__ import annotations
 
+import os
 from collections.abc import Iterator
+from concurrent.futures import ThreadPoolExecutor
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -18,6 +21,8 @@ from ..functions.cx import v_dot
 
 #: Voxel and atom block of the matrix products: at most 34 MB at once.
 VOXELS, ATOMS = 2048, 1024
+#: Bytes of atoms that a task holds at once.
+ATOM_BYTES = 64 << 20
 #: Scores are compared at this precision, so that engines agree on ties.
 DIGITS = 9
 
@@ -34,8 +39,9 @@ def _pair_score(x: Column, a: Column, norm: Column, score: str) -> Column:
     return F.hypot(re, im) / norm
 
 
-def exhaustive_join(voxels: DataFrame, atoms: DataFrame, score: str = "modulus") -> DataFrame:
-    """id, atom_id, score by a nested-loop join; ties go to the smallest atom.
+def exhaustive_join(voxels: DataFrame, atoms: DataFrame, score: str = "modulus", keep: bool = False) -> DataFrame:
+    """id, atom_id, score by a nested-loop join; ties go to the smallest atom. With
+    ``keep`` the rows come along: x, a and norm.
 
     ``atoms`` is a dictionary, whose size is fixed by its parameter grid and is
     checked by the planner before this form is chosen. All pairs of a voxel are
@@ -44,16 +50,22 @@ def exhaustive_join(voxels: DataFrame, atoms: DataFrame, score: str = "modulus")
     a = F.broadcast(atoms.select(F.col("id").alias("atom_id"), F.col("x").alias("a"), F.col("norm")))
     pairs = voxels.select("id", "x").crossJoin(a)
     s = F.round(_pair_score(F.col("x"), F.col("a"), F.col("norm"), score), DIGITS)
-    best = pairs.select("id", F.struct(s.alias("s"), (-F.col("atom_id")).alias("k")).alias("b")).groupBy("id").agg(F.max("b").alias("b"))
-    return best.select("id", (-F.col("b.k")).alias("atom_id"), F.col("b.s").alias("score"))
+    rows = ("x", "a", "norm") if keep else ()
+    best = pairs.select("id", F.struct(s.alias("s"), (-F.col("atom_id")).alias("k"), *rows).alias("b")).groupBy("id").agg(F.max("b").alias("b"))
+    return best.select("id", (-F.col("b.k")).alias("atom_id"), F.col("b.s").alias("score"), *[f"b.{c}" for c in rows])
 
 
 def best_atoms(x: np.ndarray, atoms: np.ndarray, norms: np.ndarray, score: str = "modulus") -> tuple[np.ndarray, np.ndarray]:
-    """Row of the winning atom and its score, for complex or real rows of x."""
+    """Row of the winning atom and its score, for complex or real rows of x.
+
+    ``TISSUEMAP_THREADS`` blocks of voxels are searched at once, for tasks that have
+    several cores to themselves.
+    """
     unit = atoms / norms[:, None]
     real = not np.iscomplexobj(unit)
     best, where = np.full(len(x), -np.inf), np.zeros(len(x), np.int64)
-    for lo in range(0, len(x), VOXELS):
+
+    def search(lo: int) -> None:
         part = x[lo : lo + VOXELS]
         top, at = np.full(len(part), -np.inf), np.zeros(len(part), np.int64)
         for k in range(0, len(unit), ATOMS):
@@ -74,6 +86,14 @@ def best_atoms(x: np.ndarray, atoms: np.ndarray, norms: np.ndarray, score: str =
             better = v > top
             top[better], at[better] = v[better], i[better] + k
         best[lo : lo + VOXELS], where[lo : lo + VOXELS] = top if score == "real" else np.sqrt(top), at
+
+    threads = int(os.environ.get("TISSUEMAP_THREADS", "1"))
+    if threads > 1 and len(x) > VOXELS:
+        with ThreadPoolExecutor(threads) as pool:
+            list(pool.map(search, range(0, len(x), VOXELS)))
+    else:
+        for lo in range(0, len(x), VOXELS):
+            search(lo)
     return where, best
 
 
@@ -82,20 +102,51 @@ def _stack(rows, interleaved: bool) -> np.ndarray:
     return x[:, 0::2] + 1j * x[:, 1::2] if interleaved else x
 
 
-def exhaustive_blocks(voxels: DataFrame, atoms: DataFrame, score: str = "modulus", interleaved: bool = False) -> DataFrame:
-    """As :func:`exhaustive_join` by blocked matrix products; no shuffle at all."""
+def _blocks(atoms: DataFrame, limit: int) -> list[DataFrame]:
+    """The atoms in parts of about ``limit`` bytes; the driver and each task hold
+    one part at a time."""
+    n, width = atoms.agg(F.count("*"), F.coalesce(F.max(F.size("x")), F.lit(0))).first()
+    parts = max(1, -(-n * (width + 2) * 8 // limit))
+    if parts == 1:
+        return [atoms]
+    return [atoms.filter(F.pmod(F.xxhash64("id"), F.lit(parts)) == k) for k in range(parts)]
+
+
+def _products(voxels: DataFrame, atoms: DataFrame, score: str, interleaved: bool, new: bool) -> DataFrame:
     table = atoms.select("id", "x", "norm").orderBy("id").toPandas()
     ids, norms = table["id"].to_numpy(), table["norm"].to_numpy()
+    raw = np.array(table["x"].tolist(), float)
     d = _stack(table["x"], interleaved)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
-            if b.empty:
+            if b.empty or not len(ids):
                 continue
             at, s = best_atoms(_stack(b["x"], interleaved), d, norms, score)
-            yield pd.DataFrame({"id": b["id"], "atom_id": ids[at], "score": np.round(s, DIGITS)})
+            # products by blocks and by pairs differ in the last digits
+            out = pd.DataFrame({"id": b["id"], "atom_id": ids[at], "score": np.round(s, DIGITS)})
+            if new:
+                rho = np.maximum(np.einsum("vt,vt->v", raw[at], np.array(b["x"].tolist(), float)) / norms[at] ** 2, 0)
+                out = out.assign(rho=rho, x=list(rho[:, None] * raw[at]))
+            yield out
+
+    return voxels.select("id", "x").mapInPandas(run, "id long, atom_id long, score double" + (", rho double, x array<double>" if new else ""))
+
 
-    return voxels.select("id", "x").mapInPandas(run, "id long, atom_id long, score double")
+def exhaustive_blocks(voxels: DataFrame, atoms: DataFrame, score: str = "modulus", interleaved: bool = False, new: bool = False, limit: int = ATOM_BYTES) -> DataFrame:
+    """As :func:`exhaustive_join` by blocked matrix products, and with ``new`` the
+    density and new row as well, which the task has at hand.
+
+    Nothing is shuffled while the atoms fit ``limit`` bytes; more of them come in
+    parts, and the winners of the parts are reduced to one row per voxel.
+    """
+    parts = [_products(voxels, a, score, interleaved, new) for a in _blocks(atoms, limit)]
+    if len(parts) == 1:
+        return parts[0]
+    rest = ("rho", "x") if new else ()
+    best = F.max(F.struct("score", (-F.col("atom_id")).alias("k"), *rest)).alias("b")
+    out = reduce(DataFrame.unionByName, parts).groupBy("id").agg(best)
+    return out.select("id", (-F.col("b.k")).alias("atom_id"), "b.score", *[f"b.{c}" for c in rest])
 
 
 def with_norm(atoms: DataFrame) -> DataFrame:
@@ -104,7 +155,7 @@ def with_norm(atoms: DataFrame) -> DataFrame:
 
 def density(matched: DataFrame, voxels: DataFrame, atoms: DataFrame) -> DataFrame:
     """``matched`` with rho: the clipped real projection on the winning atom."""
-    a = F.broadcast(atoms.select(F.col("id").alias("atom_id"), F.col("x").alias("a"), "norm"))
+    a = atoms.select(F.col("id").alias("atom_id"), F.col("x").alias("a"), "norm")
     out = matched.join(voxels.select("id", "x"), "id").join(a, "atom_id")
     return out.withColumn("rho", F.greatest(v_dot(F.col("x"), F.col("a")) / (F.col("norm") * F.col("norm")), F.lit(0.0)))
 
@@ -116,13 +167,12 @@ def resynth(dense: DataFrame) -> DataFrame:
 
 def lookup(matched: DataFrame, params: DataFrame) -> DataFrame:
     """Tissue parameters of the winning atoms."""
-    return matched.join(F.broadcast(params.withColumnRenamed("id", "atom_id")), "atom_id")
+    return matched.join(params.withColumnRenamed("id", "atom_id"), "atom_id")
 
 
-def project(voxels: DataFrame, atoms: DataFrame, score: str = "modulus") -> DataFrame:
+def project(voxels: DataFrame, atoms: DataFrame, score: str = "modulus", interleaved: bool = False) -> DataFrame:
     """id, atom_id, score, rho, x (new row): matching as a projection."""
-    dense = density(exhaustive_join(voxels, atoms, score), voxels, atoms)
-    return dense.select("id", "atom_id", "score", "rho", F.transform("a", lambda v: v * F.col("rho")).alias("x"))
+    return exhaustive_blocks(voxels, atoms, score, interleaved, new=True)
 
 
 def rotate(atoms: DataFrame, rotation: DataFrame) -> DataFrame:
@@ -137,7 +187,7 @@ def rotate(atoms: DataFrame, rotation: DataFrame) -> DataFrame:
 def by_bin(voxels: DataFrame, atoms: DataFrame, bin_col: str, score: str = "absolute") -> DataFrame:
     """Matching within equal values of ``bin_col``: an equi-join on the bin."""
     a = atoms.select(F.col(bin_col), F.col("id").alias("atom_id"), F.col("x").alias("a"), "norm")
-    pairs = voxels.select("id", bin_col, "x").join(F.broadcast(a), bin_col)
+    pairs = voxels.select("id", bin_col, "x").join(a, bin_col)
     s = F.round(_pair_score(F.col("x"), F.col("a"), F.col("norm"), score), DIGITS)
     best = pairs.groupBy("id", bin_col).agg(F.max(F.struct(s.alias("s"), (-F.col("atom_id")).alias("k"))).alias("b"))
     return best.select("id", bin_col, (-F.col("b.k")).alias("atom_id"), F.col("b.s").alias("score"))

@@ -24,6 +24,8 @@ def run(name: str, cells: np.ndarray, b: np.ndarray, power: float, enc: Encoder,
         out = reconstruct(b, power, enc, d, own, match)
         return out.atom, out.rho, out.history
     elif name == "base_time_mix":
+        if cells.shape[1] != enc.n:
+            raise ValueError("base_time_mix solves cell by cell and needs samples on the grid")
         u = time_mix(cells, enc)
     elif name in ("base_subspace", "base_subspace_10"):
         u, history = conjugate_gradient(b, enc)

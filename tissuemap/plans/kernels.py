@@ -151,6 +151,21 @@ def divergence(p: np.ndarray) -> np.ndarray:
     return out
 
 
+def estimate_coils(cells: np.ndarray, edge: int) -> np.ndarray:
+    """Coil maps from the central ``edge`` x ``edge`` cells of the samples averaged
+    over time: tapered, transformed, and divided by their root sum of squares.
+
+    The first component of the basis is the average that weighs time points by
+    their signal.
+    """
+    n = cells.shape[1]
+    k = np.minimum(np.arange(n), n - np.arange(n))
+    taper = np.where(k < edge / 2, np.cos(np.pi * k / (edge + 2)) ** 2, 0.0)
+    low = np.fft.ifft2(cells[..., 0] * taper[:, None] * taper[None], axes=(1, 2), norm="ortho")
+    total = np.sqrt((np.abs(low) ** 2).sum(axis=0))
+    return low / np.maximum(total, 1e-9 * total.max())
+
+
 def tv_norm(u: np.ndarray, joint: bool = False) -> float:
     g = (np.abs(gradient(u)) ** 2).sum(axis=0)
     return float(np.sqrt(g.sum(axis=-1) if joint else g).sum())
@@ -223,7 +238,8 @@ def reconstruct(b: np.ndarray, yy: float, enc: Encoder, d: Dictionary, cfg: Engi
     sequential: gradient, match (every iteration, at the ends, or never), then
     the spatial prox. parallel: match and prox act side by side on reflected
     points, and their results are averaged. A rejected attempt halves the step
-    and starts the iteration again from the same state.
+    and starts the iteration again from the same state; after ``max_try`` of them
+    the method stops, which the history records.
     """
     match = match or (lambda z: project(z, d, cfg.score))
     u = np.zeros_like(b)
@@ -262,11 +278,12 @@ def reconstruct(b: np.ndarray, yy: float, enc: Encoder, d: Dictionary, cfg: Engi
             bound = cfg.slack * moved / curved if curved > 0 else np.inf
             ok_b = after <= before if cfg.residual_rule == "decrease" else after >= before
             accepted = cfg.step == "fixed" or step <= cfg.safe_step or (step <= bound and ok_b)
-            history.append({"iter": k, "attempt": attempt, "step": step, "fidelity": fidelity(new, b, yy, nn), "residual": after, "accepted": bool(accepted)})
+            history.append({"iter": k, "attempt": attempt, "step": step, "fidelity": fidelity(new, b, yy, nn), "residual": after, "accepted": bool(accepted), "outcome": "accepted" if accepted else "rejected"})
             if accepted:
                 break
             step *= cfg.shrink
         else:
+            history[-1]["outcome"] = "stopped"
             break
         u, nu = new, nn
         if cfg.algorithm == "parallel":
@@ -297,7 +314,7 @@ def conjugate_gradient(b: np.ndarray, enc: Encoder, iters: int = 30, tol: float
         a = rr / float(np.vdot(p, q).real)
         u, r = u + a * p, r - a * q
         new = float(np.vdot(r, r).real)
-        history.append({"iter": k, "attempt": 0, "step": a, "fidelity": float("nan"), "residual": new, "accepted": True})
+        history.append({"iter": k, "attempt": 0, "step": a, "fidelity": float("nan"), "residual": new, "accepted": True, "outcome": "accepted"})
         p, rr = r + (new / rr) * p, new
     return u, history
 

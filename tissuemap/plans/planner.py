@@ -4,8 +4,9 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-#: Pairs of voxels and atoms up to which a nested-loop join is chosen.
-JOIN_PAIRS = 5_000_000
+#: Pairs of voxels and atoms up to which a nested-loop join is chosen; it scores
+#: pair by pair, and broadcasts the atoms, which are no more than this many.
+JOIN_PAIRS = 100_000
 #: Rank up to which the normal operator goes through a kernel per cell.
 KERNEL_RANK = 24
 #: Grid edge up to which iterations run as plans of joins, and beyond which a

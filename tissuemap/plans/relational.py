@@ -48,9 +48,7 @@ def match_image(u: DataFrame, atoms: DataFrame) -> tuple[DataFrame, DataFrame]:
     cell = F.struct("slice_id", "row", "col")
     packed = u.groupBy(cell.alias("id")).agg(F.sort_array(F.collect_list(F.struct("comp", "re", "im"))).alias("p"))
     packed = packed.select("id", F.flatten(F.transform("p", lambda v: F.array(v["re"], v["im"]))).alias("x"))
-    best = exhaustive_join(packed, atoms).join(packed, "id")
-    a = F.broadcast(atoms.select(F.col("id").alias("atom_id"), F.col("x").alias("a"), "norm"))
-    best = best.join(a, "atom_id")
+    best = exhaustive_join(packed, atoms, keep=True)
     re = F.aggregate(F.zip_with("x", "a", lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v)
     dense = best.withColumn("rho", F.greatest(re / (F.col("norm") * F.col("norm")), F.lit(0.0)))
     maps = dense.select("id.slice_id", "id.row", "id.col", "atom_id", "rho")
@@ -72,12 +70,25 @@ def sequential_step(u: DataFrame, p: Problem, step: float, cfg: EngineConfig, ma
 
 
 def parallel_step(state: tuple[DataFrame, DataFrame, DataFrame], p: Problem, step: float, cfg: EngineConfig) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(u, zb, zs) to the next; both branches start from the same gradient point."""
-    u, zb, zs = state
-    g = gradient_point(u, p, step)
-    ob, os_ = combine(u, 1.0, zb, -1.0), combine(u, 1.0, zs, -1.0)
-    zb2 = combine(match_image(combine(g, 1.0, ob, 1.0), p.atoms)[0], 1.0, ob, -1.0)
-    zs2 = combine(spatial.tv_prox(combine(g, 1.0, os_, 1.0), cfg.prox_scale * step * cfg.lam, cfg.tv_iters, cfg.complex_mode), 1.0, os_, -1.0)
+    """(u, zb, zs) to the next; both branches start from the same gradient point.
+
+    The point and both offsets stand side by side in one written row per
+    coefficient, so that neither branch plans the gradient again.
+    """
+    named = lambda df, k: df.select(*KEYS, F.col("re").alias(f"{k}re"), F.col("im").alias(f"{k}im"))
+    wide = named(state[0], "u")
+    for df, k in ((p.normal(state[0]), "n"), (p.b, "y"), (state[1], "b"), (state[2], "s")):
+        wide = wide.join(named(df, k), KEYS)
+    parts = []
+    for c in ("re", "im"):
+        g = F.col(f"u{c}") - step * F.col(f"n{c}") + step * F.col(f"y{c}")
+        for k in ("b", "s"):
+            off = F.col(f"u{c}") - F.col(f"{k}{c}")
+            parts += [off.alias(f"o{k}{c}"), (g + off).alias(f"x{k}{c}")]
+    wide = cut(wide.select(*KEYS, *parts))
+    part = lambda k: wide.select(*KEYS, F.col(f"{k}re").alias("re"), F.col(f"{k}im").alias("im"))
+    zb2 = combine(match_image(part("xb"), p.atoms)[0], 1.0, part("ob"), -1.0)
+    zs2 = combine(spatial.tv_prox(part("xs"), cfg.prox_scale * step * cfg.lam, cfg.tv_iters, cfg.complex_mode), 1.0, part("os"), -1.0)
     return combine(zb2, 0.5, zs2, 0.5), zb2, zs2
 
 
@@ -114,11 +125,12 @@ def solve(p: Problem, power: float, cfg: EngineConfig):
             nn = cut(p.normal(new))
             s = _scalars(u, new, nu, nn, p.b)
             ok = cfg.step == "fixed" or step <= cfg.safe_step or (step <= cfg.slack * s["moved"] / max(s["curved"], 1e-300) and (s["after"] <= s["before"]) == (cfg.residual_rule == "decrease"))
-            history.append((k, attempt, step, power - 2 * s["bn"] + s["nq"], s["after"], ok))
+            history.append((k, attempt, step, power - 2 * s["bn"] + s["nq"], s["after"], ok, "accepted" if ok else "rejected"))
             if ok:
                 break
             step *= cfg.shrink
         else:
+            history[-1] = (*history[-1][:-1], "stopped")
             break
         u, nu = new, nn
         if cfg.algorithm == "parallel":
@@ -127,4 +139,4 @@ def solve(p: Problem, power: float, cfg: EngineConfig):
             best = (history[-1][3], u)
     image, maps = match_image(best[1] if best else u, p.atoms)
     spark = p.b.sparkSession
-    return image, maps, spark.createDataFrame(history, "iter int, attempt int, step double, fidelity double, residual double, accepted boolean")
+    return image, maps, spark.createDataFrame(history, "iter int, attempt int, step double, fidelity double, residual double, accepted boolean, outcome string")

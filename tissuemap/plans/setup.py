@@ -25,8 +25,8 @@ def schedule_arrays(length: int) -> tuple[np.ndarray, np.ndarray]:
     return 13.55 + 1.45 * np.sin(2 * np.pi * t / TR_PERIOD), 74.0 * height * np.sin(np.pi * (t % LOBE) / LOBE)
 
 
-def spiral_cells(length: int, n: int, samples: int, inner: float, outer: float) -> tuple[np.ndarray, ...]:
-    """t, ku, kv, w of the sampled cells; the array twin of ``sampling_mask``."""
+def spiral_points(length: int, n: int, samples: int, inner: float, outer: float) -> tuple[np.ndarray, ...]:
+    """t, kx, ky of the points on the rotating spirals, in cells."""
     edge = n / 2 - 0.5
     grow = (outer - inner) / edge / (2 * math.pi)
     last = math.log(1 + grow * edge * 2 * math.pi / inner) / grow
@@ -36,8 +36,14 @@ def spiral_cells(length: int, n: int, samples: int, inner: float, outer: float)
     late = t // INTERLEAVES
     angle = np.radians(((t - late) * TURN + late * LATE_TURN) % 360.0)
     turn = winding[None] + angle[:, None]
+    return np.repeat(t, samples), (radius * np.cos(turn)).ravel(), (radius * np.sin(turn)).ravel()
+
+
+def spiral_cells(length: int, n: int, samples: int, inner: float, outer: float) -> tuple[np.ndarray, ...]:
+    """t, ku, kv, w of the sampled cells; the array twin of ``sampling_mask``."""
+    t, kx, ky = spiral_points(length, n, samples, inner, outer)
     cell = lambda v: np.mod(np.trunc(v + np.copysign(0.5, v)).astype(np.int64), n)
-    code = np.unique(np.repeat(t, samples) * n * n + (cell(radius * np.cos(turn)) * n + cell(radius * np.sin(turn))).ravel())
+    code = np.unique(t * n * n + cell(kx) * n + cell(ky))
     t, cells = code // (n * n), code % (n * n)
     met = np.bincount(cells, minlength=n * n)[cells]
     return t, cells // n, cells % n, length / met
@@ -76,6 +82,14 @@ class Setup:
     by_bin: dict[int, Dictionary] | None = None
     bins: np.ndarray | None = None
     energy: np.ndarray | None = None
+    #: Edge of the centre of k-space from which each slice's coil maps are made; 0
+    #: takes ``coils`` as they are.
+    centre: int = 0
+
+    @property
+    def grid(self) -> int:
+        """Edge of the cells that a slice's state has."""
+        return self.n
 
     def encoder(self, r: int) -> Encoder:
         return Encoder(self.n, self.basis[:, :r], Mask.of(*self.mask, self.n), self.coils, None, self.scale)
@@ -100,15 +114,17 @@ def simulate(t1, t2, length: int, model: str = "coherent", b1: float = 1.0) -> n
 
 def make(
     n: int, length: int, rank: int = 30, inner: float = 3.0, outer: float = 6.0, model: str = "coherent", every: int = 1,
-    coils: np.ndarray | None = None, bins: np.ndarray | None = None, factors: dict[int, float] | None = None,
+    coils: np.ndarray | None = None, bins: np.ndarray | None = None, factors: dict[int, float] | None = None, weights: str = "gain", centre: int = 0,
 ) -> Setup:
-    """``rank`` is the largest rank that any method will ask for."""
+    """``rank`` is the largest rank that any method will ask for; ``weights`` is
+    "gain", or "count", which only evens out how often a cell is met."""
     t1, t2 = grid_arrays(every)
     signals = simulate(t1, t2, length, model)
     val, basis = leading(signals.conj().T @ signals, min(rank, length))
     own = lambda s: Dictionary(s @ basis, np.linalg.norm(s @ basis, axis=1), t1, t2)
     by_bin = factors and {b: own(simulate(t1, t2, length, model, f)) for b, f in factors.items()}
     mask = spiral_cells(length, n, samples=int(6 * n * n / (inner + outer)) + 8, inner=inner, outer=outer)
-    mask = (*mask[:3], gain_weights(*mask[:3], n, basis[:, : min(10, basis.shape[1])]))
+    if weights == "gain":
+        mask = (*mask[:3], gain_weights(*mask[:3], n, basis[:, : min(10, basis.shape[1])]))
     small = Encoder(n, basis[:, : min(10, basis.shape[1])], Mask.of(*mask, n), coils)
-    return Setup(n, length, basis, own(signals), mask, 1 / max(small.spectral_radius(40), 1e-12), coils, by_bin, bins, val)
+    return Setup(n, length, basis, own(signals), mask, 1 / max(small.spectral_radius(40), 1e-12), coils, by_bin, bins, val, centre)

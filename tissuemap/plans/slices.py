@@ -9,6 +9,7 @@ the cluster. Scans of several lengths are prefixes of one table of samples.
 from __future__ import annotations
 
 import time
+from dataclasses import replace
 from functools import reduce
 
 import numpy as np
@@ -17,12 +18,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..config import STUDIES, VARIANTS, EngineConfig
+from ..sources.scratch import cut
 from . import baselines
-from .kernels import calibration, project, project_bins, reconstruct
+from .kernels import calibration, estimate_coils, project, project_bins, reconstruct
 from .setup import Setup, simulate
 
+#: Rows of masks that are broadcast; longer ones (time points x samples x lengths)
+#: are written once and joined on their key.
+MASK_ROWS = 1 << 20
 MAPS = "slice_id long, length int, method string, row int, col int, atom_id int, t1 double, t2 double, rho double"
-HISTORY = "slice_id long, length int, method string, iter int, attempt int, step double, fidelity double, residual double, accepted boolean, seconds double"
+HISTORY = "slice_id long, length int, method string, iter int, attempt int, step double, fidelity double, residual double, accepted boolean, outcome string, seconds double"
 
 
 def phantom_samples(spark: SparkSession, phantom: DataFrame, n: int, length: int, mask: tuple, coils: DataFrame | None = None, model: str = "coherent", factors: dict[int, float] | None = None) -> DataFrame:
@@ -79,6 +84,7 @@ def reduce_samples(samples: DataFrame, setups: list[Setup]) -> DataFrame:
     spark = samples.sparkSession
     r = max(s.basis.shape[1] for s in setups)
     masks = reduce(DataFrame.unionByName, [mask_table(spark, s.mask).withColumn("length", F.lit(s.length)) for s in setups])
+    masks = F.broadcast(masks) if sum(len(s.mask[0]) for s in setups) <= MASK_ROWS else cut(masks, "masks")
     lines = []
     for s in setups:
         b = np.zeros((s.length, r), complex)
@@ -86,7 +92,7 @@ def reduce_samples(samples: DataFrame, setups: list[Setup]) -> DataFrame:
         lines.append(pd.DataFrame({"length": np.int32(s.length), "t": np.arange(s.length, dtype=np.int32), **{f"b{j}": b[:, j].real for j in range(r)}, **{f"c{j}": b[:, j].imag for j in range(r)}}))
     basis = spark.createDataFrame(pd.concat(lines)).withColumn("length", F.col("length").cast("int")).withColumn("t", F.col("t").cast("int"))
     real = all(not np.iscomplexobj(s.basis) for s in setups)
-    x = samples.join(F.broadcast(masks), ["t", "ku", "kv"]).join(F.broadcast(basis), ["length", "t"])
+    x = samples.join(masks, ["t", "ku", "kv"]).join(F.broadcast(basis), ["length", "t"])
     root = F.sqrt("w")
     x = x.withColumns({"_r": F.col("re") * F.col("w"), "_i": F.col("im") * F.col("w"), "_p": root * root * (F.col("re") ** 2 + F.col("im") ** 2)})
     sums = [F.sum("_p").alias("p")]
@@ -131,31 +137,42 @@ def run_method(name: str, cells: np.ndarray, power: float, s: Setup, base: Engin
 
 
 def run_slices(state: DataFrame, setups: list[Setup], methods: list[str], base: EngineConfig | None = None, history: bool = False, lams: list[float] | None = None) -> DataFrame:
-    """Maps (or histories) of every slice, length and method; a task per triple.
+    """Maps (or histories) of every slice, length and method; a task per slice and
+    length runs the methods one after the other.
 
-    With ``lams`` each method runs once per weight, named method@weight.
+    Where there are fewer slices than cores the methods are dealt to several tasks,
+    each of which gets the slice's state. With ``lams`` each method runs once per
+    weight, named method@weight.
     """
     base = base or EngineConfig()
     spark = state.sparkSession
     shared = spark.sparkContext.broadcast({s.length: s for s in setups})
     names = [(m, m, base.lam) for m in methods] if lams is None else [(f"{m}@{v:g}", m, v) for m in methods for v in lams]
-    table = spark.createDataFrame(names, "label string, method string, lam double")
+    state = cut(state, "state")
+    slices = state.select("slice_id", "length").distinct().count()
+    parts = max(1, min(len(names), spark.sparkContext.defaultParallelism // max(1, slices)))
 
     def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
-        slice_id, length, label, method, lam = key
-        began = time.time()
+        slice_id, length, part = key
         s = shared.value[int(length)]
         q = int(pdf["coil"].max()) + 1
         flat = np.array(pdf["cells"].tolist(), float)
-        cells = np.zeros((q, s.n, s.n, s.basis.shape[1]), complex)
+        cells = np.zeros((q, s.grid, s.grid, s.basis.shape[1]), complex)
         cells[pdf["coil"], pdf["ku"], pdf["kv"]] = (flat[:, 0::2] + 1j * flat[:, 1::2])[:, : s.basis.shape[1]]
-        atom, rho, t1, t2, steps = run_method(method, cells, float(pdf["power"].sum()), s, base.but(lam=lam))
-        head = {"slice_id": int(slice_id), "length": np.int32(length), "method": label}
+        if s.centre:
+            s = replace(s, coils=estimate_coils(cells, s.centre))
+        power = float(pdf["power"].sum())
+        return pd.concat([one(int(slice_id), int(length), *name, cells, power, s) for name in names[int(part) :: parts]])
+
+    def one(slice_id: int, length: int, label: str, method: str, lam: float, cells: np.ndarray, power: float, s: Setup) -> pd.DataFrame:
+        began = time.time()
+        atom, rho, t1, t2, steps = run_method(method, cells, power, s, base.but(lam=lam))
+        head = {"slice_id": slice_id, "length": np.int32(length), "method": label}
         if history:
-            out = pd.DataFrame(steps or [{"iter": 0, "attempt": 0, "step": 1.0, "fidelity": float("nan"), "residual": float("nan"), "accepted": True}])
+            out = pd.DataFrame(steps or [{"iter": 0, "attempt": 0, "step": 1.0, "fidelity": float("nan"), "residual": float("nan"), "accepted": True, "outcome": "accepted"}])
             return out.assign(**head, seconds=time.time() - began)[[c.split()[0] for c in HISTORY.split(", ")]]
         row, col = np.divmod(np.arange(s.n**2), s.n)
         return pd.DataFrame({**head, "row": row.astype(np.int32), "col": col.astype(np.int32), "atom_id": atom.ravel().astype(np.int32), "t1": t1.ravel(), "t2": t2.ravel(), "rho": rho.ravel()})
 
-    parts = state.crossJoin(F.broadcast(table)).groupBy("slice_id", "length", "label", "method", "lam")
-    return parts.applyInPandas(run, HISTORY if history else MAPS)
+    dealt = state.withColumn("part", F.explode(F.array(*[F.lit(k) for k in range(parts)]))).groupBy("slice_id", "length", "part")
+    return dealt.applyInPandas(run, HISTORY if history else MAPS)

@@ -24,7 +24,7 @@ def w01_variants_clean(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w02_variants_noisy(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _rounded(workloads.variants_by_length(spark, workloads.NOISE), "err_t1", "err_t2")
+    return _rounded(workloads.variants_by_length(spark, workloads.NOISE, seeds=workloads.scans(spark, sf_dir)), "err_t1", "err_t2")
 
 
 def w03_baselines_clean(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -32,7 +32,7 @@ def w03_baselines_clean(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w04_baselines_noisy(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _rounded(workloads.best_against_baselines(spark, workloads.NOISE), "err_t1", "err_t2")
+    return _rounded(workloads.best_against_baselines(spark, workloads.NOISE, seeds=workloads.scans(spark, sf_dir)), "err_t1", "err_t2")
 
 
 def w05_inserts(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -46,7 +46,7 @@ def w05_inserts_clean(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w06_multi_coil(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _rounded(workloads.multi_coil(spark), "err_t1", "err_t2")
+    return _rounded(workloads.multi_coil(spark, seeds=workloads.scans(spark, sf_dir)), "err_t1", "err_t2")
 
 
 def w06_multi_coil_clean(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -55,24 +55,47 @@ def w06_multi_coil_clean(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def w08_weight_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     clean = workloads.weight_sweep(spark, 0.0).withColumn("noise", F.lit(0.0))
-    noisy = workloads.weight_sweep(spark, workloads.NOISE).withColumn("noise", F.lit(workloads.NOISE))
+    noisy = workloads.weight_sweep(spark, workloads.NOISE, seeds=workloads.scans(spark, sf_dir)).withColumn("noise", F.lit(workloads.NOISE))
     return _rounded(clean.unionByName(noisy), "err_t1", "err_t2")
 
 
 def w09_ablations(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _rounded(workloads.ablations(spark, lengths=(60,)), "gain_t1", "gain_t2")
+    """Paired contrasts, under both kinds of sample weights: with unit gains no step
+    is rejected, so that the step rules differ under the other kind only."""
+    size = {"lengths": (60, 100), "seeds": workloads.scans(spark, sf_dir)}
+    gain = workloads.ablations(spark, **size).withColumn("weights", F.lit("gain"))
+    count = workloads.ablations(spark, **size, weights="count", lam=workloads.CLEAN).withColumn("weights", F.lit("count"))
+    return _rounded(gain.unionByName(count), "gain_t1", "gain_t2")
 
 
 def w10_cost(spark: SparkSession, sf_dir: str) -> DataFrame:
     return workloads.cost(spark)
 
 
+def a16_offgrid_slices(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Reconstructions from samples off the grid, without and with noise."""
+    clean = workloads.offgrid_errors(spark).withColumn("noise", F.lit(0.0))
+    noisy = workloads.offgrid_errors(spark, noise=workloads.NOISE, seeds=workloads.scans(spark, sf_dir)).withColumn("noise", F.lit(workloads.NOISE))
+    return _rounded(clean.unionByName(noisy), "err_t1", "err_t2")
+
+
+def w07_rank_error(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Error by the rank of the subspace."""
+    return _rounded(workloads.rank_errors(spark, seeds=workloads.scans(spark, sf_dir)), "err_t1", "err_t2")
+
+
+def b2_proj_grad_full_rank(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The projected-gradient baseline at the rank it was published with."""
+    e = workloads.errors(spark, ["base_proj_grad", "par_bt"], n=16, lengths=(200,), noise=workloads.NOISE, seeds=workloads.scans(spark, sf_dir), rank=workloads.FULL_RANK)
+    return _rounded(e, "err_t1", "err_t2")
+
+
 def w11_sales_dealias(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rounded(workloads.sales_dealias(spark, sf_dir), "err", "err_row_mean")
 
 
 def w15_subspace_rank(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _rounded(workloads.errors(spark, ["base_subspace", "base_subspace_10"], noise=workloads.NOISE, lengths=(60,)), "err_t1", "err_t2")
+    return _rounded(workloads.errors(spark, ["base_subspace", "base_subspace_10"], noise=workloads.NOISE, seeds=workloads.scans(spark, sf_dir)), "err_t1", "err_t2")
 
 
 def _phantom_run(spark: SparkSession, methods, cfg: EngineConfig, history: bool = False) -> DataFrame:
@@ -108,8 +131,8 @@ def a64_convex_mode(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def a65_history(spark: SparkSession, sf_dir: str) -> DataFrame:
-    h = _phantom_run(spark, ["seq_bt", "par_bt"], EngineConfig(lam=1e-3, k_max=6), history=True)
-    return _rounded(h.select("method", "iter", "attempt", "step", "fidelity", "residual", "accepted"), "step", "fidelity", "residual")
+    h = _phantom_run(spark, ["seq_bt", "par_bt", "seq_bt_safe", "par_bt_safe"], EngineConfig(lam=1e-3, k_max=6), history=True)
+    return _rounded(h.select("method", "iter", "attempt", "step", "fidelity", "residual", "accepted", "outcome"), "step", "fidelity", "residual")
 
 
 def b4_subspace(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -124,6 +147,6 @@ QUERIES = {
     f.__name__: f
     for f in (
         w01_variants_clean, w02_variants_noisy, w03_baselines_clean, w04_baselines_noisy, w05_inserts, w05_inserts_clean, w06_multi_coil, w06_multi_coil_clean, w08_weight_sweep,
-        w09_ablations, w10_cost, w11_sales_dealias, w15_subspace_rank, a25_autocal_data, a56_lipschitz, a62_variants, a64_convex_mode, a65_history, b4_subspace, b5_described_baselines,
+        w09_ablations, w07_rank_error, a16_offgrid_slices, b2_proj_grad_full_rank, w10_cost, w11_sales_dealias, w15_subspace_rank, a25_autocal_data, a56_lipschitz, a62_variants, a64_convex_mode, a65_history, b4_subspace, b5_described_baselines,
     )
 }

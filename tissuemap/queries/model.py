@@ -197,6 +197,19 @@ def a16_nufft_error(spark: SparkSession, sf_dir: str) -> DataFrame:
     return d.crossJoin(e).select((F.col("d") / F.col("e")).alias("relative_error"))
 
 
+@query(
+    f"""WITH RECURSIVE {fx.SQL_SCAN}, {fx.SQL_TRUTH},
+a3 AS (SELECT t::INTEGER AS t, s::INTEGER AS sample_no, sqrt((s + 0.5) / 10.0::DOUBLE) * {fx._LAST!r}::DOUBLE AS wind, radians((t * 82.5) % 360) AS a FROM range(3) x(t), range(10) y(s)),
+p3 AS (SELECT t, sample_no, {fx.INNER / (2 * 3.141592653589793 * fx._GROW)!r}::DOUBLE * (exp({fx._GROW!r}::DOUBLE * wind) - 1) * cos(wind + a) AS kx, {fx.INNER / (2 * 3.141592653589793 * fx._GROW)!r}::DOUBLE * (exp({fx._GROW!r}::DOUBLE * wind) - 1) * sin(wind + a) AS ky FROM a3),
+n3 AS (SELECT comp, t, sample_no, sum(re * cos(2 * pi() * (row * kx + col * ky) / 8)) / 8 AS re, -sum(re * sin(2 * pi() * (row * kx + col * ky) / 8)) / 8 AS im FROM img, p3 GROUP BY ALL)
+SELECT comp, t, sample_no, round(re, 3) + 0.0 AS re, round(im, 3) + 0.0 AS im FROM n3"""
+)
+def a16_nufft_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Samples by the gridding window, at the precision it has, against the exact sums."""
+    fast = encode.degrid(fx.truth(spark), _points(spark), fx.N)
+    return fast.select("comp", "t", "sample_no", *[(F.round(c, 3) + F.lit(0.0)).alias(c) for c in ("re", "im")])
+
+
 @query(
     f"""WITH RECURSIVE {fx.SQL_SCAN}, {fx.SQL_TRUTH},
 a3 AS (SELECT t::INTEGER AS t, s::INTEGER AS sample_no, sqrt((s + 0.5) / 10.0::DOUBLE) * {fx._LAST!r}::DOUBLE AS wind, radians((t * 82.5) % 360) AS a FROM range(3) x(t), range(10) y(s)),

@@ -9,6 +9,7 @@ from ..functions import cx
 from ..operators import joins
 from ..sources import tables
 from ..sources.scratch import folder
+from . import fixtures as fx
 from .model import q6, r6
 
 QUERIES: dict = {}
@@ -61,7 +62,7 @@ def e03_format_round_trips(spark: SparkSession, sf_dir: str) -> DataFrame:
     return df.groupBy("p_type").agg(F.count("*").alias("n"), F.sum("p_size").alias("sizes"))
 
 
-@query()
+@query(f"WITH {fx.sql_phantom(32)} SELECT class, count(*) AS voxels FROM ph GROUP BY class")
 def e05_phantom_source(spark: SparkSession, sf_dir: str) -> DataFrame:
     from ..sources.phantom_source import register
 

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import matching, subspace
+from ..plans import planner
 from ..sources import tables
 from .model import q6, r6
 
@@ -47,8 +48,20 @@ def a21_energy_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
     return g.filter("t = t2").agg(F.sum("g").alias("energy")).select(*r6("energy"))
 
 
-@query()
+@query("SELECT vec_id AS id, round(list_inner_product(embedding::DOUBLE[], embedding::DOUBLE[]), 6) + 0.0 AS energy FROM embeddings WHERE vec_id % 2 = 0 UNION ALL SELECT -1, round(sum(list_inner_product(embedding::DOUBLE[], embedding::DOUBLE[])), 6) + 0.0 FROM embeddings WHERE vec_id % 2 = 0")
 def a21_dict_basis(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Energy of each atom in the whole basis, which a basis keeps if and only if it
+    is orthonormal and complete; under -1 the sum of the squared singular values."""
+    atoms = tables.vectors(spark, sf_dir, False)
+    val, basis = subspace.leading(subspace.gram_packed(atoms, "x"))
+    long = atoms.select("id", F.posexplode("x").alias("t", "v"))
+    comps = subspace.compress(long, subspace.basis_table(spark, basis), ["id"])
+    total = spark.createDataFrame([(-1, float(val.sum()))], "id long, energy double")
+    return comps.groupBy("id").agg(F.sum(F.col("v") ** 2).alias("energy")).unionByName(total).select("id", *r6("energy"))
+
+
+@query()
+def a21_rank_share(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Retained energy of the vectors' leading directions: not low rank here."""
     g = subspace.gram_packed(tables.vectors(spark, sf_dir, False), "x")
     val, _ = subspace.leading(g)
@@ -78,30 +91,62 @@ def a23_roundtrip_error(spark: SparkSession, sf_dir: str) -> DataFrame:
     return x.join(back, ["voxel", "t"]).groupBy("voxel").agg(F.sqrt(F.sum((F.col("v") - F.col("w")) ** 2)).alias("err")).select("voxel", *r6("err"))
 
 
-@query()
-def a24_autocal_basis(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Energy that a calibrated basis of rank r keeps of ten cosine components."""
+def _calibrated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """voxel, rank, v: ten cosine components turned into the calibrated basis."""
     x, b = _supplier(spark, sf_dir), _cosines(spark, 84, 10)
     w = subspace.autocal(x, b, 10, ["voxel"])
     c = subspace.compress(x, b, ["voxel"])
     table = spark.createDataFrame([(i, j, float(v)) for i, line in enumerate(w) for j, v in enumerate(line)], "comp int, rank int, w double")
-    rotated = c.join(F.broadcast(table), "comp").groupBy("voxel", "rank").agg(F.sum(F.col("v") * F.col("w")).alias("v"))
-    per = rotated.groupBy(F.col("rank").alias("comp")).agg(F.sum(F.col("v") ** 2).alias("value"))
-    return subspace.rank_energy(per).select("comp", *r6("energy", "share"))
+    return c.join(F.broadcast(table), "comp").groupBy("voxel", "rank").agg(F.sum(F.col("v") * F.col("w")).alias("v"))
+
+
+@query(f"WITH {_COMP} SELECT voxel, {q6('sum(v * v)', 'energy')} FROM cx GROUP BY voxel")
+def a24_autocal_basis(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Energy of each voxel after calibration at full rank: a rotation keeps it."""
+    return _calibrated(spark, sf_dir).groupBy("voxel").agg(F.sum(F.col("v") ** 2).alias("energy")).select("voxel", *r6("energy"))
 
 
 @query()
+def a24_autocal_share(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Energy that a calibrated basis of rank r keeps of ten cosine components."""
+    per = _calibrated(spark, sf_dir).groupBy(F.col("rank").alias("comp")).agg(F.sum(F.col("v") ** 2).alias("value"))
+    return subspace.rank_energy(per).select("comp", *r6("energy", "share"))
+
+
+@query(f"WITH {_SUPP} SELECT r.rank, {q6('sum(v * v)', 'energy')} FROM sm, (VALUES (1), (5), (20), (84)) r(rank) GROUP BY r.rank")
 def a26_rank_project(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Energy of the projection plus that of what it leaves, at several ranks: a
+    projection parts them at right angles."""
+    x, out = _supplier(spark, sf_dir), None
+    for r in (1, 5, 20, 84):
+        y = subspace.rank_project(x, r, ["voxel"]).withColumnRenamed("v", "w")
+        v, w = F.coalesce("v", F.lit(0.0)), F.coalesce("w", F.lit(0.0))
+        one = x.join(y, ["voxel", "t"], "full").agg(F.lit(r).alias("rank"), F.sum((v - w) ** 2 + w * w).alias("energy"))
+        out = one if out is None else out.unionByName(one)
+    return out.select("rank", *r6("energy"))
+
+
+@query()
+def a26_rank_tail(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Squared distance to the rank-5 projection; equals the energy of the tail."""
     x = _supplier(spark, sf_dir)
     y = subspace.rank_project(x, 5, ["voxel"]).withColumnRenamed("v", "w")
     return x.join(y, ["voxel", "t"], "full").agg(F.sum((F.coalesce("v", F.lit(0.0)) - F.coalesce("w", F.lit(0.0))) ** 2).alias("tail")).select(*r6("tail"))
 
 
-@query()
+@query(
+    f"""WITH {_SUPP}, a AS (SELECT voxel, sum(v) AS a FROM sm GROUP BY voxel), b AS (SELECT t, sum(v) / 1000 AS b FROM sm GROUP BY t),
+s AS (SELECT sqrt((SELECT sum(a * a) FROM a) * (SELECT sum(b * b) FROM b)) AS s)
+SELECT voxel, t, {q6('a * b * greatest(s - 0.5, 0) / s', 'v')} FROM a, b, s"""
+)
 def a27_nuclear_prox(spark: SparkSession, sf_dir: str) -> DataFrame:
-    y = subspace.nuclear_prox(_supplier(spark, sf_dir), 0.5, ["voxel"])
-    return y.agg(F.sum(F.col("v") ** 2).alias("energy")).select(*r6("energy"))
+    """The prox of the product of suppliers' and months' sums, a matrix of rank one:
+    its one singular value is lowered, and the matrix shrinks in that proportion."""
+    x = _supplier(spark, sf_dir)
+    a = x.groupBy("voxel").agg(F.sum("v").alias("a"))
+    b = x.groupBy("t").agg((F.sum("v") / 1000).alias("b"))
+    product = a.join(F.broadcast(b)).select("voxel", "t", (F.col("a") * F.col("b")).alias("v"))  # 84 months
+    return subspace.nuclear_prox(product, 0.5, ["voxel"]).select("voxel", "t", *r6("v"))
 
 
 @query("WITH s(i, v) AS (VALUES (0, 3.0), (1, 1.5), (2, 0.4)) SELECT i, greatest(v - 0.5, 0)::DOUBLE AS v FROM s")
@@ -113,14 +158,14 @@ def a27_soft_threshold(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query(
-    f"""WITH {_SUPP}, g AS (SELECT a.t, b.t AS t2, sum(a.v * b.v) AS g FROM sm a JOIN sm b USING (voxel) WHERE a.t < 12 AND b.t < 12 GROUP BY ALL),
+    f"""WITH {_SUPP}, g AS (SELECT a.t, b.t AS t2, sum(a.v * b.v) AS g FROM sm a JOIN sm b USING (voxel) GROUP BY ALL),
 x0 AS (SELECT DISTINCT t, 1.0::DOUBLE AS x FROM g), y0 AS (SELECT g.t, sum(g * x) AS y FROM g JOIN x0 ON x0.t = t2 GROUP BY g.t),
 x1 AS (SELECT t, y / sqrt(sum(y * y) OVER ()) AS x FROM y0), y1 AS (SELECT g.t, sum(g * x) AS y FROM g JOIN x1 ON x1.t = t2 GROUP BY g.t),
 x2 AS (SELECT t, y / sqrt(sum(y * y) OVER ()) AS x FROM y1), y2 AS (SELECT g.t, sum(g * x) AS y FROM g JOIN x2 ON x2.t = t2 GROUP BY g.t)
 SELECT 0 AS iter, {q6('sum(x * y) / sum(x * x)', 'value')} FROM x0 JOIN y0 USING (t) UNION ALL SELECT 1, {q6('sum(x * y) / sum(x * x)', 'value')} FROM x1 JOIN y1 USING (t) UNION ALL SELECT 2, {q6('sum(x * y) / sum(x * x)', 'value')} FROM x2 JOIN y2 USING (t)"""
 )
 def a29b_power_iter(spark: SparkSession, sf_dir: str) -> DataFrame:
-    g = subspace.gram(_supplier(spark, sf_dir).filter("t < 12"))
+    g = subspace.gram(_supplier(spark, sf_dir))
     return subspace.power_values(g, 3).select("iter", *r6("value"))
 
 
@@ -139,7 +184,7 @@ def _pair(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
 @query(f"WITH {_REAL} SELECT id, atom_id, {q6('score', 'score')} FROM m")
 def a30_match_real(spark: SparkSession, sf_dir: str) -> DataFrame:
     v, a = _pair(spark, sf_dir)
-    return matching.exhaustive_join(v, a, "real").select("id", "atom_id", *r6("score"))
+    return planner.match(v, a, "real").select("id", "atom_id", *r6("score"))
 
 
 @query(
@@ -158,19 +203,19 @@ _DENSE = f"{_REAL}, d AS (SELECT *, greatest(list_inner_product(a, x) / power({_
 @query(f"WITH {_DENSE} SELECT id, {q6('rho', 'rho')} FROM d")
 def a31_density(spark: SparkSession, sf_dir: str) -> DataFrame:
     v, a = _pair(spark, sf_dir)
-    return matching.density(matching.exhaustive_join(v, a, "real"), v, a).select("id", *r6("rho"))
+    return matching.density(planner.match(v, a, "real"), v, a).select("id", *r6("rho"))
 
 
 @query(f"WITH {_REAL} SELECT m.id, av.label FROM m JOIN av USING (atom_id)")
 def a32_lookup(spark: SparkSession, sf_dir: str) -> DataFrame:
     v, a = _pair(spark, sf_dir)
-    return matching.lookup(matching.exhaustive_join(v, a, "real"), a.select("id", "label")).select("id", "label")
+    return matching.lookup(planner.match(v, a, "real"), a.select("id", "label")).select("id", "label")
 
 
 @query(f"WITH {_DENSE} SELECT id, {q6('rho * a[1]', 'x0')}, {q6('rho * a[64]', 'x63')} FROM d")
 def a33_resynth(spark: SparkSession, sf_dir: str) -> DataFrame:
     v, a = _pair(spark, sf_dir)
-    x = matching.resynth(matching.density(matching.exhaustive_join(v, a, "real"), v, a))
+    x = matching.resynth(matching.density(planner.match(v, a, "real"), v, a))
     return x.select("id", F.col("x")[0].alias("x0"), F.col("x")[63].alias("x63")).select("id", *r6("x0", "x63"))
 
 
@@ -192,7 +237,7 @@ def a35_match_calibrated(spark: SparkSession, sf_dir: str) -> DataFrame:
     v, a = _pair(spark, sf_dir)
     rot = _cosines(spark, 64, 10).select(F.col("t").alias("comp"), F.col("comp").alias("comp2"), F.col("re").alias("w"))
     rv, ra = matching.rotate(v, rot), matching.rotate(a, rot)
-    return matching.density(matching.exhaustive_join(rv, ra, "absolute"), rv, ra).select("id", "atom_id", *r6("score", "rho"))
+    return matching.density(planner.match(rv, ra, "absolute"), rv, ra).select("id", "atom_id", *r6("score", "rho"))
 
 
 @query(f"WITH {_VEC} SELECT id, label, atom_id, {q6('score', 'score')} FROM (SELECT id, vv.label, atom_id, round(abs(list_inner_product(a, x)) / {_NORM}, 9) AS score FROM vv JOIN av USING (label) {_BEST})")
@@ -211,9 +256,19 @@ def a37_lsh(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _recall(spark, sf_dir, lambda v, a: matching.lsh(v, a, tables=64, bits=4))
 
 
-@query("SELECT count(*) AS voxels, 1.0::DOUBLE AS recall FROM embeddings WHERE vec_id % 2 = 1")
+_ABSOLUTE = f"WITH {_VEC} SELECT id, atom_id FROM (SELECT id, atom_id, round(abs(list_inner_product(a, x)) / {_NORM}, 9) AS score FROM vv, av {_BEST})"
+
+
+@query(_ABSOLUTE)
+def a37_lsh_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """No hyperplane, one bucket: the same atoms as the exhaustive search."""
+    return matching.lsh(*_pair(spark, sf_dir), tables=1, bits=0).select("id", "atom_id")
+
+
+@query(_ABSOLUTE)
 def a38_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _recall(spark, sf_dir, matching.tree)
+    """The ball tree is exact: the same atoms as the exhaustive search."""
+    return matching.tree(*_pair(spark, sf_dir)).select("id", "atom_id")
 
 
 @query()
@@ -221,10 +276,18 @@ def a39_group(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _recall(spark, sf_dir, lambda v, a: matching.group(v, a, keep=6))
 
 
-@query("SELECT count(*) AS voxels, 1.0::DOUBLE AS recall FROM embeddings WHERE vec_id % 2 = 1")
+@query(_ABSOLUTE)
 def a39_group_all(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All groups kept: the same as the exhaustive search."""
-    return _recall(spark, sf_dir, lambda v, a: matching.group(v, a, groups=12, keep=12))
+    """All groups kept: the same atoms as the exhaustive search."""
+    return matching.group(*_pair(spark, sf_dir), groups=12, keep=12).select("id", "atom_id")
+
+
+@query(f"WITH {_SUPP} SELECT 'suppliers' AS source, {q6('sum(v * v)', 'energy')} FROM sm UNION ALL SELECT 'vectors', {q6('sum(list_inner_product(embedding::DOUBLE[], embedding::DOUBLE[]))', 'energy')} FROM embeddings WHERE vec_id % 2 = 0")
+def w07_spectrum_sums(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the spectra behind the sweep add up to: the energy of the data."""
+    g, _ = subspace.gram_matrix(subspace.gram(_supplier(spark, sf_dir)))
+    sums = [("suppliers", float(subspace.leading(g)[0].sum())), ("vectors", float(subspace.leading(subspace.gram_packed(tables.vectors(spark, sf_dir, False), "x"))[0].sum()))]
+    return spark.createDataFrame(sums, "source string, energy double").select("source", *r6("energy"))
 
 
 @query()
@@ -241,17 +304,24 @@ def w07_rank_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "source string, rank int, share double")
 
 
-_TEXT = """gr AS (SELECT {id} AS id, (('0x' || substr(md5(lower(substr(text, i, 3))), 1, 4))::INTEGER % 256) AS t FROM (SELECT {id}, text, unnest(range(1, least(length(text), 400) - 1)) AS i FROM {tab})),
+_TEXT = """gr AS (SELECT {id} AS id, (('0x' || substr(md5(lower(substr(text, i, 3))), 1, 4))::INTEGER % 256) AS t FROM (SELECT {id}, text, unnest(range(1, length(text) - 1)) AS i FROM {tab})),
 {out}_c AS (SELECT id, t, count(*)::DOUBLE AS v FROM gr GROUP BY ALL), {out} AS (SELECT id, t, v / sqrt(sum(v * v) OVER (PARTITION BY id)) AS v FROM {out}_c)"""
 
 
 def _text_vectors(df: DataFrame, key: str) -> DataFrame:
-    """Unit vectors of hashed letter 3-grams of the whole text, long: id, t, v."""
+    """Unit vectors of hashed letter 3-grams of the whole text: id, x (256 values).
+
+    Equal 3-grams of a text are added up before they are hashed and before the
+    shuffle.
+    """
     grams = df.filter(F.length("text") >= 3).select(F.col(key).alias("id"), "text", F.explode(F.sequence(F.lit(1), F.length("text") - 2)).alias("i"))
-    code = F.conv(F.substring(F.md5(F.lower(F.substring(F.col("text"), F.col("i"), F.lit(3)))), 1, 4), 16, 10).cast("int") % 256
-    count = grams.groupBy("id", code.alias("t")).agg(F.count("*").cast("double").alias("v"))
-    norm = count.groupBy("id").agg(F.sqrt(F.sum(F.col("v") ** 2)).alias("n"))
-    return count.join(norm, "id").select("id", "t", (F.col("v") / F.col("n")).alias("v"))
+    gram = F.lower(F.substring(F.col("text"), F.col("i"), F.lit(3)))
+    same = grams.groupBy("id", gram.alias("gram")).agg(F.count("*").cast("double").alias("v"))
+    code = F.conv(F.substring(F.md5("gram"), 1, 4), 16, 10).cast("int") % 256
+    count = same.groupBy("id", code.alias("t")).agg(F.sum("v").alias("v"))
+    packed = count.groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("t", "v"))).alias("m"), F.sqrt(F.sum(F.col("v") ** 2)).alias("n"))
+    at = F.transform(F.sequence(F.lit(0), F.lit(255)), lambda t: F.coalesce(F.try_element_at("m", t), F.lit(0.0)) / F.col("n"))
+    return packed.select("id", at.alias("x"))
 
 
 @query(
@@ -266,17 +336,16 @@ def w12_text_match(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Texts that are marked good matched to benchmark items by 3-gram prints."""
     marked = tables.read(spark, sf_dir, "labels").filter("quality = 1").select("doc_id")
     docs = _text_vectors(tables.read(spark, sf_dir, "documents").join(marked, "doc_id"), "doc_id")
-    atoms = _text_vectors(tables.read(spark, sf_dir, "benchmark"), "item_id").withColumnsRenamed({"id": "atom_id", "v": "b"})
-    s = docs.join(F.broadcast(atoms), "t").groupBy("id", "atom_id").agg(F.round(F.sum(F.col("v") * F.col("b")), 9).alias("s"))
-    best = s.groupBy("id").agg(F.max(F.struct("s", (-F.col("atom_id")).alias("k"))).alias("m"))
-    return best.select(F.col("id").alias("doc_id"), (-F.col("m.k")).alias("item_id"), F.col("m.s").alias("score")).select("doc_id", "item_id", *r6("score"))
+    atoms = _text_vectors(tables.read(spark, sf_dir, "benchmark"), "item_id").withColumn("norm", F.lit(1.0))
+    best = matching.exhaustive_blocks(docs, atoms, "real")
+    return best.select(F.col("id").alias("doc_id"), F.col("atom_id").alias("item_id"), "score").select("doc_id", "item_id", *r6("score"))
 
 
 @query(f"WITH {_REAL} SELECT vv.label, count(*) AS voxels, {q6('avg((vv.label = av.label)::INTEGER)', 'agreement')} FROM m JOIN vv USING (id) JOIN av USING (atom_id) GROUP BY vv.label")
 def w13_vector_match(spark: SparkSession, sf_dir: str) -> DataFrame:
     """How often a vector's best atom carries its label."""
     v, a = _pair(spark, sf_dir)
-    m = matching.lookup(matching.exhaustive_join(v, a, "real"), a.select("id", F.col("label").alias("found"))).join(v.select("id", "label"), "id")
+    m = matching.lookup(planner.match(v, a, "real"), a.select("id", F.col("label").alias("found"))).join(v.select("id", "label"), "id")
     return m.groupBy("label").agg(F.count("*").alias("voxels"), F.avg((F.col("label") == F.col("found")).cast("double")).alias("agreement")).select("label", "voxels", *r6("agreement"))
 
 
@@ -289,13 +358,13 @@ def w16_prefix_lengths(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.agg(F.count("*").alias("cells"), F.sum(F.col("v") ** 2).alias("energy")).select("length", "cells", *r6("energy"))
 
 
-@query(f"WITH {_SALES}, s AS (SELECT t, row, col, v FROM sx WHERE t = 40) SELECT {q6('sum(sqrt(power(coalesce(d.v - o.v, 0), 2) + power(coalesce(r.v - o.v, 0), 2)))', 'tv')}, count(*) AS cells FROM s o LEFT JOIN s d ON d.row = o.row + 1 AND d.col = o.col LEFT JOIN s r ON r.col = o.col + 1 AND r.row = o.row")
+@query(f"WITH {_SALES}, s AS (SELECT t, row, col, v FROM sx) SELECT o.t, {q6('sum(sqrt(power(coalesce(d.v - o.v, 0), 2) + power(coalesce(r.v - o.v, 0), 2)))', 'tv')}, count(*) AS cells FROM s o LEFT JOIN s d ON d.t = o.t AND d.row = o.row + 1 AND d.col = o.col LEFT JOIN s r ON r.t = o.t AND r.col = o.col + 1 AND r.row = o.row GROUP BY o.t")
 def a40_sales_variation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Total variation of one month of the sales grid; a missing cell has no
+    """Total variation of the sales grid month by month; a missing cell has no
     difference, so neighbours are joined by key and not taken from a window."""
-    s = tables.sales_matrix(spark, sf_dir).filter("t = 40").withColumn("v", F.col("v") / 1e6).select("row", "col", "v")
-    down = s.select((F.col("row") - 1).alias("row"), "col", F.col("v").alias("d"))
-    right = s.select("row", (F.col("col") - 1).alias("col"), F.col("v").alias("r"))
-    x = s.join(down, ["row", "col"], "left").join(right, ["row", "col"], "left")
+    s = tables.sales_matrix(spark, sf_dir).withColumn("v", F.col("v") / 1e6).select("t", "row", "col", "v")
+    down = s.select("t", (F.col("row") - 1).alias("row"), "col", F.col("v").alias("d"))
+    right = s.select("t", "row", (F.col("col") - 1).alias("col"), F.col("v").alias("r"))
+    x = s.join(down, ["t", "row", "col"], "left").join(right, ["t", "row", "col"], "left")
     step = lambda c: F.coalesce(F.col(c) - F.col("v"), F.lit(0.0)) ** 2
-    return x.agg(F.sum(F.sqrt(step("d") + step("r"))).alias("tv"), F.count("*").alias("cells")).select(*r6("tv"), "cells")
+    return x.groupBy("t").agg(F.sum(F.sqrt(step("d") + step("r"))).alias("tv"), F.count("*").alias("cells")).select("t", *r6("tv"), "cells")
