@@ -1,4 +1,9 @@
-"""Five corpus stages, each written as Parquet and read again by the next."""
+"""Five corpus stages, each written as Parquet and read again by the next.
+
+Defined results: rows without a text, or with an empty one, fail the quality rules;
+of repeated rows, and of rows without an id, one of each group of copies stays; extra
+columns pass through all stages but the last; an empty table gives an empty result.
+"""
 
 from __future__ import annotations
 
@@ -8,7 +13,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from tissuemap.llm import mixing, near_copies, packing, quality_rules, substring_dedup
-from tissuemap.llm.common import scratch_dir, table
+from tissuemap.llm.common import scratch, scratch_dir, table
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -38,10 +43,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over ``documents``; each result is written and reread."""
+    """All stages over ``documents``; each result is written and reread. What a stage
+    wrote for itself is deleted after it."""
     docs = table(spark, sf_dir, "documents")
     for i, (_, stage) in enumerate(STAGES):
         path = f"{scratch_dir(spark)}/stage-{i}-{uuid.uuid4().hex}"
-        stage(spark, docs, sf_dir).write.parquet(path)
+        with scratch(spark):
+            stage(spark, docs, sf_dir).write.parquet(path)
         docs = spark.read.parquet(path)
     return docs
