@@ -58,9 +58,10 @@ def test_nodes_of_the_trees_give_all_repeats(seed):
     assert solve_locally(rows) == {k: v[1] for k, v in slow_dedup(rows).items()}
 
 
-@pytest.mark.parametrize("group", [1, 7, substring_dedup.GROUP])
-def test_bounds_of_groups_do_not_matter(spark, group, monkeypatch):
+@pytest.mark.parametrize(("group", "bits"), [(1, 1 << 20), (7, 64), (substring_dedup.GROUP, 1 << 20), (substring_dedup.GROUP, 64)])
+def test_bounds_of_groups_and_filter_do_not_matter(spark, group, bits, monkeypatch):
     monkeypatch.setattr(substring_dedup, "HOT", 1 << 40)
+    monkeypatch.setattr(substring_dedup, "FILTER_BITS", (64, bits))
     rows = [(1000 * seed + i, t) for seed in (2, 3, 5) for i, t in repetitive(seed)]
     docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(9)
     got = {r["doc_id"]: (r["n_words"], r["n_removed"], r["kept_sha256"]) for r in substring_dedup.dedup(docs, group).collect()}

@@ -2,7 +2,7 @@
 
 Each text becomes a vector of statistics, transformed towards bell shapes. Each
 class is a normal distribution whose covariance is shrunk twice: towards the
-pooled covariance, then towards a multiple of the identity. The score is the
+pooled covariance, then towards its own diagonal. The score is the
 logistic of the difference of the log densities (Mahalanobis distances through
 cached Cholesky factors, plus log determinants) and log priors.
 

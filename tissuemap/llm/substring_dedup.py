@@ -59,8 +59,8 @@ CHUNK = 600_000
 GROUP, HOT = 4096, 2_000_000
 #: Rows of whole groups that are solved together.
 BATCH = 20_000
-#: Bits of the filter of prefixes that occur twice: sixteen for each of them, up to
-#: the second figure (32 MB). A filter that holds more only lets more pass.
+#: Bits of the filter of prefixes that occur twice: sixteen for each of them. Where
+#: that exceeds the second figure (32 MB), suffixes are joined to the prefixes.
 FILTER_BITS = (1 << 20, 1 << 28)
 BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
 LAST = (1 << 63) - 1
@@ -106,8 +106,11 @@ class _Chunk:
     def __init__(self) -> None:
         self.words: list[bytes] = []
         self.docs: list[tuple[int, int, int]] = []
+        self.starts: list[np.ndarray] = []  # of the runs that may repeat, if known
 
-    def add(self, doc: int, mark: int, words: list[bytes]) -> None:
+    def add(self, doc: int, mark: int, words: list[bytes], starts: list[int] | None) -> None:
+        if starts is not None:
+            self.starts.append(np.array(starts, np.int64) | len(self.docs) << 32)
         self.docs.append((doc, mark, len(words)))
         self.words += words
 
@@ -120,18 +123,19 @@ class _Chunk:
         prefix, anchor = _least_of(_rolling(h, GRAM), LEAD + 1)
         who = np.repeat(np.arange(len(n)), n)[good]
         doc, mark = (np.array([d[i] for d in self.docs], np.int64)[who] for i in (0, 1))
-        return _Windows(h, good, doc, mark, at[good].astype(np.int32), prefix[good], anchor[good], _rolling(h, WINDOW)[good])
+        return _Windows(h, good, doc, mark, at[good].astype(np.int32), prefix[good], anchor[good], _rolling(h, WINDOW)[good], who)
 
 
 class _Windows:
     """Parallel arrays over the windows of a chunk, in reading order: place in the
     chunk, document, start in it, hash of the prefix at the anchor, the anchor's
-    place, digest of the window; and the hashes of all words."""
+    place, digest of the window, number of the document in the chunk; and the hashes
+    of all words."""
 
-    def __init__(self, h, place, doc, mark, start, prefix, anchor, digest) -> None:
+    def __init__(self, h, place, doc, mark, start, prefix, anchor, digest, who) -> None:
         self.h = h
-        self.columns = (place, doc, mark, start, prefix, anchor, digest)
-        self.place, self.doc, self.mark, self.start, self.prefix, self.anchor, self.digest = self.columns
+        self.columns = (place, doc, mark, start, prefix, anchor, digest, who)
+        self.place, self.doc, self.mark, self.start, self.prefix, self.anchor, self.digest, self.who = self.columns
 
     def take(self, which: np.ndarray) -> _Windows:
         return _Windows(self.h, *(c[which] for c in self.columns))
@@ -164,10 +168,11 @@ def _chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[_Chunk]:
     chunk = _Chunk()
     for b in batches:
         docs, marks = b.column("doc").to_numpy(), b.column("mark").to_numpy()
-        for doc, mark, text in zip(docs.tolist(), marks.tolist(), text_bytes(b.column("text")), strict=True):
+        starts = b.column("starts").to_pylist() if "starts" in b.schema.names else [None] * b.num_rows
+        for doc, mark, text, some in zip(docs.tolist(), marks.tolist(), text_bytes(b.column("text")), starts, strict=True):
             words = text.split()
             if len(words) >= WINDOW:
-                chunk.add(doc, mark, words)
+                chunk.add(doc, mark, words, some)
                 if len(chunk.words) >= CHUNK:
                     yield chunk
                     chunk = _Chunk()
@@ -185,6 +190,14 @@ def _prefixes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.record_batch([pa.array(p[at].view(np.int64)), pa.array(np.diff(np.append(at, len(p))).astype(np.int32))], ["prefix", "n"])
 
 
+def _run_starts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Prefix and place of every anchored suffix."""
+    for chunk in _chunks(batches):
+        w = chunk.windows()
+        at = w.runs()
+        yield pa.record_batch([pa.array(w.prefix[at].view(np.int64)), pa.array(w.doc[at]), pa.array(w.mark[at]), pa.array(w.start[at])], ["prefix", "doc", "mark", "start"])
+
+
 def _slots(prefix: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray]:
     m = np.uint64(bits - 1)
     return (prefix & m).astype(np.int64), ((prefix >> np.uint64(32)) & m).astype(np.int64)
@@ -206,15 +219,24 @@ NODE = "words binary, doc long, mark long, start int, n int"
 
 def _suffixes(bits, hot):
     """Anchored suffixes for the groups, and spans that are settled: these have no
-    words and a prefix made of the document, which deals them out."""
+    words and a prefix made of the document, which deals them out. Without ``bits``
+    the documents bring the starts of the runs whose prefix occurs twice."""
+
+    def may_repeat(chunk: _Chunk, w: _Windows) -> np.ndarray:
+        if bits is None:
+            at = w.runs()
+            known = np.isin(w.start[at] | w.who[at] << 32, np.concatenate(chunk.starts))
+            return np.repeat(known, np.diff(np.append(at, len(w.place))))
+        held = np.frombuffer(bits.value, np.uint8)
+        a, b = _slots(w.prefix, len(held) * 8)
+        return (held[a >> 3] >> (a & 7) & held[b >> 3] >> (b & 7) & 1).astype(bool)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, often = np.frombuffer(bits.value, np.uint8), np.frombuffer(hot.value, np.uint64)
+        often = np.frombuffer(hot.value, np.uint64)
         names = [c.split()[0] for c in SUFFIX.split(", ")]
         for chunk in _chunks(batches):
             w = chunk.windows()
-            a, b = _slots(w.prefix, len(held) * 8)
-            live = (held[a >> 3] >> (a & 7) & held[b >> 3] >> (b & 7) & 1).astype(bool)
+            live = may_repeat(chunk, w)
             live[live] = ~np.isin(w.prefix[live], often)
             if not live.any():
                 continue
@@ -337,6 +359,14 @@ def _filter_of(shared: DataFrame, bits: int) -> bytes:
     return out.tobytes()
 
 
+def _with_starts(body: DataFrame, shared: DataFrame) -> DataFrame:
+    """The documents that have prefixes of ``shared``, and where: two shuffles of
+    numbers and one of these documents, whatever the number of prefixes."""
+    runs = body.mapInArrow(_run_starts, "prefix long, doc long, mark long, start int")
+    kept = runs.join(shared.select("prefix"), "prefix", "left_semi")
+    return body.join(kept.groupBy("doc", "mark").agg(F.collect_set("start").alias("starts")), ["doc", "mark"])
+
+
 def _lengthened(body: DataFrame, hot) -> DataFrame:
     """Spans below prefixes that are lengthened: a group is one node, all its
     suffixes but the earliest are repeats."""
@@ -358,9 +388,12 @@ def repeats(docs: DataFrame, group: int = GROUP) -> DataFrame:
     # at most HOT prefixes exceed the bound
     often = shared.filter(F.col("n") > max(group, rows // HOT)).select("prefix").toArrow().column("prefix").to_numpy()
     hot = context.broadcast(np.sort(often.view(np.uint64)).tobytes())
-    bits = min(max(FILTER_BITS[0], 1 << (16 * count).bit_length()), FILTER_BITS[1])
-    held = context.broadcast(_filter_of(shared, bits))
-    suffixes = body.mapInArrow(_suffixes(held, hot), SUFFIX).repartition("prefix").sortWithinPartitions("prefix")
+    bits = max(FILTER_BITS[0], 1 << (16 * count).bit_length())
+    if bits <= FILTER_BITS[1]:
+        given, held = body, context.broadcast(_filter_of(shared, bits))
+    else:
+        given, held = _with_starts(body, shared), None
+    suffixes = given.mapInArrow(_suffixes(held, hot), SUFFIX).repartition("prefix").sortWithinPartitions("prefix")
     spans = suffixes.mapInArrow(_solve, "doc long, mark long, start int, n int")
     if len(often):
         spans = spans.unionByName(_lengthened(body, hot))

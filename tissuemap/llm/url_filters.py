@@ -7,7 +7,9 @@ each rule host is an interval of keys; each path prefix is an interval of paths.
 Such intervals nest or are disjoint. Their ends, sorted together with the URLs,
 are swept once: each end carries the stack of intervals that are open after it,
 and a URL takes the stack of the last end before it. One sweep finds the rule
-hosts above each URL's host, a second the path rules under those hosts.
+hosts above each URL's host, a second the path rules under those hosts. A rule's
+own stack is the rules that equal one of its prefixes, found by an equal-key join
+of rules with rules, as no task sees all rules in order.
 
 The sweep is distributed: ends and URLs are dealt to blocks by key range, with
 the row id as the last part of the key so that a host with any share of the rows
@@ -54,7 +56,9 @@ def reversed_host(host: Column) -> Column:
 
 def rule_table(spark: SparkSession, rules=RULES) -> DataFrame:
     """Rules as rows, one for each host and path."""
-    df = spark.createDataFrame(list(rules), "host string, path string, verdict string")
+    empty = F.array().cast("array<struct<host:string,path:string,verdict:string>>")
+    rows = [F.struct(F.lit(h).alias("host"), F.lit(p).alias("path"), F.lit(v).alias("verdict")) for h, p, v in rules]
+    df = spark.range(1).select(F.inline(F.array(*rows) if rows else empty))
     # "block" sorts after "allow", so the maximum lets blocking win among equals
     return df.groupBy("host", "path").agg(F.max("verdict").alias("verdict"))
 
