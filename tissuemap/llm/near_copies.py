@@ -9,15 +9,16 @@ agree with them best. Bits with narrow votes, the ones that differ between near
 copies, weigh little there. Of three segments two must share a codeword, by which
 two texts at 4/5 meet with a probability of 0.993, at 9/10 of 0.9997 (measured on
 votes of that correlation). Candidates whose other 64 bits differ in more than
-``FAR`` places are left out (a pair at 4/5 is, once in 5000), and every other one is
-decided by the sets themselves, so no link is false.
+``FAR`` places are left out (a pair at 4/5 is, three times in 1000), and every other
+one is decided by the sets themselves, so no link is false.
 
-Scale: equal sets are one class first. A bucket of up to ``SMALL`` classes gives all
-its candidates, decided by a join. Of a larger one each member is first compared
-with the least member, which joins most of a group of copies; only where a bucket
-then still holds candidates from different components do these take their sets
-along, and a spanning forest of their links is found by searching outwards from one
-member at a time. Nothing is capped.
+Scale: equal sets are one class first. Candidates of one bucket are not all compared:
+each class first meets the ``CENTRES`` nearest of the centres (least members) of its
+buckets, which joins most of a group of copies. Candidates that this leaves in
+different components of one bucket are compared by a join of pairs, or, where they are
+more than two a member, in one task: there the sets come along, and a spanning forest
+of their links is found by searching outwards from one member at a time. No candidate
+is left out.
 
 Defined results: texts without words have the empty set and are one class; texts
 of fewer than five words have one shingle; ASCII letters count without case; see
@@ -46,8 +47,10 @@ LEAST = (4, 5)
 #: Bits of a segment, number of segments, codewords that each gives.
 WIDTH, SEGMENTS, NEAREST = 23, 3, 6
 #: Most differing bits, of the 64 beside the segments, of a candidate.
-FAR = 20
-#: Buckets with more classes than this are searched from their least member.
+FAR = 18
+#: Centres that a class is compared with at first, the nearest ones.
+CENTRES = 6
+#: Buckets with more classes than this are searched in a task that holds their sets.
 SMALL = 64
 
 
@@ -159,56 +162,60 @@ def _near(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 
 def _candidates(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """u, v: candidates, u < v. From large buckets those of the least member, and
-    key, u, bits of all members (v null)."""
+    """key, fp, bits, centre, far of the members of each bucket that have a candidate
+    in it; ``centre`` is the bucket's least member where that is a candidate, else null,
+    and ``far`` how many bits differ. Of buckets above SMALL all members count."""
     for t in _whole_buckets(batches):
         key, fp, bits = (t.column(c).to_numpy() for c in ("key", "fp", "bits"))
         starts = run_starts(key)
         length = np.diff(np.append(starts, len(key)))
         bucket = np.repeat(np.arange(len(starts)), length)
-        least = np.minimum.reduceat(fp, starts)
-        us, vs = [], []
-        few = np.flatnonzero((length > 1)[bucket] & (length <= SMALL)[bucket])
+        meets = (length > SMALL)[bucket]
+        few = np.flatnonzero((length > 1)[bucket] & ~meets)
         for lo in range(0, len(few), 1 << 16):
             mine = few[lo : lo + (1 << 16)]
             span = length[bucket[mine]]
             other = np.repeat(starts[bucket[mine]] - (np.cumsum(span) - span), span) + np.arange(span.sum())
             at = np.repeat(mine, span)
-            good = (fp[at] < fp[other]) & _near(bits[at], bits[other])
-            us.append(fp[at][good])
-            vs.append(fp[other][good])
-        many = np.flatnonzero((length > SMALL)[bucket])
-        if len(many):
-            centre = np.flatnonzero(fp == least[bucket])
-            of = np.zeros(len(starts), np.int64)
-            of[bucket[centre]] = bits[centre]
-            good = many[(fp[many] > least[bucket[many]]) & _near(bits[many], of[bucket[many]])]
-            us.append(least[bucket[good]])
-            vs.append(fp[good])
-        pairs = np.unique(np.column_stack([np.concatenate(us), np.concatenate(vs)]), axis=0) if us else np.zeros((0, 2), np.int64)
-        n, k = len(pairs), len(many)
-        columns = [
-            pa.concat_arrays([pa.nulls(n, pa.int32()), pa.array(key[many], pa.int32())]),
-            pa.array(np.concatenate([pairs[:, 0], fp[many]])),
-            pa.concat_arrays([pa.array(pairs[:, 1]), pa.nulls(k, pa.int64())]),
-            pa.concat_arrays([pa.nulls(n, pa.int64()), pa.array(bits[many])]),
-        ]
-        yield pa.record_batch(columns, ["key", "u", "v", "bits"])
+            meets[at[(at != other) & _near(bits[at], bits[other])]] = True
+        own = np.flatnonzero(meets)
+        first = np.flatnonzero(fp == np.minimum.reduceat(fp, starts)[bucket])
+        least = np.zeros(len(starts), np.int64)
+        least[bucket[first]] = first
+        to = least[bucket[own]]
+        centre = pa.array(fp[to], mask=(fp[to] == fp[own]) | ~_near(bits[own], bits[to]))
+        far = np.bitwise_count((bits[own] ^ bits[to]).view(np.uint64)).astype(np.int32)
+        yield pa.record_batch([pa.array(key[own]), pa.array(fp[own]), pa.array(bits[own]), centre, pa.array(far)], ["key", "fp", "bits", "centre", "far"])
 
 
 def _mixed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """key, fp of the members of a bucket that have a candidate in another component."""
-    for t in _buckets(batches):
-        root = np.unique(t.column("root").to_numpy(), return_inverse=True)[1]
-        if root.max(initial=0) == 0:
-            continue
-        bits, open_ = t.column("bits").to_numpy(), np.zeros(len(root), bool)
-        for i in np.flatnonzero(root != np.bincount(root).argmax()):
-            hit = _near(bits, bits[i]) & (root != root[i])
-            open_ |= hit
-            open_[i] |= hit.any()
-        if open_.any():
-            yield pa.record_batch([t.column(c).combine_chunks().filter(pa.array(open_)) for c in ("key", "fp")], ["key", "fp"])
+    """key, u, v: candidates from different components (key null); of buckets that
+    have more than two a member, the members that have any (v null)."""
+    for t in _whole_buckets(batches):
+        key, fp, bits, root = (t.column(c).to_numpy() for c in ("key", "fp", "bits", "root"))
+        starts = run_starts(key)
+        length = np.diff(np.append(starts, len(key)))
+        us, vs, members = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        for k in np.flatnonzero(np.minimum.reduceat(root, starts) != np.maximum.reduceat(root, starts)).tolist():
+            at = slice(starts[k], starts[k] + length[k])
+            f, x, r = fp[at], bits[at], np.unique(root[at], return_inverse=True)[1]
+            if len(f) <= SMALL:
+                a, b = np.triu_indices(len(f), 1)
+                good = (r[a] != r[b]) & _near(x[a], x[b])
+                if good.sum() <= 2 * len(f):
+                    us.append(np.minimum(f[a], f[b])[good])
+                    vs.append(np.maximum(f[a], f[b])[good])
+                    continue
+            open_ = np.zeros(len(f), bool)
+            for i in np.flatnonzero(r != np.bincount(r).argmax()):
+                hit = _near(x, x[i]) & (r != r[i])
+                open_ |= hit
+                open_[i] |= hit.any()
+            members.append(starts[k] + np.flatnonzero(open_))
+        pairs = np.unique(np.column_stack([np.concatenate(us), np.concatenate(vs)]), axis=0)
+        yield pa.record_batch([pa.nulls(len(pairs), pa.int32()), pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["key", "u", "v"])
+        own = np.concatenate(members)
+        yield pa.record_batch([pa.array(key[own], pa.int32()), pa.array(fp[own]), pa.nulls(len(own), pa.int64())], ["key", "u", "v"])
 
 
 def _forest(fp: np.ndarray, flat: np.ndarray, size: np.ndarray) -> list[tuple[int, int]]:
@@ -243,30 +250,36 @@ def _forests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.record_batch([pa.array([a for a, _ in links], pa.int64()), pa.array([b for _, b in links], pa.int64())], ["u", "v"])
 
 
+def _similar(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """The pairs (u, v) whose sets are similar."""
+    a = sets.select(F.col("fp").alias("u"), F.col("shingles").alias("a"))
+    b = sets.select(F.col("fp").alias("v"), F.col("shingles").alias("b"))
+    both = F.size(F.array_intersect("a", "b"))
+    return pairs.join(a, "u").join(b, "v").filter(LEAST[1] * both >= LEAST[0] * (F.size("a") + F.size("b") - both)).select("u", "v")
+
+
 def roots(prints: DataFrame, docs: DataFrame) -> DataFrame:
-    """node, root: components of the classes whose sets are similar."""
+    """node, root: components of the classes whose sets are similar.
+
+    First each class is compared with a few of those it meets; then, bucket by bucket, the candidates that this left in different components.
+    """
     spread = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     classes = materialise(prints.groupBy("fp").agg(F.first("bits").alias("bits"), F.first("codes").alias("codes")), "classes")
     keys = classes.repartition(spread).mapInArrow(_keys, "key int, fp long, bits long")
-    found = keys.repartition("key").sortWithinPartitions("key").mapInArrow(_candidates, "key int, u long, v long, bits long")
-    found = materialise(found, "candidates")
-    pairs = materialise(found.filter("v is not null").select("u", "v").distinct(), "pairs")
-    large = found.filter("v is null").select("key", F.col("u").alias("fp"), "bits")
-    need = pairs.select(F.explode(F.array("u", "v")).alias("fp")).unionByName(large.select("fp")).distinct()
+    met = materialise(keys.repartition("key").sortWithinPartitions("key").mapInArrow(_candidates, "key int, fp long, bits long, centre long, far int"), "candidates")
+    need = met.select("fp").distinct()
     texts = pick(docs.select("doc_id", "text"), first_of(prints.join(need, "fp", "left_semi"), "fp"))
     sets = materialise(texts.mapInArrow(_sets, "fp long, shingles array<long>"), "sets")
-    a = sets.select(F.col("fp").alias("u"), F.col("shingles").alias("a"))
-    b = sets.select(F.col("fp").alias("v"), F.col("shingles").alias("b"))
-    both = F.size(F.array_intersect("a", "b"))
-    near = pairs.join(a, "u").join(b, "v").filter(LEAST[1] * both >= LEAST[0] * (F.size("a") + F.size("b") - both)).select("u", "v")
-    near = materialise(near, "links")
-    found = components(near)
-    if large.isEmpty():
-        return found
-    rooted = large.join(found, F.col("fp") == F.col("node"), "left").select("key", "fp", "bits", F.coalesce("root", "fp").alias("root"))
-    mixed = rooted.repartition("key").sortWithinPartitions("key").mapInArrow(_mixed, "key int, fp long")
-    dense = mixed.join(sets, "fp").select("key", "fp", "shingles").repartition("key").sortWithinPartitions("key")
-    more = materialise(dense.mapInArrow(_forests, "u long, v long").distinct(), "more")
+    # a class has a centre per key at most
+    centres = F.array_sort(F.collect_set(F.struct("far", "centre")))
+    chosen = met.filter("centre is not null").groupBy(F.col("fp").alias("v")).agg(F.slice(centres, 1, CENTRES).alias("c")).select("v", F.explode("c").alias("c"))
+    found = components(materialise(_similar(chosen.select("v", F.col("c.centre").alias("u")), sets), "links"))
+    rooted = met.join(found, F.col("fp") == F.col("node"), "left").select("key", "fp", "bits", F.coalesce("root", "fp").alias("root"))
+    mixed = materialise(rooted.repartition("key").sortWithinPartitions("key").mapInArrow(_mixed, "key int, u long, v long"), "mixed")
+    rest = _similar(mixed.filter("v is not null").select("u", "v").distinct(), sets)
+    dense = mixed.filter("v is null").select("key", F.col("u").alias("fp")).join(sets, "fp").select("key", "fp", "shingles")
+    dense = dense.repartition("key").sortWithinPartitions("key").mapInArrow(_forests, "u long, v long")
+    more = materialise(rest.unionByName(dense).distinct(), "more")
     if more.isEmpty():
         return found
     return components(more.unionByName(found.select(F.col("node").alias("u"), F.col("root").alias("v"))))
