@@ -52,7 +52,7 @@ def a02_schedule(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sequence.pulse_schedule(spark, 300).select("t", *r6("tr_ms", "fa_deg"))
 
 
-_GRID_SMALL = f"{fx.sql_grid()}, few AS (SELECT * FROM grid WHERE atom_id % 25 = 0), {fx.sql_schedule()}"
+_GRID_SMALL = f"{fx.sql_grid()}, few AS (SELECT * FROM grid), {fx.sql_schedule()}"
 
 
 @query(f"WITH RECURSIVE {_GRID_SMALL}, {fx.sql_signal('few', 'atom_id', 'sig')} SELECT atom_id, t, {q6('v', 'v')} FROM sig")
@@ -78,7 +78,7 @@ def a05_dict_norms(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dictionary.build(dictionary.param_grid(spark), sequence.pulse_schedule(spark, fx.L)).select("atom_id", *r6("norm"))
 
 
-_PART = "pp AS (SELECT p_partkey AS atom_id, p_retailprice AS t1, p_size::DOUBLE AS t2 FROM part WHERE p_retailprice >= p_size AND p_partkey % 20 = 0)"
+_PART = "pp AS (SELECT p_partkey AS atom_id, p_retailprice AS t1, p_size::DOUBLE AS t2 FROM part WHERE p_retailprice >= p_size)"
 
 
 @query(f"WITH RECURSIVE {_PART}, {fx.sql_schedule()}, {fx.sql_signal('pp', 'atom_id', 'sig')} SELECT atom_id, {q6('sqrt(sum(v * v))', 'norm')} FROM sig GROUP BY atom_id")
