@@ -23,8 +23,10 @@ def roi(maps: DataFrame, rois: DataFrame, keys: list[str]) -> DataFrame:
 
 
 def vs_reference(maps: DataFrame, reference: DataFrame, keys: list[str]) -> DataFrame:
-    """Mean relative difference to a long scan's maps, which are not the truth."""
-    r = reference.select("row", "col", F.col("t1").alias("ref1"), F.col("t2").alias("ref2"))
+    """Mean relative difference to a long scan's maps, which are not the truth; keys
+    that the maps lack are the reference's."""
+    own = [k for k in keys if k not in maps.columns]
+    r = reference.select("row", "col", *own, F.col("t1").alias("ref1"), F.col("t2").alias("ref2"))
     return maps.join(r, ["row", "col"]).groupBy(*keys).agg(
         F.avg(F.abs(F.col("t1") - F.col("ref1")) / F.col("ref1")).alias("diff_t1"), F.avg(F.abs(F.col("t2") - F.col("ref2")) / F.col("ref2")).alias("diff_t2")
     )
