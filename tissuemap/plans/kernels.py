@@ -238,19 +238,20 @@ def reconstruct(b: np.ndarray, yy: float, enc: Encoder, d: Dictionary, cfg: Engi
     sequential: gradient, match (every iteration, at the ends, or never), then
     the spatial prox. parallel: match and prox act side by side on reflected
     points, and their results are averaged. A rejected attempt halves the step
-    and starts the iteration again from the same state; after ``max_try`` of them
-    the method stops, which the history records.
+    and starts the iteration again from the same state. Where none of ``max_try``
+    steps passes, a step of at most one is forced, and from then on such steps are
+    taken unchecked; the history tells these outcomes apart.
     """
     match = match or (lambda z: project(z, d, cfg.score))
     u = np.zeros_like(b)
     zb, zs = np.zeros_like(b), np.zeros_like(b)
     nu = np.zeros_like(b)
-    step, history, best = 1.0, [], None
+    step, history, best, safe = 1.0, [], None, cfg.safe_step
     if cfg.step == "ratio":
         step = enc.n**2 / max(1.0, len(enc.mask.cell) / (enc.mask.t.max() + 1))
     for k in range(cfg.k_max):
         matched = cfg.match == "every" or cfg.match == "ends" and k in (0, cfg.k_max - 1)
-        for attempt in range(cfg.max_try):
+        for attempt in range(cfg.max_try + 1):
             grad = nu - b
             if k == 0 and attempt == 0 and cfg.step != "ratio":
                 # projections on a cone commute with the step, so it is chosen after
@@ -259,6 +260,11 @@ def reconstruct(b: np.ndarray, yy: float, enc: Encoder, d: Dictionary, cfg: Engi
                 top = float(np.vdot(x, nx).real)
                 step = float(np.vdot(b, x).real) / top if top > 0 else 1.0
                 step = step if step > 0 else 1.0
+            if attempt == 0:
+                first = step
+            elif attempt == cfg.max_try:
+                step = min(first, 1.0)
+                safe = max(safe, step)
             g = u - step * grad
             if cfg.algorithm == "parallel":
                 ob, os_ = u - zb, u - zs
@@ -277,14 +283,13 @@ def reconstruct(b: np.ndarray, yy: float, enc: Encoder, d: Dictionary, cfg: Engi
             before, after = float(np.linalg.norm(b - nu) ** 2), float(np.linalg.norm(b - nn) ** 2)
             bound = cfg.slack * moved / curved if curved > 0 else np.inf
             ok_b = after <= before if cfg.residual_rule == "decrease" else after >= before
-            accepted = cfg.step == "fixed" or step <= cfg.safe_step or (step <= bound and ok_b)
-            history.append({"iter": k, "attempt": attempt, "step": step, "fidelity": fidelity(new, b, yy, nn), "residual": after, "accepted": bool(accepted), "outcome": "accepted" if accepted else "rejected"})
+            passed = cfg.step == "fixed" or step <= bound and ok_b
+            accepted = passed or step <= safe
+            outcome = "forced" if attempt == cfg.max_try else "accepted" if passed else "unchecked" if accepted else "rejected"
+            history.append({"iter": k, "attempt": attempt, "step": step, "fidelity": fidelity(new, b, yy, nn), "residual": after, "accepted": bool(accepted), "outcome": outcome})
             if accepted:
                 break
             step *= cfg.shrink
-        else:
-            history[-1]["outcome"] = "stopped"
-            break
         u, nu = new, nn
         if cfg.algorithm == "parallel":
             zb, zs = zb2, zs2

@@ -113,10 +113,14 @@ def solve(p: Problem, power: float, cfg: EngineConfig):
     x = cut(x)
     s = _scalars(u, x, u, cut(p.normal(x)), p.b)
     step = s["bn"] / s["nq"] if s["nq"] > 0 and s["bn"] > 0 else 1.0
-    history, best = [], None
+    history, best, safe = [], None, cfg.safe_step
     for k in range(cfg.k_max):
         every = cfg.match == "every" or cfg.match == "ends" and k in (0, cfg.k_max - 1)
-        for attempt in range(cfg.max_try):
+        first = step
+        for attempt in range(cfg.max_try + 1):
+            if attempt == cfg.max_try:
+                step = min(first, 1.0)
+                safe = max(safe, step)
             if cfg.algorithm == "parallel":
                 state = tuple(cut(d) for d in parallel_step((u, zb, zs), p, step, cfg))
                 new = state[0]
@@ -124,14 +128,13 @@ def solve(p: Problem, power: float, cfg: EngineConfig):
                 new = cut(sequential_step(u, p, step, cfg, every, k == 0))
             nn = cut(p.normal(new))
             s = _scalars(u, new, nu, nn, p.b)
-            ok = cfg.step == "fixed" or step <= cfg.safe_step or (step <= cfg.slack * s["moved"] / max(s["curved"], 1e-300) and (s["after"] <= s["before"]) == (cfg.residual_rule == "decrease"))
-            history.append((k, attempt, step, power - 2 * s["bn"] + s["nq"], s["after"], ok, "accepted" if ok else "rejected"))
+            passed = cfg.step == "fixed" or (step <= cfg.slack * s["moved"] / max(s["curved"], 1e-300) and (s["after"] <= s["before"]) == (cfg.residual_rule == "decrease"))
+            ok = passed or step <= safe
+            outcome = "forced" if attempt == cfg.max_try else "accepted" if passed else "unchecked" if ok else "rejected"
+            history.append((k, attempt, step, power - 2 * s["bn"] + s["nq"], s["after"], ok, outcome))
             if ok:
                 break
             step *= cfg.shrink
-        else:
-            history[-1] = (*history[-1][:-1], "stopped")
-            break
         u, nu = new, nn
         if cfg.algorithm == "parallel":
             zb, zs = state[1], state[2]
