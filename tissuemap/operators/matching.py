@@ -184,13 +184,72 @@ def rotate(atoms: DataFrame, rotation: DataFrame) -> DataFrame:
     return out.withColumn("x", F.transform("rot", lambda col: v_dot(F.col("x"), col))).drop("rot")
 
 
-def by_bin(voxels: DataFrame, atoms: DataFrame, bin_col: str, score: str = "absolute") -> DataFrame:
-    """Matching within equal values of ``bin_col``: an equi-join on the bin."""
-    a = atoms.select(F.col(bin_col), F.col("id").alias("atom_id"), F.col("x").alias("a"), "norm")
-    pairs = voxels.select("id", bin_col, "x").join(a, bin_col)
-    s = F.round(_pair_score(F.col("x"), F.col("a"), F.col("norm"), score), DIGITS)
-    best = pairs.groupBy("id", bin_col).agg(F.max(F.struct(s.alias("s"), (-F.col("atom_id")).alias("k"))).alias("b"))
-    return best.select("id", bin_col, (-F.col("b.k")).alias("atom_id"), F.col("b.s").alias("score"))
+def _pair_dot(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Products of rows, added up in order as ``v_dot`` does, so that equal rows give
+    equal sums wherever they stand."""
+    out = np.zeros(len(a))
+    for k in range(a.shape[1]):
+        out += a[:, k] * b[:, k]
+    return out
+
+
+def _decide(v: np.ndarray, k: np.ndarray, x: np.ndarray, d: np.ndarray, norms: np.ndarray, score: str) -> tuple[np.ndarray, np.ndarray]:
+    """Of candidate pairs (row ``v`` of x, row ``k`` of d) the one of the best rounded
+    score for each of the voxels, ties to the first atom; every voxel needs a pair."""
+    best, at = np.full(len(x), -np.inf), np.full(len(x), len(d), np.int64)
+    scores = np.empty(len(v))
+    for lo in range(0, len(v), 1 << 16):
+        part = slice(lo, lo + (1 << 16))
+        c = _pair_dot(d[k[part]], x[v[part]]) / norms[k[part]]
+        scores[part] = np.round(c if score == "real" else np.abs(c), DIGITS)
+    np.maximum.at(best, v, scores)
+    won = scores == best[v]
+    np.minimum.at(at, v[won], k[won])
+    return at, best
+
+
+def _best_in_order(x: np.ndarray, d: np.ndarray, norms: np.ndarray, score: str) -> tuple[np.ndarray, np.ndarray]:
+    """As :func:`best_atoms` for real rows, with scores compared as rounded: products
+    find what can win, and pairs within the rounding of the best are scored anew."""
+    unit = (d / norms[:, None]).T
+    at, best = np.zeros(len(x), np.int64), np.zeros(len(x))
+    step = max(1, VOXELS * ATOMS // len(d))
+    for lo in range(0, len(x), step):
+        part = x[lo : lo + step]
+        c = part @ unit
+        if score != "real":
+            np.abs(c, out=c)
+        v, k = np.nonzero(c >= c.max(axis=1, keepdims=True) - 2 * 10.0**-DIGITS)
+        at[lo : lo + step], best[lo : lo + step] = _decide(v, k, part, d, norms, score)
+    return at, best
+
+
+def by_bin(voxels: DataFrame, atoms: DataFrame, bin_col: str, score: str = "absolute", limit: int = ATOM_BYTES) -> DataFrame:
+    """Matching within equal values of ``bin_col``, by a matrix product for each bin
+    of a batch; null bins match nothing.
+
+    No pair of a voxel and an atom becomes a row. Atoms come in parts of ``limit``
+    bytes; voxels are dealt by id, as a file may come in fewer parts than cores.
+    """
+    parts = [_bin_products(voxels, a, bin_col, score) for a in _blocks(atoms, limit)]
+    best = reduce(DataFrame.unionByName, parts).groupBy("id", bin_col).agg(F.max(F.struct("score", (-F.col("atom_id")).alias("k"))).alias("b"))
+    return best.select("id", bin_col, (-F.col("b.k")).alias("atom_id"), "b.score")
+
+
+def _bin_products(voxels: DataFrame, atoms: DataFrame, bin_col: str, score: str) -> DataFrame:
+    table = atoms.filter(F.col(bin_col).isNotNull()).select("id", bin_col, "x", "norm").orderBy("id").toPandas()
+    bins = {k: (t["id"].to_numpy(), np.array(t["x"].tolist(), float), t["norm"].to_numpy()) for k, t in table.groupby(bin_col)}
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            for key, mine in b.groupby(bin_col):
+                if key in bins:
+                    ids, d, norms = bins[key]
+                    at, s = _best_in_order(np.array(mine["x"].tolist(), float), d, norms, score)
+                    yield pd.DataFrame({"id": mine["id"], bin_col: mine[bin_col], "atom_id": ids[at], "score": s})
+
+    kind = voxels.schema[bin_col].dataType.simpleString()
+    return voxels.filter(F.col(bin_col).isNotNull()).select("id", bin_col, "x").repartition("id").mapInPandas(run, f"id long, {bin_col} {kind}, atom_id long, score double")
 
 
 def _aligned(x: np.ndarray) -> np.ndarray:
