@@ -31,3 +31,11 @@ def test_bins_make_no_pairs_and_copies_go_to_the_first(spark, limit):
     rows = a.collect()
     want = {r["id"]: first_of_best(r["x"], [(s["id"], s["x"]) for s in rows if s["label"] == r["label"]]) for r in v.filter(F.col("label").isNotNull()).collect()}
     assert {r["id"]: r["atom_id"] for r in out.collect()} == want
+
+
+def test_tree_gives_copies_to_the_first(spark):
+    v, a = copies(spark)
+    rows = [(r["id"], r["x"]) for r in a.collect()]
+    want = {r["id"]: first_of_best(r["x"], rows) for r in v.collect()}
+    for leaf in (4, 256):
+        assert {r["id"]: r["atom_id"] for r in matching.tree(v, a, leaf=leaf).collect()} == want

@@ -296,39 +296,79 @@ def lsh(voxels: DataFrame, atoms: DataFrame, tables: int = 8, bits: int = 5, see
     return _approximate(voxels, search)
 
 
-def tree(voxels: DataFrame, atoms: DataFrame, leaf: int = 16) -> DataFrame:
-    """id, atom_id by an exact ball tree over unit atoms and their negatives."""
-    ids, raw = _atom_arrays(atoms)
-    unit = raw / np.linalg.norm(raw, axis=1, keepdims=True)
+def tree(voxels: DataFrame, atoms: DataFrame, leaf: int = 256) -> DataFrame:
+    """id, atom_id by an exact ball tree over unit atoms and their negatives; scores
+    are compared as rounded, ties go to the first atom.
+
+    Voxels descend together: each first to the leaf that is nearest by centres, then
+    all through the tree, where a ball keeps those that it may hold a better point
+    for. A leaf is one matrix product.
+    """
+    table = atoms.select("id", "x", "norm").orderBy("id").toPandas()
+    ids, norms = table["id"].to_numpy(), table["norm"].to_numpy()
+    raw = np.array(table["x"].tolist(), float)
+    unit = raw / norms[:, None]
     points, owner = np.concatenate([unit, -unit]), np.concatenate([np.arange(len(unit))] * 2)
 
     def grow(rows: np.ndarray):
-        centre = points[rows].mean(axis=0)
-        radius = float(np.sqrt(((points[rows] - centre) ** 2).sum(axis=1).max()))
+        mine = points[rows]
+        centre = mine.mean(axis=0)
+        radius = float(np.sqrt(((mine - centre) ** 2).sum(axis=1).max()))
         if len(rows) <= leaf:
             return centre, radius, rows, None
-        axis = points[rows].var(axis=0).argmax()
-        order = rows[np.argsort(points[rows, axis], kind="stable")]
+        axis = mine.var(axis=0).argmax()
+        order = rows[np.argsort(mine[:, axis], kind="stable")]
         return centre, radius, None, (grow(order[: len(order) // 2]), grow(order[len(order) // 2 :]))
 
+    if not len(ids):
+        return voxels.select("id", F.lit(None).cast("long").alias("atom_id")).limit(0)
     root = grow(np.arange(len(points)))
 
-    def nearest(v: np.ndarray) -> int:
-        best, who, todo = np.inf, 0, [root]
-        while todo:
-            centre, radius, rows, children = todo.pop()
-            if np.linalg.norm(v - centre) - radius > best:
-                continue
-            if children is None:
-                d = ((points[rows] - v) ** 2).sum(axis=1)
-                i = d.argmin()
-                if np.sqrt(d[i]) < best:
-                    best, who = np.sqrt(d[i]), owner[rows[i]]
-            else:
-                todo += sorted(children, key=lambda c: -np.linalg.norm(v - c[0]))
-        return int(who)
-
-    return _approximate(voxels, lambda x: np.array([ids[nearest(v / np.linalg.norm(v))] for v in x]))
+    def search(x: np.ndarray) -> np.ndarray:
+        size = np.maximum(np.linalg.norm(x, axis=1), 1e-300)
+        v = x / size[:, None]
+        top = np.full(len(v), -np.inf)
+        slack = 2 * 10.0**-DIGITS / size + 1e-12  # of a rounded score, in cosines
+        pairs: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+
+        def scan(node, active: np.ndarray, keep: bool) -> None:
+            c = v[active] @ points[node[2]].T
+            top[active] = np.maximum(top[active], c.max(axis=1))
+            if keep:
+                i, k = np.nonzero(c >= (top - slack)[active, None])
+                pairs.append((active[i], owner[node[2][k]], c[i, k]))
+
+        def descend(node, active: np.ndarray) -> None:
+            if not len(active):
+                return
+            if node[3] is None:
+                scan(node, active, False)
+                return
+            left, right = node[3]
+            nearer = v[active] @ (left[0] - right[0]) * 2 >= left[0] @ left[0] - right[0] @ right[0]
+            descend(left, active[nearer])
+            descend(right, active[~nearer])
+
+        def visit(node, active: np.ndarray) -> None:
+            far = np.sqrt(np.maximum(1 - 2 * (v[active] @ node[0]) + node[0] @ node[0], 0))
+            # points at a distance of d have a cosine of 1 - d * d / 2
+            active = active[1 - np.maximum(far - node[1] - 1e-9, 0) ** 2 / 2 >= (top - slack)[active]]
+            if not len(active):
+                return
+            if node[3] is None:
+                scan(node, active, True)
+                return
+            for child in node[3]:
+                visit(child, active)
+
+        every = np.arange(len(v))
+        descend(root, every)
+        visit(root, every)
+        i, k, c = (np.concatenate(p) for p in zip(*pairs, strict=True))
+        last = c >= (top - slack)[i]
+        return ids[_decide(i[last], k[last], x, raw, norms, "absolute")[0]]
+
+    return _approximate(voxels.repartition("id"), search)
 
 
 def group(voxels: DataFrame, atoms: DataFrame, groups: int | None = None, keep: int = 3, seed: int = 1) -> DataFrame:
