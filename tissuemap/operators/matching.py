@@ -122,7 +122,7 @@ def _products(voxels: DataFrame, atoms: DataFrame, score: str, interleaved: bool
         for b in batches:
             if b.empty or not len(ids):
                 continue
-            at, s = best_atoms(_stack(b["x"], interleaved), d, norms, score)
+            at, s = best_atoms(_stack(b["x"], interleaved), d, norms, score) if interleaved or score == "modulus" else _best_in_order(_stack(b["x"], False), d, norms, score)
             # products by blocks and by pairs differ in the last digits
             out = pd.DataFrame({"id": b["id"], "atom_id": ids[at], "score": np.round(s, DIGITS)})
             if new:

@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators import matching, subspace
+from ..operators import grams, matching, subspace
 from ..plans import planner
 from ..sources import tables
 from .model import q6, r6
@@ -311,17 +311,12 @@ _TEXT = """gr AS (SELECT {id} AS id, (('0x' || substr(md5(lower(substr(text, i,
 def _text_vectors(df: DataFrame, key: str) -> DataFrame:
     """Unit vectors of hashed letter 3-grams of the whole text: id, x (256 values).
 
-    Equal 3-grams of a text are added up before they are hashed and before the
-    shuffle.
+    A text is counted where it is read and leaves one row of 256 counts; rows that
+    repeat an id are added up.
     """
-    grams = df.filter(F.length("text") >= 3).select(F.col(key).alias("id"), "text", F.explode(F.sequence(F.lit(1), F.length("text") - 2)).alias("i"))
-    gram = F.lower(F.substring(F.col("text"), F.col("i"), F.lit(3)))
-    same = grams.groupBy("id", gram.alias("gram")).agg(F.count("*").cast("double").alias("v"))
-    code = F.conv(F.substring(F.md5("gram"), 1, 4), 16, 10).cast("int") % 256
-    count = same.groupBy("id", code.alias("t")).agg(F.sum("v").alias("v"))
-    packed = count.groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("t", "v"))).alias("m"), F.sqrt(F.sum(F.col("v") ** 2)).alias("n"))
-    at = F.transform(F.sequence(F.lit(0), F.lit(255)), lambda t: F.coalesce(F.try_element_at("m", t), F.lit(0.0)) / F.col("n"))
-    return packed.select("id", at.alias("x"))
+    counts = df.select(F.col(key).alias("id"), "text").mapInArrow(grams.counts, "id long, n binary")
+    same = counts.groupBy("id").agg(F.collect_list("n").alias("n"))
+    return same.mapInArrow(grams.units, "id long, x array<double>")
 
 
 @query(
@@ -337,7 +332,7 @@ def w12_text_match(spark: SparkSession, sf_dir: str) -> DataFrame:
     marked = tables.read(spark, sf_dir, "labels").filter("quality = 1").select("doc_id")
     docs = _text_vectors(tables.read(spark, sf_dir, "documents").join(marked, "doc_id"), "doc_id")
     atoms = _text_vectors(tables.read(spark, sf_dir, "benchmark"), "item_id").withColumn("norm", F.lit(1.0))
-    best = matching.exhaustive_blocks(docs, atoms, "real")
+    best = matching.exhaustive_blocks(docs, atoms, "real").filter("score > 0")  # no common gram, no match
     return best.select(F.col("id").alias("doc_id"), F.col("atom_id").alias("item_id"), "score").select("doc_id", "item_id", *r6("score"))
 
 
