@@ -39,3 +39,21 @@ def test_tree_gives_copies_to_the_first(spark):
     want = {r["id"]: first_of_best(r["x"], rows) for r in v.collect()}
     for leaf in (4, 256):
         assert {r["id"]: r["atom_id"] for r in matching.tree(v, a, leaf=leaf).collect()} == want
+
+
+@pytest.mark.parametrize("kind", ["real", "complex"])
+def test_products_stay_in_cache(kind):
+    """A slice's matching takes a few megabytes beside its result, however many voxels."""
+    import tracemalloc
+
+    rng = np.random.default_rng(5)
+    x, d = rng.normal(size=(2048, 4)) + 1j * rng.normal(size=(2048, 4)), rng.normal(size=(6000, 4))
+    d = d if kind == "real" else d + 1j * rng.normal(size=d.shape)
+    norms = np.linalg.norm(d, axis=1)
+    tracemalloc.start()
+    at, top = matching.best_atoms(x, d, norms)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    score = np.abs(x.conj() @ (d / norms[:, None]).T)
+    assert (at == score.argmax(axis=1)).all() and top == pytest.approx(score.max(axis=1))
+    assert peak < 8 << 20

@@ -19,8 +19,11 @@ from pyspark.sql import functions as F
 
 from ..functions.cx import v_dot
 
-#: Voxel and atom block of the matrix products: at most 34 MB at once.
+#: Voxels that a thread takes at once; their product with this many atoms bounds what
+#: a task holds where scores are compared as rounded.
 VOXELS, ATOMS = 2048, 1024
+#: Voxels and atoms of one product of complex rows: its result stays in a core's cache.
+ROWS, WIDE = 16, 8192
 #: Bytes of atoms that a task holds at once.
 ATOM_BYTES = 64 << 20
 #: Scores are compared at this precision, so that engines agree on ties.
@@ -62,30 +65,33 @@ def best_atoms(x: np.ndarray, atoms: np.ndarray, norms: np.ndarray, score: str =
     several cores to themselves.
     """
     unit = atoms / norms[:, None]
-    real = not np.iscomplexobj(unit)
+    complex_, turned = np.iscomplexobj(unit), score != "real" and np.iscomplexobj(x)
+    # parts side by side, so that one real product gives all sums
+    table = np.concatenate([unit.real, unit.imag], axis=1).T if complex_ else np.ascontiguousarray(unit.real.T)
     best, where = np.full(len(x), -np.inf), np.zeros(len(x), np.int64)
 
-    def search(lo: int) -> None:
-        part = x[lo : lo + VOXELS]
-        top, at = np.full(len(part), -np.inf), np.zeros(len(part), np.int64)
-        for k in range(0, len(unit), ATOMS):
-            block = unit[k : k + ATOMS].T
-            if score == "real":
-                c = part.real @ block.real if real else part.real @ block.real + part.imag @ block.imag
-            elif real and np.iscomplexobj(part):
-                # real atoms: two real products, and squares order like moduli
-                c, d = part.real @ block, part.imag @ block
-                np.multiply(c, c, out=c)
-                np.multiply(d, d, out=d)
-                c += d
-            else:
-                c = part.conj() @ block
-                c = c.real**2 + c.imag**2 if np.iscomplexobj(c) else c * c
-            i = c.argmax(axis=1)
-            v = c[np.arange(len(part)), i]
-            better = v > top
-            top[better], at[better] = v[better], i[better] + k
-        best[lo : lo + VOXELS], where[lo : lo + VOXELS] = top if score == "real" else np.sqrt(top), at
+    def rows(part: np.ndarray) -> np.ndarray:
+        if not complex_:
+            return np.concatenate([part.real, part.imag]) if turned else np.ascontiguousarray(part.real)
+        own = np.concatenate([part.real, part.imag], axis=1)
+        return np.concatenate([own, np.concatenate([-part.imag, part.real], axis=1)]) if score != "real" else own
+
+    def search(first: int) -> None:
+        for lo in range(first, min(first + VOXELS, len(x)), ROWS):
+            left, n = rows(x[lo : lo + ROWS]), min(ROWS, len(x) - lo)
+            top, at = np.full(n, -np.inf), np.zeros(n, np.int64)
+            for k in range(0, len(unit), WIDE):
+                c = left @ table[:, k : k + WIDE]
+                if score != "real":  # squares order like moduli
+                    np.multiply(c, c, out=c)
+                    if len(c) > n:
+                        c[:n] += c[n:]
+                        c = c[:n]
+                i = c.argmax(axis=1)
+                v = c[np.arange(n), i]
+                better = v > top
+                top[better], at[better] = v[better], i[better] + k
+            best[lo : lo + n], where[lo : lo + n] = top if score == "real" else np.sqrt(top), at
 
     threads = int(os.environ.get("TISSUEMAP_THREADS", "1"))
     if threads > 1 and len(x) > VOXELS:
