@@ -69,8 +69,12 @@ def mask_table(spark: SparkSession, mask: tuple) -> DataFrame:
 
 
 def repeat_slices(samples: DataFrame, count: int) -> DataFrame:
-    """The same object scanned ``count`` times."""
-    ids = samples.sparkSession.range(count).select(F.col("id").alias("_s"))
+    """The same object scanned ``count`` times. One scan is small and may come in one
+    part, its repetitions are not: cells are dealt to all cores first."""
+    spark = samples.sparkSession
+    ids = spark.range(count).select(F.col("id").alias("_s"))
+    if count > 1:
+        samples = samples.repartition(spark.sparkContext.defaultParallelism, *[c for c in ("ku", "kv", "s") if c in samples.columns])
     return samples.crossJoin(F.broadcast(ids)).withColumn("slice_id", F.col("_s")).drop("_s")
 
 
@@ -174,5 +178,7 @@ def run_slices(state: DataFrame, setups: list[Setup], methods: list[str], base:
         row, col = np.divmod(np.arange(s.n**2), s.n)
         return pd.DataFrame({**head, "row": row.astype(np.int32), "col": col.astype(np.int32), "atom_id": atom.ravel().astype(np.int32), "t1": t1.ravel(), "t2": t2.ravel(), "rho": rho.ravel()})
 
-    dealt = state.withColumn("part", F.explode(F.array(*[F.lit(k) for k in range(parts)]))).groupBy("slice_id", "length", "part")
-    return dealt.applyInPandas(run, HISTORY if history else MAPS)
+    dealt = state.withColumn("part", F.explode(F.array(*[F.lit(k) for k in range(parts)])))
+    # states are small for the work on them, so their number decides and not their bytes
+    spread = max(1, min(slices * parts, 4 * spark.sparkContext.defaultParallelism))
+    return dealt.repartition(spread, "slice_id", "length", "part").groupBy("slice_id", "length", "part").applyInPandas(run, HISTORY if history else MAPS)
