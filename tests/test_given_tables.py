@@ -9,6 +9,7 @@ from .test_queries import SF
 
 READS = {
     "a01_param_grid": "part",
+    "a02_schedule": "events",
 }
 
 
