@@ -10,6 +10,10 @@ from .test_queries import SF
 READS = {
     "a01_param_grid": "part",
     "a02_schedule": "events",
+    "a03_fold_signal": "part",
+    "a03_spoiled_signal": "customer",
+    "a04_epg_signal": "part",
+    "a05_dict_norms": "customer",
 }
 
 
