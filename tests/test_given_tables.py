@@ -14,6 +14,7 @@ READS = {
     "a03_spoiled_signal": "customer",
     "a04_epg_signal": "part",
     "a05_dict_norms": "customer",
+    "a06_resample": "part",
 }
 
 
