@@ -15,6 +15,7 @@ READS = {
     "a04_epg_signal": "part",
     "a05_dict_norms": "customer",
     "a06_resample": "part",
+    "a08_spiral_angles": "events",
 }
 
 
