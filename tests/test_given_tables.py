@@ -16,6 +16,7 @@ READS = {
     "a05_dict_norms": "customer",
     "a06_resample": "part",
     "a08_spiral_angles": "events",
+    "a09_mask": "customer",
 }
 
 
