@@ -8,16 +8,9 @@ from tissuemap.queries import registry
 from .test_queries import SF
 
 READS = {
-    "a01_param_grid": "part",
-    "a02_schedule": "events",
-    "a03_fold_signal": "part",
-    "a03_spoiled_signal": "customer",
-    "a04_epg_signal": "part",
-    "a05_dict_norms": "customer",
-    "a06_resample": "part",
-    "a08_spiral_angles": "events",
-    "a09_mask": "customer",
-}
+    "a01_param_grid": "part", "a02_schedule": "events", "a03_fold_signal": "part", "a03_spoiled_signal": "customer", "a04_epg_signal": "part",
+    "a05_dict_norms": "customer", "a06_resample": "part", "a08_spiral_angles": "events", "a09_mask": "customer", "a10_forward_dft": "part",
+}
 
 
 @pytest.mark.parametrize("name", READS)
