@@ -12,12 +12,15 @@ votes of that correlation). Candidates whose other 64 bits differ in more than
 ``FAR`` places are left out (a pair at 4/5 is, once in 5000), and every other one is
 decided by the sets themselves, so no link is false.
 
-Scale: equal sets are one class first. A bucket of up to ``SMALL`` classes gives all
-its candidates, decided by a join. Of a larger one each member is first compared
-with the least member, which joins most of a group of copies; only where a bucket
-then still holds candidates from different components do these take their sets
-along, and a spanning forest of their links is found by searching outwards from one
-member at a time. Nothing is capped.
+Scale: equal sets are one class first. A bucket with up to ``SMALL`` classes that have
+a candidate gives all its candidates, decided by a join. In a larger one, sketches rule
+out pairs: bit i of a sketch is the parity of the shingles that fall to i, so two sets
+differ in at least as many shingles as their sketches in bits, and no link is lost. The
+pairs left are spanned by a forest, one parent for each member, and its edges alone are
+decided by the join. Only where a bucket then still holds pairs between components do
+their members take their sets along, and a spanning forest of their links is found by
+searching outwards from one member at a time. So a class gives at most as many rows as
+it has keys, however large its group. Nothing is capped.
 
 Defined results: texts without words have the empty set and are one class; texts
 of fewer than five words have one shingle; ASCII letters count without case; see
@@ -26,6 +29,7 @@ of fewer than five words have one shingle; ASCII letters count without case; see
 
 from __future__ import annotations
 
+from collections import deque
 from collections.abc import Iterator
 from functools import cache
 from itertools import combinations
@@ -47,8 +51,17 @@ LEAST = (4, 5)
 WIDTH, SEGMENTS, NEAREST = 23, 3, 6
 #: Most differing bits, of the 64 beside the segments, of a candidate.
 FAR = 20
-#: Buckets with more classes than this are searched from their least member.
-SMALL = 64
+#: Buckets with more classes than this that have a candidate are spanned by a forest.
+SMALL = 6
+#: Buckets with more classes than this are compared a member at a time.
+BLOCK = 64
+#: Bits of a sketch, as a power of two.
+SKETCH = 10
+
+
+#: Columns of a class.
+CLASS = ["fp", "bits", "codes", "size", "sketch"]
+CLASS_TYPES = "fp long, bits long, codes binary, size long, sketch binary"
 
 
 def shingle_hashes(text: bytes, k: int = SHINGLE) -> np.ndarray:
@@ -98,16 +111,23 @@ def segment_codes(v: np.ndarray) -> np.ndarray:
     return out
 
 
+def sketch(rows: np.ndarray) -> bytes:
+    """Parities of the numbers of hashes that fall to each bit."""
+    return np.packbits(np.bincount((_halves(rows) >> np.uint64(64 - SKETCH)).astype(np.int64), minlength=1 << SKETCH) & 1 == 1).tobytes()
+
+
 def _prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
-        fp, v = [], np.zeros((b.num_rows, 128), np.int64)
+        fp, size, parities, v = [], [], [], np.zeros((b.num_rows, 128), np.int64)
         for i, text in enumerate(text_bytes(b.column("text"))):
             rows = shingle_hashes(text)
             fp.append(xxhash.xxh64_intdigest(_halves(rows).tobytes()) - (1 << 63))
+            size.append(len(rows))
+            parities.append(sketch(rows))
             v[i] = votes(rows)
         bits = np.packbits(v[:, 64:] > 0, axis=1).view(np.int64)[:, 0] if b.num_rows else np.zeros(0, np.int64)
         codes = [x.tobytes() for x in segment_codes(v)]
-        yield pa.record_batch([b.column("doc_id"), b.column("mark"), pa.array(fp, pa.int64()), pa.array(bits), pa.array(codes, pa.binary())], ["doc_id", "mark", "fp", "bits", "codes"])
+        yield pa.record_batch([b.column("doc_id"), b.column("mark"), pa.array(fp, pa.int64()), pa.array(bits), pa.array(codes, pa.binary()), pa.array(size, pa.int64()), pa.array(parities, pa.binary())], ["doc_id", "mark", *CLASS])
 
 
 def _keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -158,57 +178,115 @@ def _near(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.bitwise_count((a ^ b).view(np.uint64)) <= FAR
 
 
+def _by_distance(fp: np.ndarray, bits: np.ndarray) -> np.ndarray:
+    """Members of a bucket from the nearest to the majority of their bits on."""
+    each = np.unpackbits(np.ascontiguousarray(bits).view(np.uint8).reshape(-1, 8), axis=1)
+    return np.lexsort((fp, (each != (2 * each.sum(axis=0, dtype=np.int64) > len(fp))).sum(axis=1)))
+
+
+def _with_candidate(fp: np.ndarray, bits: np.ndarray) -> np.ndarray:
+    """Which members of a bucket have a candidate there."""
+    live = np.zeros(len(fp), bool)
+    for i in _by_distance(fp, bits):
+        if not live[i]:
+            hit = _near(bits, bits[i])
+            if np.count_nonzero(hit) > 1:  # one is the member itself
+                live |= hit
+    return live
+
+
 def _candidates(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """u, v: candidates, u < v. From large buckets those of the least member, and
-    key, u, bits of all members (v null)."""
+    """u, v: candidates, u < v. From large buckets key and u, each member that has a
+    candidate (v null)."""
     for t in _whole_buckets(batches):
         key, fp, bits = (t.column(c).to_numpy() for c in ("key", "fp", "bits"))
         starts = run_starts(key)
         length = np.diff(np.append(starts, len(key)))
         bucket = np.repeat(np.arange(len(starts)), length)
-        least = np.minimum.reduceat(fp, starts)
-        us, vs = [], []
-        few = np.flatnonzero((length > 1)[bucket] & (length <= SMALL)[bucket])
+        live, us, vs = np.zeros(len(key), bool), [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        few = np.flatnonzero((length > 1)[bucket] & (length <= BLOCK)[bucket])
         for lo in range(0, len(few), 1 << 16):
             mine = few[lo : lo + (1 << 16)]
             span = length[bucket[mine]]
             other = np.repeat(starts[bucket[mine]] - (np.cumsum(span) - span), span) + np.arange(span.sum())
             at = np.repeat(mine, span)
             good = (fp[at] < fp[other]) & _near(bits[at], bits[other])
-            us.append(fp[at][good])
-            vs.append(fp[other][good])
-        many = np.flatnonzero((length > SMALL)[bucket])
-        if len(many):
-            centre = np.flatnonzero(fp == least[bucket])
-            of = np.zeros(len(starts), np.int64)
-            of[bucket[centre]] = bits[centre]
-            good = many[(fp[many] > least[bucket[many]]) & _near(bits[many], of[bucket[many]])]
-            us.append(least[bucket[good]])
-            vs.append(fp[good])
-        pairs = np.unique(np.column_stack([np.concatenate(us), np.concatenate(vs)]), axis=0) if us else np.zeros((0, 2), np.int64)
-        n, k = len(pairs), len(many)
+            us.append(at[good])
+            vs.append(other[good])
+            live[us[-1]] = live[vs[-1]] = True
+        for i in np.flatnonzero(length > BLOCK):
+            own = slice(starts[i], starts[i] + length[i])
+            live[own] = _with_candidate(fp[own], bits[own])
+        u, v = np.concatenate(us), np.concatenate(vs)
+        large = (np.add.reduceat(live, starts, dtype=np.int64) > SMALL) | (length > BLOCK)
+        single = ~large[bucket[u]]
+        pairs = np.unique(np.column_stack([fp[u[single]], fp[v[single]]]), axis=0)
+        many = np.flatnonzero(live & large[bucket])
         columns = [
-            pa.concat_arrays([pa.nulls(n, pa.int32()), pa.array(key[many], pa.int32())]),
+            pa.concat_arrays([pa.nulls(len(pairs), pa.int32()), pa.array(key[many], pa.int32())]),
             pa.array(np.concatenate([pairs[:, 0], fp[many]])),
-            pa.concat_arrays([pa.array(pairs[:, 1]), pa.nulls(k, pa.int64())]),
-            pa.concat_arrays([pa.nulls(n, pa.int64()), pa.array(bits[many])]),
+            pa.concat_arrays([pa.array(pairs[:, 1]), pa.nulls(len(many), pa.int64())]),
         ]
-        yield pa.record_batch(columns, ["key", "u", "v", "bits"])
+        yield pa.record_batch(columns, ["key", "u", "v"])
+
+
+class _Members:
+    """The classes of one bucket."""
+
+    def __init__(self, t: pa.Table):
+        self.fp, self.bits, self.size = (t.column(c).to_numpy() for c in ("fp", "bits", "size"))
+        self.sketch = np.frombuffer(b"".join(t.column("sketch").to_pylist()), np.uint64).reshape(len(self.fp), -1)
+
+    def open(self, at: int, rest: np.ndarray) -> np.ndarray:
+        """Which of ``rest`` are candidates of ``at`` that the sketches do not rule out."""
+        hit = _near(self.bits[rest], self.bits[at])
+        some = rest[hit]
+        apart = np.maximum(np.bitwise_count(self.sketch[some] ^ self.sketch[at]).sum(axis=1, dtype=np.int64), np.abs(self.size[some] - self.size[at]))
+        hit[hit] = (LEAST[1] + LEAST[0]) * apart <= (LEAST[1] - LEAST[0]) * (self.size[some] + self.size[at])
+        return hit
+
+
+def _trees(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The members of each bucket that have an open pair, each with its parent in a
+    spanning forest of these pairs (null for a root)."""
+    for t in _buckets(batches):
+        m = _Members(t)
+        parent, rest, todo = np.full(len(m.fp), -1), _by_distance(m.fp, m.bits), deque()
+        while len(rest):
+            if not todo:
+                todo.append(rest[0])
+                rest = rest[1:]
+                continue
+            at = todo.popleft()
+            hit = m.open(at, rest)
+            if hit.any():
+                parent[rest[hit]] = at
+                todo.extend(rest[hit])
+                rest = rest[~hit]
+        child = parent >= 0
+        held = child.copy()
+        held[parent[child]] = True
+        if held.any():
+            at = pa.array(np.flatnonzero(held))
+            up = pa.array(m.fp[parent[held]], mask=~child[held])
+            kept = [t.column(c).combine_chunks().take(at) for c in ("key", "fp", "bits", "size", "sketch")]
+            yield pa.record_batch([*kept, up], ["key", "fp", "bits", "size", "sketch", "parent"])
 
 
 def _mixed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """key, fp of the members of a bucket that have a candidate in another component."""
+    """key, fp of the members of a bucket that have an open pair with another component."""
     for t in _buckets(batches):
         root = np.unique(t.column("root").to_numpy(), return_inverse=True)[1]
         if root.max(initial=0) == 0:
             continue
-        bits, open_ = t.column("bits").to_numpy(), np.zeros(len(root), bool)
+        m, found = _Members(t), np.zeros(len(root), bool)
         for i in np.flatnonzero(root != np.bincount(root).argmax()):
-            hit = _near(bits, bits[i]) & (root != root[i])
-            open_ |= hit
-            open_[i] |= hit.any()
-        if open_.any():
-            yield pa.record_batch([t.column(c).combine_chunks().filter(pa.array(open_)) for c in ("key", "fp")], ["key", "fp"])
+            others = np.flatnonzero(root != root[i])
+            hit = others[m.open(i, others)]
+            found[hit] = True
+            found[i] |= len(hit) > 0
+        if found.any():
+            yield pa.record_batch([t.column(c).combine_chunks().filter(pa.array(found)) for c in ("key", "fp")], ["key", "fp"])
 
 
 def _forest(fp: np.ndarray, flat: np.ndarray, size: np.ndarray) -> list[tuple[int, int]]:
@@ -246,13 +324,16 @@ def _forests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def roots(prints: DataFrame, docs: DataFrame) -> DataFrame:
     """node, root: components of the classes whose sets are similar."""
     spread = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    classes = materialise(prints.groupBy("fp").agg(F.first("bits").alias("bits"), F.first("codes").alias("codes")), "classes")
-    keys = classes.repartition(spread).mapInArrow(_keys, "key int, fp long, bits long")
-    found = keys.repartition("key").sortWithinPartitions("key").mapInArrow(_candidates, "key int, u long, v long, bits long")
+    classes = materialise(prints.groupBy("fp").agg(*[F.first(c).alias(c) for c in CLASS[1:]]), "classes")
+    keys = classes.select("fp", "bits", "codes").repartition(spread).mapInArrow(_keys, "key int, fp long, bits long")
+    found = keys.repartition("key").sortWithinPartitions("key").mapInArrow(_candidates, "key int, u long, v long")
     found = materialise(found, "candidates")
-    pairs = materialise(found.filter("v is not null").select("u", "v").distinct(), "pairs")
-    large = found.filter("v is null").select("key", F.col("u").alias("fp"), "bits")
-    need = pairs.select(F.explode(F.array("u", "v")).alias("fp")).unionByName(large.select("fp")).distinct()
+    large = found.filter("v is null").select("key", F.col("u").alias("fp")).join(classes.drop("codes"), "fp")
+    trees = large.repartition("key").sortWithinPartitions("key").mapInArrow(_trees, "key int, fp long, bits long, size long, sketch binary, parent long")
+    trees = materialise(trees, "trees")
+    edges = trees.filter("parent is not null").select(F.least("fp", "parent").alias("u"), F.greatest("fp", "parent").alias("v"))
+    pairs = materialise(found.filter("v is not null").select("u", "v").unionByName(edges).distinct(), "pairs")
+    need = pairs.select(F.col("u").alias("fp")).unionByName(pairs.select(F.col("v").alias("fp"))).distinct()
     texts = pick(docs.select("doc_id", "text"), first_of(prints.join(need, "fp", "left_semi"), "fp"))
     sets = materialise(texts.mapInArrow(_sets, "fp long, shingles array<long>"), "sets")
     a = sets.select(F.col("fp").alias("u"), F.col("shingles").alias("a"))
@@ -261,9 +342,9 @@ def roots(prints: DataFrame, docs: DataFrame) -> DataFrame:
     near = pairs.join(a, "u").join(b, "v").filter(LEAST[1] * both >= LEAST[0] * (F.size("a") + F.size("b") - both)).select("u", "v")
     near = materialise(near, "links")
     found = components(near)
-    if large.isEmpty():
+    if trees.isEmpty():
         return found
-    rooted = large.join(found, F.col("fp") == F.col("node"), "left").select("key", "fp", "bits", F.coalesce("root", "fp").alias("root"))
+    rooted = trees.drop("parent").join(found, F.col("fp") == F.col("node"), "left").select("key", "fp", "bits", "size", "sketch", F.coalesce("root", "fp").alias("root"))
     mixed = rooted.repartition("key").sortWithinPartitions("key").mapInArrow(_mixed, "key int, fp long")
     dense = mixed.join(sets, "fp").select("key", "fp", "shingles").repartition("key").sortWithinPartitions("key")
     more = materialise(dense.mapInArrow(_forests, "u long, v long").distinct(), "more")
@@ -276,6 +357,6 @@ def keep_one(docs: DataFrame) -> DataFrame:
     """One document of each component of similar texts, with all its columns."""
     kind = docs.schema["doc_id"].dataType.simpleString()
     marked = docs.select("doc_id", "text", F.xxhash64("text").alias("mark"))
-    prints = materialise(marked.mapInArrow(_prints, f"doc_id {kind}, mark long, fp long, bits long, codes binary"), "prints")
+    prints = materialise(marked.mapInArrow(_prints, f"doc_id {kind}, mark long, {CLASS_TYPES}"), "prints")
     rows = prints.select("doc_id", "mark", "fp").join(roots(prints, docs), F.col("fp") == F.col("node"), "left").select("doc_id", "mark", F.coalesce("root", "fp").alias("root"))
     return pick(docs, materialise(first_of(rows, "root"), "first"))
